@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, ogg, simhash, substrings
+from . import decontaminate, ogg, secrets, simhash, substrings, toxicity
 from .common import table
 
 
@@ -22,12 +22,20 @@ def op5_ogg_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ogg.report(table(spark, sf_dir, "documents"))
 
 
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.report(table(spark, sf_dir, "documents"))
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.report(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op3_decontamination, op4_simhash, op5_ogg_media, op10_substring_dedup]
+    found = [op3_decontamination, op4_simhash, op5_ogg_media, op6_toxicity, op9_secret_scan, op10_substring_dedup]
     return {f.__name__: f for f in found}
 
 
