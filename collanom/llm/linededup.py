@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import stored
 
-RATIO = 0.1
+RATIO = 0.05
 LEAST_DOCS = 3
 BROADCAST_BYTES = 16 << 20
 SALTS = 32
