@@ -35,9 +35,10 @@ from .common import slices
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
 #: Words that a worker keeps encoded.
-KEPT_WORDS = 300_000
+KEPT_WORDS = 400_000
 #: Words of more letters are merged with a heap.
 LONG_WORD = 40
+_NONE = float("-inf")
 _WORDS = re.compile(r" *[^ \n]+| +|\n")
 
 
@@ -51,11 +52,13 @@ class PieceTable:
     merges: bool
     ids: dict[str, int] = field(default_factory=dict)
     longest: int = 0
+    rank: dict[str, float] = field(default_factory=dict)
 
     def __post_init__(self) -> None:
         first = 0 if self.byte_base < 0 else self.byte_base + 256
         self.ids = {p: i for i, p in enumerate(self.pieces) if i >= first}
         self.longest = max(map(len, self.ids), default=1)
+        self.rank = {p: self.scores[i] for p, i in self.ids.items()}
 
     def bytes_of(self) -> list[bytes]:
         """What each piece stands for when a text is decoded."""
@@ -104,21 +107,28 @@ def viterbi(word: str, table: PieceTable, unknown: float = -1e6) -> list[int]:
 
 
 def merge(word: str, table: PieceTable) -> list[int]:
-    """The path that merging leads to: again and again the neighbours whose joint piece ranks highest, the first of equals."""
-    found, scores = edges(word, table), table.scores
-    cuts = list(range(len(word) + 1)) if len(word) <= LONG_WORD else _merged_by_heap(word, found, scores)
-    while len(cuts) > 2:
-        top, where = None, 0
-        for k in range(len(cuts) - 2):
-            x = found.get((cuts[k], cuts[k + 2]))
-            if x is not None and (top is None or scores[x] > top):
-                top, where = scores[x], k + 1
-        if top is None:
-            break
-        del cuts[where]
+    """The path that merging leads to: again and again the neighbours whose joint piece ranks highest, the first of equals.
+
+    Of the lattice's edges only those that join two neighbours are looked up.
+    """
+    if len(word) > LONG_WORD:
+        cuts = _merged_by_heap(word, edges(word, table), table.scores)
+        parts = [word[i:j] for i, j in zip(cuts, cuts[1:], strict=False)]
+    else:
+        parts, rank = list(word), table.rank.get
+        joint = [rank(a + b, _NONE) for a, b in zip(parts, parts[1:], strict=False)]
+        while joint and (top := max(joint)) > _NONE:
+            i = joint.index(top)
+            parts[i] += parts.pop(i + 1)
+            del joint[i]
+            if i < len(joint):
+                joint[i] = rank(parts[i] + parts[i + 1], _NONE)
+            if i:
+                joint[i - 1] = rank(parts[i - 1] + parts[i], _NONE)
     out: list[int] = []
-    for i, j in zip(cuts, cuts[1:], strict=False):
-        out += [found[i, j]] if (i, j) in found else _fallback(word[i:j], table)
+    for part in parts:
+        x = table.ids.get(part)
+        out += _fallback(part, table) if x is None else [x]
     return out
 
 
