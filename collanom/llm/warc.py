@@ -206,9 +206,11 @@ def write(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_
 
 
 def _splitters(pages: DataFrame, id_col: str, url_col: str) -> list[tuple]:
-    """Keys that cut the order into ranges, from those with the smallest hash."""
+    """Keys that cut the order into ranges: of every hash bucket of all captures, the one with the least second hash."""
     ranges = -(-pages.count() // RANGE_ROWS)
-    sample = pages.select(F.col(id_col).cast("long").alias("p"), F.col(url_col).cast("string").alias("u")).orderBy(F.xxhash64("p", "u"), "p").limit(SPLITTER_SAMPLE).collect()
+    rows = pages.select(F.col(id_col).cast("long").alias("p"), F.col(url_col).cast("string").alias("u"))
+    one = F.min_by(F.struct("p", "u"), F.xxhash64("u", "p", F.lit(1))).alias("one")
+    sample = rows.groupBy(F.pmod(F.xxhash64("p", "u"), F.lit(SPLITTER_SAMPLE)).alias("bucket")).agg(one).select("one.p", "one.u").collect()
     keys = sorted((url_key(r["u"]), stamp(r["p"])) for r in sample)
     return sorted({keys[i * len(keys) // ranges] for i in range(1, ranges)})
 
