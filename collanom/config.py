@@ -10,7 +10,7 @@ from .functions import penalties as pen
 
 @dataclass(frozen=True)
 class DetectorConfig:
-    """`l` and `m` bound the length of windows, `w` the lags; `scale` multiplies every penalty."""
+    """`l` and `m` bound the length of windows, `w` the lags; `scale` multiplies every penalty, `c` is the constant of the consistency curve."""
 
     l: int = 2  # noqa: E741
     m: int = 100
@@ -24,6 +24,7 @@ class DetectorConfig:
     beta_point: float | None = None
     min_gap: int = 0
     scale: float = 1.0
+    c: float = 3.0
     how: str = "iqr"
 
     def __post_init__(self) -> None:
@@ -41,7 +42,7 @@ class DetectorConfig:
         if p == 1:
             psi = self.resolved_psi(n)
             return pen.scaled([2 * (1 + self.eps) * psi + (2 * (1 + (self.eps or 0.05)) * math.log(self.w + 1) if self.w else 0.0)], self.scale)
-        return pen.scaled(pen.curve_for(self.regime, p, self.resolved_psi(n), self.w, self.eps), self.scale)
+        return pen.scaled(pen.curve_for(self.regime, p, self.resolved_psi(n), self.w, self.eps, self.c), self.scale)
 
     def point_price(self, n: int, p: int) -> float:
         return self.scale * (self.beta_point if self.beta_point is not None else pen.point_penalty(max(p, 1), self.resolved_psi(n)))

@@ -102,12 +102,13 @@ def candidates(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0, chunk:
     if rates is not None:
         per = rates.groupBy("series_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("component", "mu"))), lambda c: c["mu"]).alias("rates"))
         rows = rows.join(per, "series_id")
+    counted = rates is not None
 
     def score(key, group):
         series, chunk_no = key[0].as_py(), key[1].as_py()
         n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()
         kernel = kernel_for(cfg, n, p)
-        if rates is not None:
+        if counted:
             kernel.rates = np.array(group.column("rates")[0].as_py(), float)
         t, x = _matrix(group.select(["t", "xs"]))
         if len(t) != t[-1] - t[0] + 1:
