@@ -92,7 +92,7 @@ def sweep(long: DataFrame, cfg: DetectorConfig, scales: list[float], points: boo
         few = undominated(spans)
         return pdf.iloc[[few[i] for i in best_chain([spans[i] for i in few], cfg.min_gap)[1]]].drop(columns="island")
 
-    return islands(found, cfg.min_gap, by).groupBy(*by, "island").applyInPandas(chain, "series_id string, scale double, s bigint, e bigint, score double, kind string")
+    return islands(found, cfg.min_gap, by, cfg.m).groupBy(*by, "island").applyInPandas(chain, "series_id string, scale double, s bigint, e bigint, score double, kind string")
 
 
 def tune_to_share(long: DataFrame, cfg: DetectorConfig, share: float = 0.04, scales: list[float] | None = None) -> float:

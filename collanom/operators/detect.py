@@ -130,15 +130,27 @@ def candidates(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0, chunk:
     return rows.groupBy("series_id", "chunk").applyInArrow(score, _CANDIDATES)
 
 
-def islands(found: DataFrame, min_gap: int = 0, by: tuple[str, ...] = ("series_id",)) -> DataFrame:
-    """Candidates with `island`: a new one begins where a start is not below every earlier end."""
-    order = Window.partitionBy(*by).orderBy("s", "e", "kind")
-    reach = F.max("e").over(order.rowsBetween(Window.unboundedPreceding, -1))
-    begins = F.when(reach.isNull() | (F.col("s") >= reach + min_gap), 1).otherwise(0)
-    return found.withColumn("begins", begins).withColumn("island", F.sum("begins").over(order.rowsBetween(Window.unboundedPreceding, 0))).drop("begins")
+def islands(found: DataFrame, min_gap: int = 0, by: tuple[str, ...] = ("series_id",), longest: int = 4096) -> DataFrame:
+    """Candidates with `island`, the start of the first of them: a new one begins where a start is not below every earlier end.
 
-
-def solve(found: DataFrame, min_gap: int = 0, greedy: bool = False, by: tuple[str, ...] = ("series_id",)) -> DataFrame:
+    Time is cut into buckets of at least the longest candidate, so what came before reaches into the next
+    bucket only: rows are ordered within buckets, and only one row a bucket is ordered over the series.
+    """
+    size = max(longest, 4096)
+    rows = found.withColumn("bucket", F.floor(F.col("s") / size))
+    keys = [*by, "bucket"]
+    order = Window.partitionBy(*keys).orderBy("s", "e", "kind")
+    reached = rows.groupBy(*by, (F.col("bucket") + 1).alias("bucket")).agg(F.max("e").alias("reached"))
+    seen = F.greatest(F.max("e").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.col("reached"))
+    marked = rows.join(reached, keys, "left").withColumn("seen", seen).withColumn("begins", F.when(F.col("seen").isNull() | (F.col("s") >= F.col("seen") + min_gap), F.col("s")))
+    last = Window.partitionBy(*by).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    carried = marked.groupBy(*keys).agg(F.max("begins").alias("own")).select(*keys, F.last("own", ignorenulls=True).over(last).alias("carried"))
+    own = F.max("begins").over(order.rowsBetween(Window.unboundedPreceding, 0))
+    joined = marked.join(carried, keys).withColumn("island", F.coalesce(own, F.col("carried")))
+    return joined.select(*found.columns, "island")
+
+
+def solve(found: DataFrame, min_gap: int = 0, greedy: bool = False, by: tuple[str, ...] = ("series_id",), longest: int = 4096) -> DataFrame:
     """The chosen candidates: the best chain of every island (or the greedy one)."""
 
     def chain(pdf):
@@ -152,7 +164,7 @@ def solve(found: DataFrame, min_gap: int = 0, greedy: bool = False, by: tuple[st
         return pdf.iloc[keep].drop(columns="island")
 
     fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in found.schema.fields)
-    return islands(found, min_gap, by).groupBy(*by, "island").applyInPandas(chain, fields)
+    return islands(found, min_gap, by, longest).groupBy(*by, "island").applyInPandas(chain, fields)
 
 
 def detect(long: DataFrame, cfg: DetectorConfig, plan: str = "islands", rates: DataFrame | None = None) -> DetectionResult:
@@ -162,7 +174,7 @@ def detect(long: DataFrame, cfg: DetectorConfig, plan: str = "islands", rates: D
     """
     if plan in ("islands", "greedy"):
         found = candidates(long, cfg, rates=rates)
-        return DetectionResult(solve(found, cfg.min_gap, plan == "greedy"), found, long, cfg)
+        return DetectionResult(solve(found, cfg.min_gap, plan == "greedy", longest=cfg.m), found, long, cfg)
     chosen = per_series(long, cfg, plan)
     return DetectionResult(chosen, chosen, long, cfg)
 

@@ -165,7 +165,7 @@ def detect_univariate(spark: SparkSession, sf: str) -> DataFrame:
 @query(f"""{_INJ}, {_SCORED_INJ},
 pos AS (SELECT series_id, s, e, score, k FROM scored WHERE score > 0),
 runs AS (SELECT *, max(e) OVER (PARTITION BY series_id ORDER BY s, e ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS reach FROM pos)
-SELECT series_id, s, e, round(score, 5) AS score, (sum(CASE WHEN reach IS NULL OR s >= reach THEN 1 ELSE 0 END) OVER (PARTITION BY series_id ORDER BY s, e ROWS UNBOUNDED PRECEDING))::BIGINT AS island FROM runs""")
+SELECT series_id, s, e, round(score, 5) AS score, (max(CASE WHEN reach IS NULL OR s >= reach THEN s END) OVER (PARTITION BY series_id ORDER BY s, e ROWS UNBOUNDED PRECEDING))::BIGINT AS island FROM runs""")
 def islands_of_candidates(spark: SparkSession, sf: str) -> DataFrame:
     found = detect.candidates(data.injected(spark, sf), CFG.with_(points=False))
     return detect.islands(found).select("series_id", "s", "e", F.round("score", 5).alias("score"), "island")

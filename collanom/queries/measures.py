@@ -181,7 +181,7 @@ def run_metrics(spark: SparkSession, sf: str) -> DataFrame:
     """Windows possible and positive, islands, and the objective of one run."""
     long = data.injected(spark, sf, points=True)
     found = detect.candidates(long, CFG)
-    isl = detect.islands(found).agg(F.max("island").alias("islands"), F.count("*").alias("positive"))
+    isl = detect.islands(found).agg(F.countDistinct("island").alias("islands"), F.count("*").alias("positive"))
     sizes = detect.series_sizes(long).agg(F.sum(sum(F.greatest(F.col("n") - L + 1, F.lit(0)) for L in range(CFG.l, CFG.m + 1))).alias("possible"))
     chosen = detect.solve(found).agg(F.count("*").alias("chosen"), F.round(F.sum("score"), 5).alias("objective"))
     return isl.crossJoin(F.broadcast(sizes)).crossJoin(F.broadcast(chosen))

@@ -88,3 +88,27 @@ def w19_toy(spark: SparkSession, sf: str) -> DataFrame:
 @query()
 def w20_tables(spark: SparkSession, sf: str) -> DataFrame:
     return w.table_sweep(spark, sf)
+
+
+@query()
+def staged_detection(spark: SparkSession, sf: str) -> DataFrame:
+    """A raw table to its windows in stages, each written: the table itself is scanned once."""
+    from ..config import DetectorConfig
+    from ..plans import detect_table
+    from ..sources import load
+
+    found = detect_table(load(spark, sf, "lineitem"), "l_shipdate", F.concat("l_returnflag", "l_linestatus"), DetectorConfig(m=60, how="moments"), unit="day")
+    return found.chosen.select("series_id", "s", "e", F.round("score", 4).alias("score"), "kind")
+
+
+@query()
+def plan_choices(spark: SparkSession, sf: str) -> DataFrame:
+    """What the planner decides for series of several sizes."""
+    from ..config import DetectorConfig
+    from ..plans import choose
+
+    rows = []
+    for name, cfg, n, p in (("long", DetectorConfig(m=100), 10**7, 10), ("panel", DetectorConfig(m=20), 100, 1000), ("lagged", DetectorConfig(w=40), 10**5, 4), ("uncapped", DetectorConfig(m=5000), 5000, 10), ("small", DetectorConfig(m=10), 500, 5)):
+        plan = choose(cfg, n, p)
+        rows.append((name, plan.statistic, plan.programme, plan.scoring, plan.chunk, plan.pairs))
+    return spark.createDataFrame(rows, "name string, statistic string, programme string, scoring string, chunk int, pairs bigint")

@@ -91,6 +91,24 @@ def test_edges(spark):
         detect.detect(one.where("t <> 100"), CFG).chosen.collect()
 
 
+def test_islands_over_many_buckets(spark):
+    import random
+
+    rng = random.Random(2)
+    spans = sorted({(s, s + rng.randint(1, 60)) for s in (rng.randint(0, 60_000) for _ in range(1500))})
+    spans += [(s, s + 50) for s in range(20_000, 29_000, 30)]
+    frame = spark.createDataFrame([("a", s, e, 1, 1.0, "window") for s, e in spans], "series_id string, s bigint, e bigint, k int, score double, kind string")
+    want, first, reach = {}, None, -1
+    for s, e in sorted(spans):
+        if first is None or s >= reach:
+            first = s
+        reach = max(reach, e)
+        want[s, e] = first
+    got = {(r["s"], r["e"]): r["island"] for r in detect.islands(frame, longest=60).collect()}
+    assert got == want
+    assert len(set(want.values())) > 100
+
+
 def test_scaling(spark):
     rows = [("a", t, 1, float(t % 7)) for t in range(1, 71)] + [("a", t, 2, 5.0) for t in range(1, 71)] + [("a", 1, 3, None), ("a", 2, 3, 1.0)]
     long = spark.createDataFrame(rows, "series_id string, t bigint, component int, x double")
