@@ -98,8 +98,8 @@ def sparse_penalty(p: int, psi: float, w: int = 0) -> list[float]:
     return lag_linear_penalty(p, psi, w) if w else linear_penalty(p, psi)
 
 
-def empirical_penalty(savings: np.ndarray, psi: float) -> list[float]:
-    """A curve from simulated null savings (replicates x components): the mean of the k largest, and what exceeds it with chance e^-psi at most as seen."""
+def empirical_penalty(savings, psi: float) -> list[float]:
+    """A curve from simulated null savings (replicates x components): the mean of the k largest and a margin in their spread, never falling."""
     top = np.cumsum(-np.sort(-np.asarray(savings, float), axis=1), axis=1)
     spread = top.std(axis=0)
     return np.maximum.accumulate(top.mean(axis=0) + np.sqrt(2 * psi) * spread + 2 * psi).tolist()

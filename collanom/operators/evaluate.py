@@ -138,3 +138,30 @@ def runtime_slopes(rows: DataFrame, axis: str = "n") -> DataFrame:
     a, b = rows.select("method", F.col(axis).alias("x"), "seconds"), rows.select(F.col("method").alias("m2"), F.col(axis).alias("y"), F.col("seconds").alias("seconds2"))
     pairs = a.join(b, (F.col("method") == F.col("m2")) & (F.col("x") < F.col("y")))
     return pairs.groupBy("method").agg(F.median((F.log2("seconds2") - F.log2("seconds")) / (F.log2("y") - F.log2("x"))).alias("slope"))
+
+
+def noise_events(noise: DataFrame, psi: float, n: int, p: int) -> DataFrame:
+    """(event, intervals, share): how often four bounds hold on simulated noise, over all intervals of a short series.
+
+    `sparse` and `dense` bound the savings of windows, for every set of components; `split_sparse` and
+    `split_dense` bound what is gained by cutting a window in two.
+    """
+    from .relational import window_sums
+
+    sums = window_sums(noise, 1, n).select("series_id", "s", "e", "component", "total")
+    length = F.col("e") - F.col("s")
+    single = sums.withColumn("v", F.col("total") * F.col("total") / length).groupBy("series_id", "s", "e")
+    left = sums.select("series_id", "component", "s", F.col("e").alias("cut"), F.col("total").alias("a"))
+    right = sums.select("series_id", "component", F.col("s").alias("cut"), "e", F.col("total").alias("b"))
+    na, nb = F.col("cut") - F.col("s"), F.col("e") - F.col("cut")
+    gap = na * nb / (na + nb) * F.pow(F.col("a") / na - F.col("b") / nb, F.lit(2.0))
+    split = left.join(right, ["series_id", "component", "cut"]).withColumn("v", gap).groupBy("series_id", "s", "cut", "e")
+    parts = []
+    for prefix, groups in (("", single), ("split_", split)):
+        held = groups.agg((F.sum(F.greatest(F.col("v") - 2 * math.log(p), F.lit(0.0))) < 2 * psi).alias("sparse"), (F.sum("v") < p + 2 * psi + 2 * math.sqrt(p * psi)).alias("dense"))
+        for kind in ("sparse", "dense"):
+            parts.append(held.agg(F.count("*").alias("intervals"), F.avg(F.col(kind).cast("int")).alias("share")).select(F.lit(prefix + kind).alias("event"), "intervals", "share"))
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
+    return out

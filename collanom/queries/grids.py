@@ -147,7 +147,7 @@ v AS (SELECT k, p + 2 * sqrt(p * psi) + 2 * psi AS flat, 2 * psi + 2 * k * ln(p)
 z AS (SELECT k, flat, linear, 2 * h + v + 2 * sqrt(v * h) AS curve FROM v)
 SELECT k::INTEGER AS k, round(flat + 3e-9, 6) AS flat, round(linear + 3e-9, 6) AS linear, round(curve + 3e-9, 6) AS curve, round(least(flat, linear, curve) + 3e-9, 6) AS composite,
   CASE WHEN flat <= linear AND flat <= curve THEN 'flat' WHEN linear <= curve THEN 'linear' ELSE 'curve' END AS binding FROM z""")
-def penalty_table_fig2(spark: SparkSession, sf: str) -> DataFrame:
+def penalty_table(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(pen.penalty_table(spark, _P, _PSI), "flat", "linear", "curve", "composite")
 
 

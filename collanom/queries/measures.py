@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import DetectorConfig
+from ..functions import penalties as pen
 from ..operators import calibrate, detect, evaluate, simulate
 from . import data
 from .data import _truth_sql, injected_sql
@@ -185,3 +186,59 @@ def run_metrics(spark: SparkSession, sf: str) -> DataFrame:
     sizes = detect.series_sizes(long).agg(F.sum(sum(F.greatest(F.col("n") - L + 1, F.lit(0)) for L in range(CFG.l, CFG.m + 1))).alias("possible"))
     chosen = detect.solve(found).agg(F.count("*").alias("chosen"), F.round(F.sum("score"), 5).alias("objective"))
     return isl.crossJoin(F.broadcast(sizes)).crossJoin(F.broadcast(chosen))
+
+
+@query()
+def noise_events(spark: SparkSession, sf: str) -> DataFrame:
+    """The bounds that the consistency result rests on, on all intervals of short noise."""
+    return rounded(evaluate.noise_events(simulate.noise(spark, 40, 5, 4, 23), 2 * math.log(40) + 4, 40, 5), "share")
+
+
+@query("""WITH g AS (SELECT k, 20.0 AS p, 2 * ln(1000) AS psi FROM range(1, 21) AS r(k))
+SELECT k::INTEGER AS k, round(CASE WHEN k = 1 THEN 2 * psi + 2 * ln(p) ELSE 2 * ln(p) END + 3e-9, 6) AS step, round(2 * psi + 2 * k * ln(p) + 3e-9, 6) AS price FROM g""")
+def penalty_increments(spark: SparkSession, sf: str) -> DataFrame:
+    """A curve as the price of a window and of each further component, and back."""
+    alpha, beta = pen.to_increments(pen.linear_penalty(20, 2 * math.log(1000)))
+    steps = [alpha, *beta[1:]]
+    rows = [(k, float(s), float(v)) for k, (s, v) in enumerate(zip(steps, pen.from_increments(alpha, beta), strict=True), 1)]
+    return rounded(spark.createDataFrame(rows, "k int, step double, price double"), "step", "price")
+
+
+@query("""SELECT w::INTEGER AS w, k::INTEGER AS k, round(CASE WHEN w = 0 THEN 2 * ln(9000) + 2 * k * ln(4) ELSE 2 * 1.05 * ln(9000) + 2 * k * 1.05 * (ln(4) + ln(w + 1)) END * 1.5 + 3e-9, 6) AS price FROM (VALUES (0), (40)) AS a(w), range(1, 5) AS b(k)""")
+def sparse_preset_scaled(spark: SparkSession, sf: str) -> DataFrame:
+    """The preset of long series with few components, times a constant."""
+    rows = [(w, k, v) for w in (0, 40) for k, v in enumerate(pen.scaled(pen.sparse_penalty(4, math.log(9000), w), 1.5), 1)]
+    return rounded(spark.createDataFrame(rows, "w int, k int, price double"), "price")
+
+
+@query()
+def empirical_penalty(spark: SparkSession, sf: str) -> DataFrame:
+    """A curve from simulated null savings, for laws without a formula."""
+    from ..operators import relational
+
+    savings = relational.window_savings_long(simulate.noise(spark, 30, 6, 10, 31), 5, 5, "meanvar")
+    wide = savings.groupBy("series_id", "s").agg(F.array_sort(F.collect_list("saving")).alias("v")).orderBy("series_id", "s").select("v").toPandas()
+    curve = pen.empirical_penalty([list(v) for v in wide["v"]], math.log(30))
+    return rounded(spark.createDataFrame(list(enumerate(map(float, curve), 1)), "k int, price double"), "price")
+
+
+@query()
+def objective_value(spark: SparkSession, sf: str) -> DataFrame:
+    return rounded(detect.detect(data.injected(spark, sf, points=True), CFG).objective, "objective")
+
+
+_POINT_KEY = "'1|point|' || series_id || '|' || j || '|{}'"
+
+
+@query(f"""WITH c AS (SELECT r::VARCHAR AS series_id, j FROM range(0, 3) AS a(r), range(0, 5) AS b(j))
+SELECT series_id, (floor({_U.format(_POINT_KEY.format('t'))} * 5000) + 1)::BIGINT AS t, (floor({_U.format(_POINT_KEY.format('c'))} * 10) + 1)::INTEGER AS component,
+  round(sqrt(-2 * ln({_U.format(_POINT_KEY.format('v|a'))})) * cos(2 * pi() * {_U.format(_POINT_KEY.format('v|b'))}) * sqrt(8 * ln(10)) + 3e-9, 6) AS delta FROM c""")
+def truth_points(spark: SparkSession, sf: str) -> DataFrame:
+    """Five single deviations a series, of variance 8 log p."""
+    return rounded(simulate.add_points(spark, 5000, 10, 3), "delta")
+
+
+@query(f"""WITH c AS (SELECT r::VARCHAR AS series_id, i::INTEGER AS component FROM range(0, 4) AS a(r), range(1, 65) AS b(i))
+SELECT series_id, 1 AS k, 20::BIGINT AS s, 40::BIGINT AS e, component, 0 AS d, 0 AS f, round(sqrt(2 * 1.5 * ln(64) / 20) + 3e-9, 6) AS mu FROM c WHERE {_U.format("'1|mixture|' || series_id || '|' || component")} < pow(64, -0.65)""")
+def truth_sparse_mixture(spark: SparkSession, sf: str) -> DataFrame:
+    return rounded(simulate.sparse_mixture(spark, 64, 0.65, 1.5, 20, 60, 20, 4), "mu")

@@ -73,3 +73,21 @@ def stream_for_each_batch(spark: SparkSession, sf: str) -> DataFrame:
     path = stream.work_folder(spark)
     stream.for_each_batch(stream.hourly_counts(stream.read_events(spark, sf)), lambda df, _: df.write.mode("append").parquet(path))
     return spark.read.schema("sec bigint, event_type string, n bigint").parquet(path)
+
+
+@query()
+def stream_late_rows(spark: SparkSession, sf: str) -> DataFrame:
+    """Rows behind the watermark are dropped and counted: the last day's file comes first, the first day's after it."""
+    path = stream.work_folder(spark)
+    events = load(spark, sf, "events").select(F.col("ts").cast("timestamp").alias("ts"), "event_type")
+    day = F.dayofmonth("ts")
+    events.where(day == 20).coalesce(1).write.parquet(f"{path}/in")
+    counts = spark.readStream.schema("ts timestamp, event_type string").parquet(f"{path}/in").withWatermark("ts", "2 hours").groupBy(F.window("ts", "1 hour"), "event_type").agg(F.count("*").alias("n"))
+    dropped = 0
+    for late in (None, 2):
+        if late:
+            events.where(day == late).coalesce(1).write.mode("append").parquet(f"{path}/in")
+        run = counts.writeStream.format("noop").outputMode("append").option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start()
+        run.awaitTermination()
+        dropped += sum(int(op["numRowsDroppedByWatermark"]) for p in run.recentProgress for op in p["stateOperators"])
+    return spark.createDataFrame([(dropped > 0,)], "counted boolean")
