@@ -16,6 +16,9 @@ rows are copies; null ids are kept and never name a component unless all its ids
 
 from __future__ import annotations
 
+import math
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -26,6 +29,8 @@ from .common import per_row, stored
 from .components import connected_components
 
 SEED = 42
+#: Segments of a fingerprint where several fingerprints are used.
+PARTS = 3
 #: Fingerprints at one key above which the key is compared in tiles.
 HOT_KEY = 4096
 TILE = 2048
@@ -82,9 +87,8 @@ def fingerprints(docs: DataFrame, shingle: int = 4, seeds: int = 1, id_col: str
     return per_row(docs, make, f"doc_id {kind}, fps array<bigint>", id_col, text_col)
 
 
-def segments(max_bits: int) -> list[tuple[int, int]]:
-    """(first bit, width) of the segments: enough that one of them differs in at most one bit."""
-    n = max_bits // 2 + 1
+def segments(n: int) -> list[tuple[int, int]]:
+    """(first bit, width) of n segments."""
     edges = [round(i * 64 / n) for i in range(n + 1)]
     return [(a, b - a) for a, b in zip(edges, edges[1:], strict=False)]
 
@@ -93,10 +97,10 @@ def _part(bits: Column, first: int, width: int) -> Column:
     return F.shiftrightunsigned(bits, first).bitwiseAND(F.lit((1 << width) - 1).cast("long"))
 
 
-def _key(fp: Column, first: int, width: int, bit: int) -> Column:
-    """The segment without one bit, below the bit's number: one long per variant."""
+def _key(first: int, width: int, bit: int) -> Column:
+    """The segment without one bit, below the bit's number and the seed's: one long per variant."""
     others = F.lit(~(1 << (bit - first))).cast("long")
-    return _part(fp, first, width).bitwiseAND(others).bitwiseOR(F.lit(bit << 56).cast("long"))
+    return _part(F.col("fp"), first, width).bitwiseAND(others).bitwiseOR(F.lit(bit << 54).cast("long")).bitwiseOR(F.shiftleft(F.col("seed").cast("long"), 60))
 
 
 def _first_shared(x: Column, cut: list[tuple[int, int]]) -> Column:
@@ -108,33 +112,54 @@ def _first_shared(x: Column, cut: list[tuple[int, int]]) -> Column:
     return out
 
 
-def links(distinct: DataFrame, max_bits: int = 4, hot_key: int = HOT_KEY) -> DataFrame:
-    """Links (a, b) between different fingerprints of a table with one row per fingerprint `fp`."""
-    cut = segments(max_bits)
-    variants = F.array(*[_key(F.col("fp"), first, width, bit) for first, width in cut for bit in range(first, first + width)])
-    rows = distinct.select("fp", F.explode(variants).alias("key"))
-    hot = stored(rows.groupBy("key").count().where(F.col("count") > hot_key))
+def links(distinct: DataFrame, max_bits: int = 4, parts: int | None = None, hot_key: int = HOT_KEY) -> DataFrame:
+    """Links (seed, a, b) between different fingerprints of a table with one row per (seed, fp); seeds are 0 to 7.
+
+    With `max_bits // 2 + 1` parts (the default) no link is missed. Fewer parts make rarer keys; then a
+    pair is found if one of its parts differs in at most one bit.
+    """
+    cut = segments(parts or max(2, max_bits // 2 + 1))
+    variants = F.array(*[_key(first, width, bit) for first, width in cut for bit in range(first, first + width)])
+    rows = distinct.select("seed", "fp", F.explode(variants).alias("key")).select("fp", "key")
+    hot = stored(_hot_keys(distinct, cut, hot_key))
     some_hot = bool(hot.head(1))
     cool = rows.join(hot, "key", "left_anti") if some_hot else rows
     a, b = cool.select(F.col("fp").alias("a"), F.col("key").alias("key_a")), cool.select(F.col("fp").alias("b"), F.col("key").alias("key_b"))
     x = F.col("a").bitwiseXOR(F.col("b"))
-    first = _first_shared(x, cut) == F.shiftrightunsigned("key_a", 56)
-    pairs = a.join(b, (F.col("key_a") == F.col("key_b")) & (F.col("a") < F.col("b")) & (F.bit_count(x) <= max_bits) & first).select("a", "b")
+    first = _first_shared(x, cut) == F.shiftrightunsigned("key_a", 54).bitwiseAND(F.lit(63).cast("long"))
+    seed = F.shiftrightunsigned("key_a", 60).cast("int").alias("seed")
+    pairs = a.join(b, (F.col("key_a") == F.col("key_b")) & (F.col("a") < F.col("b")) & (F.bit_count(x) <= max_bits) & first).select(seed, "a", "b")
     return pairs.unionByName(_tiled(rows, hot, max_bits)) if some_hot else pairs
 
 
+def _hot_keys(distinct: DataFrame, cut: list[tuple[int, int]], hot_key: int) -> DataFrame:
+    """(key, count): every key with over `hot_key` fingerprints, and a bound of their number.
+
+    A key holds the fingerprints of two whole segments; so only segments with over half as many are
+    looked at, a row a segment instead of one a variant.
+    """
+    whole = F.array(*[F.struct(F.lit(i).alias("part"), _part(F.col("fp"), first, width).alias("value")) for i, (first, width) in enumerate(cut)])
+    counts = distinct.select("seed", F.explode(whole).alias("w")).groupBy("seed", "w.part", "w.value").count().where(F.col("count") * 2 > hot_key)
+    keys = None
+    for i, (first, width) in enumerate(cut):
+        of = counts.where(F.col("part") == i).select("seed", "count", F.shiftleft("value", first).alias("fp"))
+        own = of.select("count", F.explode(F.array(*[_key(first, width, bit) for bit in range(first, first + width)])).alias("key"))
+        keys = own if keys is None else keys.unionByName(own)
+    return keys.groupBy("key").agg((F.max("count") * 2).alias("count"))
+
+
 def _tiled(rows: DataFrame, hot: DataFrame, max_bits: int) -> DataFrame:
     """Links at the hot keys: each key's fingerprints fall in parts, and each two parts are one task's tile."""
     parts = F.ceil(F.col("count") / TILE).cast("int")
     dealt = rows.join(hot, "key").select("key", "fp", parts.alias("n"), F.pmod(F.xxhash64("fp"), parts).cast("int").alias("part"))
     tiles = dealt.select("key", "fp", "part", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("other")).select("key", "fp", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"))
 
-    def forest(group: pa.Table) -> pa.Table:
+    def forest(key, group):
         fps = np.unique(group.column("fp").to_numpy()).view(np.uint64)
         root = np.arange(len(fps))
-        edges: list[tuple[int, int]] = []
+        edges = []
 
-        def top(v: int) -> int:
+        def top(v):
             while root[v] != v:
                 root[v] = root[root[v]]
                 v = root[v]
@@ -148,37 +173,51 @@ def _tiled(rows: DataFrame, hot: DataFrame, max_bits: int) -> DataFrame:
                     edges.append((i, j))
         signed = fps.view(np.int64)
         at = np.array(edges, dtype=np.int64).reshape(-1, 2)
-        return pa.table({"a": signed[at[:, 0]], "b": signed[at[:, 1]]})
+        return pa.table({"seed": pa.array([key[0].as_py() >> 60] * len(at), pa.int32()), "a": signed[at[:, 0]], "b": signed[at[:, 1]]})
 
-    return tiles.groupBy("key", "i", "j").applyInArrow(forest, "a bigint, b bigint")
+    return tiles.groupBy("key", "i", "j").applyInArrow(forest, "seed int, a bigint, b bigint")
 
 
-def _node_links(nodes: DataFrame, k: int, max_bits: int) -> DataFrame:
-    """Links (a, b) between nodes by their k-th fingerprint; nodes that share it are tied to the least of them."""
-    of = nodes.select("node", F.col("fps")[k].alias("fp"))
-    least = stored(of.groupBy("fp").agg(F.min("node").alias("least")))
-    pairs = links(least.select("fp"), max_bits)
-    named_a = least.select(F.col("fp").alias("a"), F.col("least").alias("node_a"))
-    named_b = least.select(F.col("fp").alias("b"), F.col("least").alias("node_b"))
-    between = pairs.join(named_a, "a").join(named_b, "b").select(F.col("node_a").alias("a"), F.col("node_b").alias("b"))
-    shared = of.join(least, "fp").where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b"))
-    return stored(between.unionByName(shared))
+def allowed_bits(similarity: float, bits: int, spare: float = 2.0) -> int:
+    """Differing bits of two texts whose shingles have this Jaccard index: the mean and some standard deviations."""
+    p = math.acos(min(1.0, 2 * similarity / (1 + similarity))) / math.pi
+    return int(bits * p + spare * math.sqrt(bits * p * (1 - p)))
 
 
-def components(docs: DataFrame, shingle: int = 4, max_bits: int = 4, seeds: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _node_links(nodes: DataFrame, seeds: int, max_bits: int, parts: int, total_bits: int) -> DataFrame:
+    """Links (a, b) between nodes of several fingerprints.
+
+    A pair that one seed's fingerprints bring together is verified over the bits of all seeds; nodes
+    that share a fingerprint are tied to the least of them.
+    """
+    of = nodes.select("node", F.posexplode("fps").alias("seed", "fp"))
+    least = stored(of.groupBy("seed", "fp").agg(F.min("node").alias("least")))
+    # a seed at a time: the variants of one are shuffled and gone before those of the next
+    each = [stored(links(least.where(F.col("seed") == k).select("seed", "fp"), max_bits, parts)) for k in range(seeds)]
+    found = reduce(DataFrame.unionByName, each)
+    a, b = (least.select("seed", F.col("fp").alias(c), F.col("least").alias(f"node_{c}")) for c in "ab")
+    pairs = stored(found.join(a, ["seed", "a"]).join(b, ["seed", "b"]).select(F.col("node_a").alias("a"), F.col("node_b").alias("b")).distinct())
+    one, two = (nodes.select(F.col("node").alias(c), F.col("fps").alias(f"fps_{c}")) for c in "ab")
+    differing = F.aggregate(F.zip_with("fps_a", "fps_b", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda s, n: s + n)
+    close = pairs.join(one, "a").join(two, "b").where(differing <= total_bits).select("a", "b")
+    shared = of.join(least, ["seed", "fp"]).where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b"))
+    return stored(close.unionByName(shared))
+
+
+def components(docs: DataFrame, shingle: int = 4, max_bits: int = 4, seeds: int = 1, similarity: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp, component_id): the smallest id reachable over links, copies included.
 
-    With several seeds every document has as many independent fingerprints, and two documents link if
-    any of them does: near copies whose first fingerprints lie just too far apart are found by another.
+    With one seed, texts link at `max_bits` or fewer differing bits of their fingerprints. With several
+    and a `similarity`, every text has as many independent fingerprints; a pair that shares a deletion
+    variant of one of them, within `max_bits`, links if the bits of all of them differ by no more than
+    those of texts of that similarity do.
     """
     marked = stored(fingerprints(docs, shingle, seeds, id_col, text_col).withColumn("node", F.col("fps")[0] if seeds == 1 else F.xxhash64("fps")))
     nodes = stored(marked.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.min("fps").alias("fps")))
     if seeds == 1:
-        found = stored(links(nodes.select(F.col("node").alias("fp")), max_bits))
+        found = stored(links(nodes.select(F.lit(0).alias("seed"), F.col("node").alias("fp")), max_bits).select("a", "b"))
     else:
-        found = _node_links(nodes, 0, max_bits)
-        for k in range(1, seeds):
-            found = found.unionByName(_node_links(nodes, k, max_bits))
+        found = _node_links(nodes, seeds, max_bits, PARTS, allowed_bits(similarity or 0.8, 64 * seeds))
     roots = connected_components(found).withColumnRenamed("node", "linked")  # of linked nodes only
     joined = nodes.join(roots, F.col("node") == F.col("linked"), "left").select("node", "first_id", F.coalesce("root", "node").alias("root"))
     least = joined.groupBy("root").agg(F.min("first_id").alias("component_id"))
@@ -192,11 +231,12 @@ def report(docs: DataFrame) -> DataFrame:
     return components(docs).select("doc_id", hexed.alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame, shingle: int = 5, max_bits: int = 4, seeds: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def keep_one(docs: DataFrame, shingle: int = 5, max_bits: int = 10, seeds: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One document of each group of near-duplicates: the one with the smallest id; repeated ids stay once.
 
-    A pair of similarity 0.8 or less links with a chance of a few hundredths; of pairs above 0.95
-    nearly all do.
+    Of pairs at the similarity itself about nine in ten are linked directly, of those above 0.85 nearly all.
     """
-    kept = components(docs, shingle, max_bits, seeds, id_col, text_col).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__kept")).distinct()
-    return docs.join(kept, docs[id_col].eqNullSafe(kept["__kept"]), "left_semi").dropDuplicates([id_col])
+    found = stored(components(docs, shingle, max_bits, seeds, similarity, id_col, text_col))
+    kept = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy(F.col("doc_id").alias("__kept")).count()
+    once = docs.join(kept.select("__kept"), docs[id_col].eqNullSafe(kept["__kept"]), "left_semi")
+    return once.dropDuplicates([id_col]) if kept.where("count > 1").head(1) else once
