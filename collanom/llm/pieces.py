@@ -34,8 +34,8 @@ from .common import slices
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
-#: Words that a worker keeps encoded.
-KEPT_WORDS = 400_000
+#: Words that a task keeps encoded.
+KEPT_WORDS = 200_000
 #: Words of more letters are merged with a heap.
 LONG_WORD = 40
 _NONE = float("-inf")
@@ -188,17 +188,6 @@ class Encoder:
         return raw[1:].decode("utf-8", "surrogatepass") if raw[:1] == b" " else raw.decode("utf-8", "surrogatepass")
 
 
-_ENCODERS: dict[str, Encoder] = {}
-
-
-def _encoder(name: str, table: PieceTable) -> Encoder:
-    """One per worker process, so that known words last over its tasks."""
-    if name not in _ENCODERS:
-        _ENCODERS.clear()
-        _ENCODERS[name] = Encoder(table)
-    return _ENCODERS[name]
-
-
 def encode(docs: DataFrame, path: str = MODEL, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_tokens, ids, ids_sha256, exact): token numbers of every text; `exact` says that they decode to it.
 
@@ -209,7 +198,7 @@ def encode(docs: DataFrame, path: str = MODEL, id_col: str = "doc_id", text_col:
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches):
-        own = _encoder(path, shared.value)
+        own = Encoder(shared.value)
         for batch in batches:
             for part in slices(batch, 2 << 20):
                 texts = part.column(1).to_pylist()
@@ -230,7 +219,7 @@ def decode(tokens: DataFrame, path: str = MODEL, id_col: str = "doc_id", ids_col
     kind = tokens.schema[id_col].dataType.simpleString()
 
     def run(batches):
-        own = _encoder(path, shared.value)
+        own = Encoder(shared.value)
         for batch in batches:
             texts = [None if x is None else own.decode(np.array(x, "<i4").tobytes()) for x in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], names=["doc_id", "text"])
