@@ -163,7 +163,8 @@ def learn(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col:
     ratio = 2 * (F.col("p") * F.log(F.col("p") / (both * share)) + F.when(F.col("n") > 0, F.col("n") * F.log(F.col("n") / (both * (1 - share)))).otherwise(0.0))
     odds = F.log((F.col("p") + 0.5) / (pos + 1)) - F.log((F.col("n") + 0.5) / (neg + 1))
     chosen = totals.where("p > 0").withColumn("ratio", ratio).withColumn("odds", odds).where((F.col("ratio") >= LEAST_RATIO) & (F.col("odds") >= LEAST_ODDS))
-    entries = {r["entry"]: r["odds"] for r in chosen.orderBy(F.desc("ratio"), "entry").limit(ENTRIES).collect()}
+    found = {r["entry"]: (r["p"], r["odds"]) for r in chosen.orderBy(F.desc("ratio"), "entry").limit(ENTRIES).collect()}
+    entries = _telling(found)
     lexicon = Lexicon(entries)
 
     def measured(batches):
@@ -176,6 +177,15 @@ def learn(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col:
     return Lexicon(entries, curve=_curve(sample[["a", "b"]].to_numpy(), sample["y"].to_numpy()))
 
 
+def _telling(found: dict[str, tuple[int, float]], share: float = 0.9) -> dict[str, float]:
+    """Without beginnings whose toxic documents a longer entry explains: "tras" where "trash" is all there is to it."""
+    longer: dict[str, int] = {}
+    for entry, (docs, _) in found.items():
+        for n in range(PREFIX[0] + 1, len(entry)):
+            longer[entry[:n]] = max(longer.get(entry[:n], 0), docs)
+    return {e: odds for e, (docs, odds) in found.items() if longer.get(e, 0) < share * docs}
+
+
 def _curve(x: np.ndarray, y: np.ndarray, penalty: float = 0.05) -> tuple[float, float, float]:
     """Ridge-penalised logistic regression by Newton steps."""
     z = np.column_stack([np.ones(len(x)), x])
