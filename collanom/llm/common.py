@@ -9,6 +9,7 @@ from collections.abc import Callable, Iterable, Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: Text bytes that a worker holds decoded at once.
 BLOCK_BYTES = 8 << 20
@@ -65,8 +66,7 @@ def per_row(
 
     `make` is called once per task and gives the function applied to each row; map-only, no shuffle.
     """
-    spark = df.sparkSession
-    fields = spark.createDataFrame([], schema).schema
+    fields = StructType.fromDDL(schema)
     arrow = _arrow_schema(fields)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
