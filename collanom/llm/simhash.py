@@ -31,6 +31,8 @@ from .components import connected_components
 SEED = 42
 #: Segments of a fingerprint where several fingerprints are used.
 PARTS = 3
+#: Differing bits of one fingerprint at which texts link without a look at the others.
+STRICT_BITS = 4
 #: Fingerprints at one key above which the key is compared in tiles.
 HOT_KEY = 4096
 TILE = 2048
@@ -184,24 +186,50 @@ def allowed_bits(similarity: float, bits: int, spare: float = 2.0) -> int:
     return int(bits * p + spare * math.sqrt(bits * p * (1 - p)))
 
 
-def _node_links(nodes: DataFrame, seeds: int, max_bits: int, parts: int, total_bits: int) -> DataFrame:
-    """Links (a, b) between nodes of several fingerprints.
+def _with_hubs(rows: DataFrame, max_bits: int) -> DataFrame:
+    """Of (fp, label, key), the rows within `max_bits` of the bucket's member of least or of greatest label, if that is another group: (label, other, a, b, bits)."""
+    dealt = rows.repartition("key")
+    hubs = dealt.groupBy(F.col("key").alias("hub_key")).agg(
+        F.min("label").alias("l1"), F.min_by("fp", "label").alias("f1"), F.max("label").alias("l2"), F.max_by("fp", "label").alias("f2")
+    )
+    far = F.lit(99)
+    d1 = F.when(F.col("label") != F.col("l1"), F.bit_count(F.col("fp").bitwiseXOR(F.col("f1")))).otherwise(far)
+    d2 = F.when(F.col("label") != F.col("l2"), F.bit_count(F.col("fp").bitwiseXOR(F.col("f2")))).otherwise(far)
+    near = dealt.join(hubs.where("l1 < l2"), (F.col("key") == F.col("hub_key")) & (F.least(d1, d2) <= max_bits))
+    first = d1 <= d2
+    return near.select("label", F.when(first, F.col("l1")).otherwise(F.col("l2")).alias("other"), F.col("fp").alias("a"), F.when(first, F.col("f1")).otherwise(F.col("f2")).alias("b"), F.least(d1, d2).alias("bits"))
 
-    A pair that one seed's fingerprints bring together is verified over the bits of all seeds; nodes
-    that share a fingerprint are tied to the least of them.
+
+def _node_links(nodes: DataFrame, seeds: int, strict_bits: int, max_bits: int, total_bits: int) -> DataFrame:
+    """Links (a, b) between nodes of several fingerprints, as many as groups need and not as many as pairs.
+
+    First, nodes that share a fingerprint, and all links of the first one at `strict_bits`, make groups.
+    Then, at every key of every seed, fingerprints are held against the key's members of the least and the
+    greatest group (within `max_bits`); of each two groups the closest pair is verified over the bits of all seeds.
     """
     of = nodes.select("node", F.posexplode("fps").alias("seed", "fp"))
-    least = stored(of.groupBy("seed", "fp").agg(F.min("node").alias("least")))
-    # a seed at a time: the variants of one are shuffled and gone before those of the next
-    each = [stored(links(least.where(F.col("seed") == k).select("seed", "fp"), max_bits, parts)) for k in range(seeds)]
-    found = reduce(DataFrame.unionByName, each)
-    a, b = (least.select("seed", F.col("fp").alias(c), F.col("least").alias(f"node_{c}")) for c in "ab")
-    pairs = stored(found.join(a, ["seed", "a"]).join(b, ["seed", "b"]).select(F.col("node_a").alias("a"), F.col("node_b").alias("b")).distinct())
-    one, two = (nodes.select(F.col("node").alias(c), F.col("fps").alias(f"fps_{c}")) for c in "ab")
+    least = stored(of.groupBy("seed", "fp").agg(F.min("node").alias("owner")))
+    shared = of.join(least, ["seed", "fp"]).where("node <> owner").select(F.col("owner").alias("a"), F.col("node").alias("b"))
+    head = least.where("seed = 0")
+    a, b = (head.select(F.col("fp").alias(c), F.col("owner").alias(f"node_{c}")) for c in "ab")
+    strict = links(head.select("seed", "fp"), strict_bits).join(a, "a").join(b, "b").select(F.col("node_a").alias("a"), F.col("node_b").alias("b"))
+    stars = stored(connected_components(stored(strict.unionByName(shared))))
+    root = stars.select(F.col("node").alias("owner"), "root")
+    labelled = stored(least.join(root, "owner", "left").select("seed", "fp", "owner", F.coalesce("root", "owner").alias("label")))
+    cut = segments(PARTS)
+    variants = F.array(*[_key(first, width, bit) for first, width in cut for bit in range(first, first + width)])
+    each = []
+    for k in range(seeds):  # a seed at a time: the variants of one are shuffled and gone before those of the next
+        rows = labelled.where(F.col("seed") == k).select("fp", "label", F.explode(variants).alias("key"))
+        each.append(stored(_with_hubs(rows, max_bits).withColumn("seed", F.lit(k))))
+    pair = F.struct("seed", "a", "b")
+    close = reduce(DataFrame.unionByName, each).groupBy(F.least("label", "other").alias("x"), F.greatest("label", "other").alias("y")).agg(F.min_by(pair, F.col("bits")).alias("p"))
+    close = close.select("x", "y", "p.seed", "p.a", "p.b")
+    owner = labelled.join(nodes.withColumnRenamed("node", "owner"), "owner")
+    one, two = (owner.select("seed", F.col("fp").alias(c), F.col("fps").alias(f"fps_{c}")) for c in "ab")
     differing = F.aggregate(F.zip_with("fps_a", "fps_b", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda s, n: s + n)
-    close = pairs.join(one, "a").join(two, "b").where(differing <= total_bits).select("a", "b")
-    shared = of.join(least, ["seed", "fp"]).where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b"))
-    return stored(close.unionByName(shared))
+    verified = close.join(one, ["seed", "a"]).join(two, ["seed", "b"]).where(differing <= total_bits).select(F.col("x").alias("a"), F.col("y").alias("b"))
+    return stored(verified.unionByName(stars.select(F.col("root").alias("a"), F.col("node").alias("b"))))
 
 
 def components(docs: DataFrame, shingle: int = 4, max_bits: int = 4, seeds: int = 1, similarity: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -210,14 +238,15 @@ def components(docs: DataFrame, shingle: int = 4, max_bits: int = 4, seeds: int
     With one seed, texts link at `max_bits` or fewer differing bits of their fingerprints. With several
     and a `similarity`, every text has as many independent fingerprints; a pair that shares a deletion
     variant of one of them, within `max_bits`, links if the bits of all of them differ by no more than
-    those of texts of that similarity do.
+    those of texts of that similarity do. Groups are joined by their closest pairs, so a large group of
+    near copies costs no more links than it has members.
     """
     marked = stored(fingerprints(docs, shingle, seeds, id_col, text_col).withColumn("node", F.col("fps")[0] if seeds == 1 else F.xxhash64("fps")))
     nodes = stored(marked.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.min("fps").alias("fps")))
     if seeds == 1:
         found = stored(links(nodes.select(F.lit(0).alias("seed"), F.col("node").alias("fp")), max_bits).select("a", "b"))
     else:
-        found = _node_links(nodes, seeds, max_bits, PARTS, allowed_bits(similarity or 0.8, 64 * seeds))
+        found = _node_links(nodes, seeds, STRICT_BITS, max_bits, allowed_bits(similarity or 0.8, 64 * seeds))
     roots = connected_components(found).withColumnRenamed("node", "linked")  # of linked nodes only
     joined = nodes.join(roots, F.col("node") == F.col("linked"), "left").select("node", "first_id", F.coalesce("root", "node").alias("root"))
     least = joined.groupBy("root").agg(F.min("first_id").alias("component_id"))
