@@ -11,8 +11,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-#: Text bytes that a worker holds decoded at once.
+#: Text of a block that is hashed and counted together.
 BLOCK_BYTES = 8 << 20
+#: Text that a worker holds decoded at once.
+SLICE_BYTES = 4 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -43,7 +45,7 @@ def text_bytes(df: DataFrame, text: str = "text") -> int:
     return int(df.agg(F.coalesce(F.sum(F.octet_length(F.col(text))), F.lit(0)).alias("n")).first()["n"])
 
 
-def slices(batch: pa.RecordBatch, size: int = BLOCK_BYTES, text: int = 1) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, size: int = SLICE_BYTES, text: int = 1) -> Iterator[pa.RecordBatch]:
     """A batch in runs of rows of about `size` text bytes each, so that a worker's memory is bounded."""
     column = batch.column(text)
     if batch.num_rows < 2 or column.nbytes <= size:

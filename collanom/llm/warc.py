@@ -16,7 +16,6 @@ first; an empty table gives no archives and no rows.
 
 from __future__ import annotations
 
-import base64
 import gzip
 import hashlib
 import re
@@ -37,6 +36,7 @@ ARCHIVE_BYTES = 4 << 20
 SPLITTER_SAMPLE = 4096
 RANGE_ROWS = 20_000
 #: Captures without a time of their own are dated this much after the epoch of the crawl, by id.
+_CONTROL = re.compile(r"[\x00-\x20\x7f-\x9f\u2028\u2029]")
 EPOCH = datetime(2024, 1, 1, tzinfo=UTC)
 
 
@@ -66,7 +66,7 @@ def record(page: int | None, url: str | None, payload: bytes, digest: str, refer
         "WARC-Type": "response" if refers_to is None else "revisit",
         "WARC-Record-ID": f"<urn:page:{'' if page is None else page}>",
         "WARC-Date": stamp(page),
-        "WARC-Target-URI": base64.b64encode(url.encode("utf-8", "surrogatepass")).decode() if url and not url.isprintable() else url or "",
+        "WARC-Target-URI": _CONTROL.sub(lambda m: f"%{ord(m[0]):02X}", url or ""),
         "WARC-Payload-Digest": f"sha256:{digest}",
         "Content-Type": "application/http; msgtype=response",
         "Content-Length": str(len(block)),
