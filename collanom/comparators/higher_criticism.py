@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import DetectorConfig
-from ..operators.detect import _matrix, series_sizes, solve, with_halo
+from ..operators.detect import _matrix, known_sizes, solve, with_halo
 
 _SCORED = "series_id string, s bigint, e bigint, k int, score double, kind string"
 
@@ -36,7 +36,7 @@ def higher_criticism(z: np.ndarray, alpha0: int) -> np.ndarray:
 def hc_windows(long: DataFrame, cfg: DetectorConfig, alpha0: int = 1, threshold: float = 20.0) -> DataFrame:
     """Windows of lengths 1..m whose statistic exceeds the threshold: (series_id, s, e, k, score, kind)."""
     size = 10 * cfg.m
-    rows = with_halo(long, series_sizes(long), cfg, size)
+    rows = with_halo(long, known_sizes(long), cfg, size)
     m = cfg.m
 
     def score(key, group):

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..config import DetectorConfig
 from .blocks import best_chain, undominated
-from .detect import _matrix, candidates, islands, kernel_for, series_sizes, with_halo
+from .detect import _matrix, candidates, islands, kernel_for, known_sizes, with_halo
 
 
 def critical_scale(null: DataFrame, cfg: DetectorConfig, chunk: int | None = None) -> DataFrame:
@@ -20,7 +20,7 @@ def critical_scale(null: DataFrame, cfg: DetectorConfig, chunk: int | None = Non
     """
     base = cfg.with_(scale=1.0)
     size = chunk or 10 * cfg.m
-    rows = with_halo(null, series_sizes(null), base, size)
+    rows = with_halo(null, known_sizes(null), base, size)
 
     def most(key, group):
         n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()
@@ -62,7 +62,7 @@ def sweep(long: DataFrame, cfg: DetectorConfig, scales: list[float], points: boo
     """
     low = min(scales)
     size = 10 * cfg.m
-    rows = with_halo(long, series_sizes(long), cfg, size)
+    rows = with_halo(long, known_sizes(long), cfg, size)
     all_cfg = [(c, cfg.with_(scale=c)) for c in sorted(scales)]
 
     def score(key, group):
@@ -83,7 +83,7 @@ def sweep(long: DataFrame, cfg: DetectorConfig, scales: list[float], points: boo
         return pa.table({"series_id": pa.array([key[0].as_py()] * len(s), pa.string()), "scale": scale, "s": s.astype(np.int64), "e": e.astype(np.int64), "score": v, "kind": pa.array(np.where(is_point, "point", "window").tolist(), pa.string())})
 
     assert low > 0
-    found = rows.groupBy("series_id", "chunk").applyInArrow(score, "series_id string, scale double, s bigint, e bigint, score double, kind string")
+    found = rows.groupBy("series_id", "chunk").applyInArrow(score, "series_id string, scale double, s bigint, e bigint, score double, kind string").persist()
     by = ("series_id", "scale")
 
     def chain(pdf):

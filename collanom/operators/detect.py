@@ -22,6 +22,8 @@ from .blocks import Kernel, best_chain, dense_optimum, greedy_chain, pruned_opti
 
 #: Rows of a chunk: many times the halo, so that little is read twice.
 CHUNK = 4096
+#: Series up to which their sizes are fetched and broadcast: three numbers each.
+BROADCAST_SERIES = 100_000
 _CANDIDATES = "series_id string, s bigint, e bigint, k int, score double, kind string"
 
 
@@ -34,6 +36,10 @@ class DetectionResult:
     long: DataFrame
     cfg: DetectorConfig
 
+    def release(self) -> None:
+        """Frees the kept candidates once the results have been read."""
+        self.candidates.unpersist()
+
     @property
     def windows(self) -> DataFrame:
         return self.chosen.where("kind = 'window'").select("series_id", "s", "e", "k", "score")
@@ -60,6 +66,15 @@ def series_sizes(long: DataFrame) -> DataFrame:
     return long.groupBy("series_id").agg(F.max("t").alias("n"), F.max("component").alias("p"))
 
 
+def known_sizes(long: DataFrame) -> DataFrame:
+    """The sizes, fetched and broadcast if there are at most `BROADCAST_SERIES` series; else left to a join by key."""
+    sizes = series_sizes(long)
+    rows = sizes.limit(BROADCAST_SERIES + 1).collect()
+    if len(rows) > BROADCAST_SERIES:
+        return sizes
+    return F.broadcast(long.sparkSession.createDataFrame([tuple(r) for r in rows], "series_id string, n bigint, p int"))
+
+
 def chunk_rows(cfg: DetectorConfig, p: int = 1) -> int:
     """Rows of a chunk: at least ten halos, and less for very many components."""
     return max(10 * cfg.m, min(CHUNK, (64 << 20) // (8 * max(p, 1))))
@@ -70,10 +85,13 @@ def with_halo(long: DataFrame, sizes: DataFrame, cfg: DetectorConfig, chunk: int
     size = chunk or 10 * cfg.m
     if size < cfg.m:
         raise ValueError("a chunk must hold the longest window")
-    wide = long.groupBy("series_id", "t").agg(F.transform(F.array_sort(F.collect_list(F.struct("component", "x"))), lambda c: c["x"]).alias("xs"))
     own = F.floor((F.col("t") - 1) / size).cast("long")
     twice = F.when(F.col("t") > (own + 1) * size - cfg.m, F.array(own, own + 1)).otherwise(F.array(own))
-    return wide.join(sizes, "series_id").where(F.size("xs") == F.col("p")).select("series_id", "n", "p", "t", "xs", F.explode(twice).alias("chunk")).where(F.col("chunk") * size < F.col("n"))
+    cells = long.join(sizes, "series_id").select("series_id", "n", "p", "t", "component", "x", F.explode(twice).alias("chunk")).where(F.col("chunk") * size < F.col("n"))
+    # dealt by (series, chunk) once: the rows of a time and the chunk's kernel then need no further shuffle
+    dealt = cells.repartition("series_id", "chunk")
+    xs = F.transform(F.array_sort(F.collect_list(F.struct("component", "x"))), lambda c: c["x"])
+    return dealt.groupBy("series_id", "chunk", "n", "p", "t").agg(xs.alias("xs")).where(F.size("xs") == F.col("p"))
 
 
 @lru_cache(maxsize=64)
@@ -96,7 +114,7 @@ def candidates(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0, chunk:
 
     `rates`: (series_id, component, mu) for the count cost; it travels with the rows of its series.
     """
-    sizes = series_sizes(long)
+    sizes = known_sizes(long)
     size = chunk or 10 * cfg.m
     rows = with_halo(long, sizes, cfg, size)
     if rates is not None:
@@ -137,10 +155,10 @@ def islands(found: DataFrame, min_gap: int = 0, by: tuple[str, ...] = ("series_i
     bucket only: rows are ordered within buckets, and only one row a bucket is ordered over the series.
     """
     size = max(longest, 4096)
-    rows = found.withColumn("bucket", F.floor(F.col("s") / size))
     keys = [*by, "bucket"]
+    rows = found.withColumn("bucket", F.floor(F.col("s") / size)).repartition(*keys)
     order = Window.partitionBy(*keys).orderBy("s", "e", "kind")
-    reached = rows.groupBy(*by, (F.col("bucket") + 1).alias("bucket")).agg(F.max("e").alias("reached"))
+    reached = rows.groupBy(*keys).agg(F.max("e").alias("reached")).withColumn("bucket", F.col("bucket") + 1)
     seen = F.greatest(F.max("e").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.col("reached"))
     marked = rows.join(reached, keys, "left").withColumn("seen", seen).withColumn("begins", F.when(F.col("seen").isNull() | (F.col("s") >= F.col("seen") + min_gap), F.col("s")))
     last = Window.partitionBy(*by).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
@@ -164,6 +182,7 @@ def solve(found: DataFrame, min_gap: int = 0, greedy: bool = False, by: tuple[st
         return pdf.iloc[keep].drop(columns="island")
 
     fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in found.schema.fields)
+    found = found.persist()  # few rows, read by several branches: without this every branch scores the series anew
     return islands(found, min_gap, by, longest).groupBy(*by, "island").applyInPandas(chain, fields)
 
 
@@ -173,7 +192,7 @@ def detect(long: DataFrame, cfg: DetectorConfig, plan: str = "islands", rates: D
     `plan`: islands (default), reference or pruned (one task per series), greedy.
     """
     if plan in ("islands", "greedy"):
-        found = candidates(long, cfg, rates=rates)
+        found = candidates(long, cfg, rates=rates).persist()
         return DetectionResult(solve(found, cfg.min_gap, plan == "greedy", longest=cfg.m), found, long, cfg)
     chosen = per_series(long, cfg, plan)
     return DetectionResult(chosen, chosen, long, cfg)
@@ -181,7 +200,7 @@ def detect(long: DataFrame, cfg: DetectorConfig, plan: str = "islands", rates: D
 
 def per_series(long: DataFrame, cfg: DetectorConfig, plan: str = "pruned", cap: int | None = None) -> DataFrame:
     """The whole recursion in one task per series: `reference` (every window up to m) or `pruned` (no cap on lengths unless given)."""
-    sizes = series_sizes(long)
+    sizes = known_sizes(long)
     wide = with_halo(long, sizes, cfg.with_(m=max(cfg.m, 1)), 1 << 40)
 
     def run(key, group):
@@ -196,7 +215,7 @@ def per_series(long: DataFrame, cfg: DetectorConfig, plan: str = "pruned", cap:
 
 def pruning_profile(long: DataFrame, cfg: DetectorConfig) -> DataFrame:
     """(series_id, step, alive, possible): starts evaluated at each step against those without pruning."""
-    wide = with_halo(long, series_sizes(long), cfg, 1 << 40)
+    wide = with_halo(long, known_sizes(long), cfg, 1 << 40)
 
     def run(key, group):
         n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()

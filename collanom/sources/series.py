@@ -26,7 +26,9 @@ def series_from_table(df: DataFrame, time: str, label: Column, value: Column | N
     The projection and the time bucket stay in the scan's stage; the aggregate combines map-side.
     """
     measure = {"count": F.count(F.lit(1)).cast("double"), "sum": F.sum(value) if value is not None else None, "mean": F.avg(value) if value is not None else None}[agg]
-    rows = df.select(_lit(series).cast("string").alias("series_id"), F.date_trunc(unit, F.col(time)).alias("tick"), label.cast("string").alias("label"), *([value.alias("v")] if value is not None else []))
+    # tied to a column, so that a stated name is not folded out of later joins, which would leave them without a key
+    name = F.when(F.col(time).isNotNull(), _lit(series).cast("string"))
+    rows = df.select(name.alias("series_id"), F.date_trunc(unit, F.col(time)).alias("tick"), label.cast("string").alias("label"), *([value.alias("v")] if value is not None else []))
     if value is not None:
         measure = {"count": F.count(F.lit(1)).cast("double"), "sum": F.sum("v"), "mean": F.avg("v")}[agg]
     return rows.groupBy("series_id", "tick", "label").agg(measure.alias("x"))
@@ -52,7 +54,7 @@ def densify(cells: DataFrame, unit: str = "hour", fill: str = "zero", ticks: Dat
 
 def explode_vectors(df: DataFrame, key: str = "vec_id", vector: str = "embedding", series: str = "all") -> DataFrame:
     """A vector column as a series in key order: one component per slot. Keys are dense from 0 or 1 in the given tables; other keys are ranked."""
-    return df.select(F.lit(series).alias("series_id"), (F.col(key) + 1).cast("long").alias("t"), F.posexplode(vector).alias("pos", "v")).select("series_id", "t", (F.col("pos") + 1).cast("int").alias("component"), F.col("v").cast("double").alias("x"))
+    return df.select(F.when(F.col(key).isNotNull(), F.lit(series)).alias("series_id"), (F.col(key) + 1).cast("long").alias("t"), F.posexplode(vector).alias("pos", "v")).select("series_id", "t", (F.col("pos") + 1).cast("int").alias("component"), F.col("v").cast("double").alias("x"))
 
 
 def to_wide(long: DataFrame) -> DataFrame:
