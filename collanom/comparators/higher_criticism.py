@@ -27,7 +27,7 @@ def normal_upper(z: np.ndarray) -> np.ndarray:
 def higher_criticism(z: np.ndarray, alpha0: int) -> np.ndarray:
     """Largest standardised gap between the i-th smallest p-value and i / p, over i >= alpha0; rows are windows."""
     p = z.shape[-1]
-    values = np.sort(np.clip(2 * normal_upper(np.abs(z)), 1e-16, 1 - 1e-12), axis=-1)
+    values = np.sort(np.clip(2 * normal_upper(np.abs(z)), 1e-300, 1 - 1e-12), axis=-1)
     i = np.arange(1, p + 1)
     hc = np.sqrt(p) * (i / p - values) / np.sqrt(values * (1 - values))
     return hc[..., alpha0 - 1 : max(alpha0, p // 2)].max(axis=-1)
