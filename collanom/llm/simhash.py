@@ -36,6 +36,10 @@ STRICT_BITS = 4
 #: Fingerprints at one key above which the key is compared in tiles.
 HOT_KEY = 4096
 TILE = 2048
+#: Rows at one key of several fingerprints up to which keys are compared together.
+SHIFTS = 64
+#: Rows that a worker compares at once.
+BUCKET_ROWS = 1 << 17
 _LOWER = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
 
 
@@ -186,26 +190,102 @@ def allowed_bits(similarity: float, bits: int, spare: float = 2.0) -> int:
     return int(bits * p + spare * math.sqrt(bits * p * (1 - p)))
 
 
-def _with_hubs(rows: DataFrame, max_bits: int) -> DataFrame:
-    """Of (fp, label, key), the rows within `max_bits` of the bucket's member of least or of greatest label, if that is another group: (label, other, a, b, bits)."""
-    dealt = rows.repartition("key")
-    hubs = dealt.groupBy(F.col("key").alias("hub_key")).agg(
-        F.min("label").alias("l1"), F.min_by("fp", "label").alias("f1"), F.max("label").alias("l2"), F.max_by("fp", "label").alias("f2")
-    )
-    far = F.lit(99)
-    d1 = F.when(F.col("label") != F.col("l1"), F.bit_count(F.col("fp").bitwiseXOR(F.col("f1")))).otherwise(far)
-    d2 = F.when(F.col("label") != F.col("l2"), F.bit_count(F.col("fp").bitwiseXOR(F.col("f2")))).otherwise(far)
-    near = dealt.join(hubs.where("l1 < l2"), (F.col("key") == F.col("hub_key")) & (F.least(d1, d2) <= max_bits))
-    first = d1 <= d2
-    return near.select("label", F.when(first, F.col("l1")).otherwise(F.col("l2")).alias("other"), F.col("fp").alias("a"), F.when(first, F.col("f1")).otherwise(F.col("f2")).alias("b"), F.least(d1, d2).alias("bits"))
+def _bucket_forest(fps: np.ndarray, group: np.ndarray, k: int, max_bits: int, total_bits: int) -> list[tuple[int, int]]:
+    """Verified links of one bucket, as rows (i, j) that join different groups.
+
+    A row outside the largest group is held against all rows of other groups and is then done; rows that
+    have become one group need no look at each other. So a group of near copies costs its size, and
+    strangers cost their number times the size.
+    """
+    comp = np.unique(group, return_inverse=True)[1]
+    left = np.arange(len(comp))
+    edges = []
+    while True:
+        sizes = np.bincount(comp[left])
+        if np.count_nonzero(sizes) < 2:
+            return edges
+        at = int(np.argmax(comp[left] != np.argmax(sizes)))
+        i, left = int(left[at]), np.delete(left, at)
+        near = left[comp[left] != comp[i]]
+        near = near[np.bitwise_count(fps[near, k] ^ fps[i, k]) <= max_bits]
+        near = near[np.bitwise_count(fps[near] ^ fps[i]).sum(axis=1, dtype=np.int64) <= total_bits]
+        others, first = np.unique(comp[near], return_index=True)
+        edges += [(i, int(j)) for j in near[first]]
+        comp[np.isin(comp, others)] = comp[i]
+
+
+def _compared(rows: DataFrame, seeds: int, k: int, max_bits: int, total_bits: int) -> DataFrame:
+    """Links (a, b) between labels of (key, label, p0, p1, ..): every pair of rows of a key, of different labels, that is within `max_bits` in seed k and within `total_bits` over all seeds.
+
+    A task returns a spanning forest of its links. Keys of up to `SHIFTS` rows are compared many at once,
+    row by row with the one d places further; larger keys one by one.
+    """
+    names = ["key", "label", *[f"p{i}" for i in range(seeds)]]
+
+    def of_rows(columns, top):
+        key, label, fps = columns[0], columns[1], np.stack(columns[2:], axis=1).view(np.uint64)
+        starts = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+        counts = np.diff(np.append(starts, len(key)))
+        found = []
+        for at, n in zip(starts[counts > SHIFTS].tolist(), counts[counts > SHIFTS].tolist(), strict=True):
+            found += [(label[at + i], label[at + j]) for i, j in _bucket_forest(fps[at : at + n], label[at : at + n], k, max_bits, total_bits)]
+        bucket = np.repeat(np.arange(len(starts)), counts)
+        rows = np.flatnonzero(np.repeat((counts > 1) & (counts <= SHIFTS), counts))
+        own = np.ascontiguousarray(fps[:, k])
+        for d in range(1, SHIFTS):
+            rows = rows[rows + d < len(key)]
+            rows = rows[bucket[rows] == bucket[rows + d]]
+            if not len(rows):
+                break
+            near = rows[(np.bitwise_count(own[rows] ^ own[rows + d]) <= max_bits) & (label[rows] != label[rows + d])]
+            near = near[np.bitwise_count(fps[near] ^ fps[near + d]).sum(axis=1, dtype=np.int64) <= total_bits]
+            found += np.unique(np.stack([label[near], label[near + d]], axis=1), axis=0).tolist()
+        edges = []
+        for x, y in found:
+            p, q = top(int(x)), top(int(y))
+            if p != q:
+                edges.append((p, q))
+                top.root[q] = p
+        return edges
+
+    def run(batches):
+        root: dict[int, int] = {}
+
+        def top(v):
+            while (up := root.get(v, v)) != v:
+                root[v] = root.get(up, up)
+                v = up
+            return v
+
+        top.root = root
+        held, n = [], 0
+
+        def out(columns):
+            at = np.array(of_rows(columns, top), dtype=np.int64).reshape(-1, 2)
+            return pa.RecordBatch.from_arrays([pa.array(at[:, 0]), pa.array(at[:, 1])], names=["a", "b"])
+
+        for batch in batches:
+            held.append([c.to_numpy() for c in batch.columns])
+            n += batch.num_rows
+            last = held[-1][0]
+            if n >= BUCKET_ROWS and last[0] != last[-1]:  # what follows the last key's first row is kept for the next round
+                cut = int(np.searchsorted(last, last[-1]))
+                tail = [c[cut:] for c in held[-1]]
+                held[-1] = [c[:cut] for c in held[-1]]
+                yield out([np.concatenate(c) for c in zip(*held, strict=True)])
+                held, n = [tail], len(tail[0])
+        if n:
+            yield out([np.concatenate(c) for c in zip(*held, strict=True)])
+
+    return rows.select(*names).repartition("key").sortWithinPartitions("key").mapInArrow(run, "a bigint, b bigint")
 
 
 def _node_links(nodes: DataFrame, seeds: int, strict_bits: int, max_bits: int, total_bits: int) -> DataFrame:
     """Links (a, b) between nodes of several fingerprints, as many as groups need and not as many as pairs.
 
     First, nodes that share a fingerprint, and all links of the first one at `strict_bits`, make groups.
-    Then, at every key of every seed, fingerprints are held against the key's members of the least and the
-    greatest group (within `max_bits`); of each two groups the closest pair is verified over the bits of all seeds.
+    Then, at every key of every seed, all nodes of different groups are compared: those within `max_bits`
+    in that seed and within `total_bits` over all seeds link their groups.
     """
     of = nodes.select("node", F.posexplode("fps").alias("seed", "fp"))
     least = stored(of.groupBy("seed", "fp").agg(F.min("node").alias("owner")))
@@ -214,21 +294,15 @@ def _node_links(nodes: DataFrame, seeds: int, strict_bits: int, max_bits: int, t
     a, b = (head.select(F.col("fp").alias(c), F.col("owner").alias(f"node_{c}")) for c in "ab")
     strict = links(head.select("seed", "fp"), strict_bits).join(a, "a").join(b, "b").select(F.col("node_a").alias("a"), F.col("node_b").alias("b"))
     stars = stored(connected_components(stored(strict.unionByName(shared))))
-    root = stars.select(F.col("node").alias("owner"), "root")
-    labelled = stored(least.join(root, "owner", "left").select("seed", "fp", "owner", F.coalesce("root", "owner").alias("label")))
+    prints = [F.col("fps")[i].alias(f"p{i}") for i in range(seeds)]
+    labelled = stored(nodes.join(stars, "node", "left").select(F.coalesce("root", "node").alias("label"), *prints))
     cut = segments(PARTS)
     variants = F.array(*[_key(first, width, bit) for first, width in cut for bit in range(first, first + width)])
     each = []
     for k in range(seeds):  # a seed at a time: the variants of one are shuffled and gone before those of the next
-        rows = labelled.where(F.col("seed") == k).select("fp", "label", F.explode(variants).alias("key"))
-        each.append(stored(_with_hubs(rows, max_bits).withColumn("seed", F.lit(k))))
-    pair = F.struct("seed", "a", "b")
-    close = reduce(DataFrame.unionByName, each).groupBy(F.least("label", "other").alias("x"), F.greatest("label", "other").alias("y")).agg(F.min_by(pair, F.col("bits")).alias("p"))
-    close = close.select("x", "y", "p.seed", "p.a", "p.b")
-    owner = labelled.join(nodes.withColumnRenamed("node", "owner"), "owner")
-    one, two = (owner.select("seed", F.col("fp").alias(c), F.col("fps").alias(f"fps_{c}")) for c in "ab")
-    differing = F.aggregate(F.zip_with("fps_a", "fps_b", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda s, n: s + n)
-    verified = close.join(one, ["seed", "a"]).join(two, ["seed", "b"]).where(differing <= total_bits).select(F.col("x").alias("a"), F.col("y").alias("b"))
+        keyed = labelled.withColumn("seed", F.lit(k)).withColumn("fp", F.col(f"p{k}")).withColumn("key", F.explode(variants))
+        each.append(stored(_compared(keyed, seeds, k, max_bits, total_bits)))
+    verified = reduce(DataFrame.unionByName, each)
     return stored(verified.unionByName(stars.select(F.col("root").alias("a"), F.col("node").alias("b"))))
 
 
@@ -238,8 +312,8 @@ def components(docs: DataFrame, shingle: int = 4, max_bits: int = 4, seeds: int
     With one seed, texts link at `max_bits` or fewer differing bits of their fingerprints. With several
     and a `similarity`, every text has as many independent fingerprints; a pair that shares a deletion
     variant of one of them, within `max_bits`, links if the bits of all of them differ by no more than
-    those of texts of that similarity do. Groups are joined by their closest pairs, so a large group of
-    near copies costs no more links than it has members.
+    those of texts of that similarity do. All pairs of different groups are compared at every variant, and
+    links are returned as forests, so a large group of near copies costs no more links than it has members.
     """
     marked = stored(fingerprints(docs, shingle, seeds, id_col, text_col).withColumn("node", F.col("fps")[0] if seeds == 1 else F.xxhash64("fps")))
     nodes = stored(marked.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.min("fps").alias("fps")))

@@ -121,6 +121,35 @@ def test_near_copies_collapse(spark):
     assert len(kept) <= 33
 
 
+def _flipped(x, *bits):
+    for b in bits:
+        x ^= 1 << b
+    return x
+
+
+def _linked(spark, prints, total=61):
+    """Root of each node of {node: five unsigned fingerprints} in the near-duplicate search."""
+    sign = lambda x: x - (1 << 64) if x >> 63 else x
+    nodes = spark.createDataFrame([(n, [sign(x) for x in fps]) for n, fps in prints.items()], "node bigint, fps array<bigint>")
+    found = {r["node"]: r["root"] for r in connected_components(simhash._node_links(nodes, 5, 4, 10, total)).collect()}
+    return {n: found.get(n, n) for n in prints}
+
+
+@pytest.mark.parametrize("strangers", [20, 200])
+def test_middle_groups_of_a_bucket_are_compared(spark, strangers):
+    """Two near copies share buckets of one segment only, with strangers of lesser and greater labels in each."""
+    rng = random.Random(5)
+    low = 1 << 21
+    one = [rng.getrandbits(64) for _ in range(5)]
+    two = [_flipped(one[0], 22, 24, 26, 44, 46, 48)] + [_flipped(x, 1, 3, 22, 24, 44, 46, 48) for x in one[1:]]
+    prints = {10_000: one, 10_001: two}
+    for i in range(strangers):
+        prints[i if i % 2 else 20_000 + i] = [one[0] % low | rng.getrandbits(43) << 21] + [rng.getrandbits(64) for _ in range(4)]
+    roots = _linked(spark, prints)
+    assert roots[10_000] == roots[10_001]
+    assert all(roots[n] == n for n in prints if n != 10_001)
+
+
 def plain_substrings(docs, window=35):
     words = [(d, re.findall(r"[^\x20\x09-\x0D]+", t or "")) for d, t in docs]
     count = collections.Counter(tuple(w[i : i + window]) for _, w in words for i in range(len(w) - window + 1))
