@@ -150,6 +150,17 @@ def test_middle_groups_of_a_bucket_are_compared(spark, strangers):
     assert all(roots[n] == n for n in prints if n != 10_001)
 
 
+def test_a_close_pair_hides_no_other_pair(spark):
+    """Of two groups, the closest pair in one seed fails over all bits; another pair passes."""
+    rng = random.Random(6)
+    a1 = [rng.getrandbits(64) for _ in range(5)]
+    b1 = [_flipped(a1[0], 22, 24, 26, 28, 30)] + [rng.getrandbits(64) for _ in range(4)]
+    a2 = [_flipped(a1[0], 44, 46, 48, 50)] + [_flipped(x, 1, 3, 22, 24, 26, 44, 46, 48) for x in b1[1:]]
+    roots = _linked(spark, {1: a1, 2: a2, 3: b1})
+    assert roots == {1: 1, 2: 1, 3: 1}
+    assert _linked(spark, {1: a1, 3: b1}) == {1: 1, 3: 3}
+
+
 def plain_substrings(docs, window=35):
     words = [(d, re.findall(r"[^\x20\x09-\x0D]+", t or "")) for d, t in docs]
     count = collections.Counter(tuple(w[i : i + window]) for _, w in words for i in range(len(w) - window + 1))
