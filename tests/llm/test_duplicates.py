@@ -161,6 +161,14 @@ def test_a_close_pair_hides_no_other_pair(spark):
     assert _linked(spark, {1: a1, 3: b1}) == {1: 1, 3: 3}
 
 
+def test_rows_are_kept_by_component_and_not_by_id(spark):
+    rng = random.Random(9)
+    texts = [" ".join(f"word{rng.randint(0, 5000)}" for _ in range(120)) for _ in range(5)]
+    rows = [(None, texts[0]), (None, texts[1]), (7, texts[2]), (7, texts[3]), (7, texts[3]), (8, texts[4]), (None, texts[4])]
+    kept = simhash.keep_one(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert collections.Counter(map(tuple, kept)) == collections.Counter([(None, texts[0]), (None, texts[1]), (7, texts[2]), (7, texts[3]), (8, texts[4])])
+
+
 def plain_substrings(docs, window=35):
     words = [(d, re.findall(r"[^\x20\x09-\x0D]+", t or "")) for d, t in docs]
     count = collections.Counter(tuple(w[i : i + window]) for _, w in words for i in range(len(w) - window + 1))
