@@ -1,4 +1,4 @@
-"""The experiments as queries, at sizes that a check can afford."""
+"""The experiments as queries; the simulated ones and the catalogue at the published sizes with fewer replicates, the others smaller."""
 
 from __future__ import annotations
 
@@ -11,16 +11,20 @@ from ..operators import evaluate
 from .registry import query
 
 
+#: Components of the simulated series.
+SIZES = (10, 100)
+
+
 def _roc(number: int, points: bool):
     def made(spark: SparkSession, sf: str) -> DataFrame:
-        return w.roc_study(spark, number, 10, points, replicates=2, n=1000, m=40)
+        return w._union([w.roc_study(spark, number, p, points, replicates=2, n=w.N, m=w.M, rate=0.001) for p in SIZES])
 
     return made
 
 
-def _location(number: int, points: bool):
+def _location(number: int):
     def made(spark: SparkSession, sf: str) -> DataFrame:
-        return w.location_study(spark, number, 10, points, replicates=3, n=1000, m=40)
+        return w._union([w.location_study(spark, number, p, points, replicates=3, n=w.N, m=w.M, rate=0.001) for p in SIZES for points in (False, True)])
 
     return made
 
@@ -28,7 +32,7 @@ def _location(number: int, points: bool):
 for _number in (1, 2, 3, 4):
     query(name=f"w{_number:02d}_roc_setting{_number}")(_roc(_number, False))
     query(name=f"w{_number + 4:02d}_roc_setting{_number}_points")(_roc(_number, True))
-    query(name=f"w10_location_setting{_number}")(_location(_number, _number % 2 == 0))
+    query(name=f"w10_location_setting{_number}")(_location(_number))
 
 
 @query()
@@ -53,7 +57,7 @@ def w13_runtime_slopes(spark: SparkSession, sf: str) -> DataFrame:
 
 @query()
 def w14_catalogue(spark: SparkSession, sf: str) -> DataFrame:
-    return w.catalogue_study(spark, sf, m=40)
+    return w.catalogue_study(spark, sf)
 
 
 @query()

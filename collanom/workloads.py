@@ -42,9 +42,9 @@ def detector(w: int = 0, n: int = N) -> DetectorConfig:
     return DetectorConfig(l=L, m=M, w=w, psi=2 * math.log(n), regime="lag" if w else "composite")
 
 
-def roc_study(spark: SparkSession, number: int, p: int, points: bool, replicates: int = 4, n: int = 1500, m: int = 60) -> DataFrame:
+def roc_study(spark: SparkSession, number: int, p: int, points: bool, replicates: int = 4, n: int = 1500, m: int = 60, rate: float = 0.004) -> DataFrame:
     """(setting, p, points, method, scale, tp, fp, truths, tpr, fp_per_series): sweeps of the detector (with several lags in settings 3 and 4) and of both comparators."""
-    long, truth, s = simulated(spark, number, p, points, replicates, n, rate=0.004)
+    long, truth, s = simulated(spark, number, p, points, replicates, n, rate=rate)
     long = long.persist()
     parts = []
     for w in (0, 10, 20) if number in (3, 4) else (0,):
@@ -62,9 +62,9 @@ def roc_study(spark: SparkSession, number: int, p: int, points: bool, replicates
     return out.select(F.lit(number).alias("setting"), F.lit(p).alias("p"), F.lit(points).alias("points"), "method", "scale", "tp", "fp", "truths", "tpr", "fp_per_series")
 
 
-def location_study(spark: SparkSession, number: int, p: int, points: bool, replicates: int = 4, n: int = 1500, m: int = 60) -> DataFrame:
+def location_study(spark: SparkSession, number: int, p: int, points: bool, replicates: int = 4, n: int = 1500, m: int = 60, rate: float = 0.004) -> DataFrame:
     """(setting, p, points, method, mad, n_common): mean distance of the ends over truths that all methods find."""
-    long, truth, s = simulated(spark, number, p, points, replicates, n, doubled=True, rate=0.004)
+    long, truth, s = simulated(spark, number, p, points, replicates, n, doubled=True, rate=rate)
     long = long.persist()
     found = {f"detector w={w}": evaluate.match_windows(detect.detect(long, detector(w, n).with_(m=m)).windows, truth, TOL) for w in ((0, 10, 20) if number in (3, 4) else (0,))}
     hc = higher_criticism.higher_criticism_scan(long, DetectorConfig(m=m), s["alpha0"], 20.0).where("kind = 'window'")
@@ -101,7 +101,7 @@ def _lineitem_panel(spark: SparkSession, sf_dir: str, parts: int) -> DataFrame:
     return densify(cells, "day")
 
 
-def catalogue_study(spark: SparkSession, sf_dir: str, m: int = 60, share: float = 0.04) -> DataFrame:
+def catalogue_study(spark: SparkSession, sf_dir: str, m: int = M, share: float = 0.04, lags: tuple[int, ...] = (0, 40)) -> DataFrame:
     """Known windows found by each method in each of three replicates, at 4 % of the positions flagged.
 
     The vectors' slots and the suppliers' daily revenue stand in for the two panels; components are dealt
@@ -118,14 +118,14 @@ def catalogue_study(spark: SparkSession, sf_dir: str, m: int = 60, share: float
         truth = simulate.truth_frame(spark, [(f"{name}-{r}", k, k * step, k * step + 18 + k % 5, c, (k * c) % 5, (k + c) % 4, 1.0 + 0.25 * (k % 5)) for r in range(3) for k in range(1, known + 1) for c in range(1, 2 + k % 3)])
         long = simulate.inject(ranked, truth).persist()
         runs = []
-        for w in (0, 10):
+        for w in lags:
             cfg = DetectorConfig(l=L, m=m, w=w, psi=2 * math.log(n), regime="lag" if w else "linear", points=False)
             scale = calibrate.tune_to_share(long, cfg, share, [0.3, 0.5, 0.8, 1.2, 2.0])
             found = detect.detect(long, cfg.with_(scale=scale)).windows
             runs.append(found.select("series_id", "s", "e", F.concat(F.lit(f"w={w} r"), F.substring("series_id", 3, 1)).alias("run")))
         hc = higher_criticism.higher_criticism_scan(long, DetectorConfig(m=m), 2, 25.0).where("e - s > 1")
         runs.append(hc.select("series_id", "s", "e", F.concat(F.lit("hc r"), F.substring("series_id", 3, 1)).alias("run")))
-        columns = [f"{m_} r{r}" for m_ in ("w=0", "w=10", "hc") for r in range(3)]
+        columns = [f"{m_} r{r}" for m_ in (*(f"w={w}" for w in lags), "hc") for r in range(3)]
         pred = _union(runs).withColumn("series_id", F.lit(name))
         known_windows = truth.where(F.col("series_id") == f"{name}-0").withColumn("series_id", F.lit(name))
         parts.append(evaluate.catalogue_ticks(pred, known_windows, columns, 5))
