@@ -206,7 +206,7 @@ def encode(docs: DataFrame, path: str = MODEL, id_col: str = "doc_id", text_col:
                 sizes = np.array([len(b) // 4 for b in blobs], np.int64)
                 flat = pa.array(np.frombuffer(b"".join(blobs), "<i4"), pa.int32())
                 ids = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), flat)
-                same = [own.decode(b) == (t or "").replace(SPACE, " ") for b, t in zip(blobs, texts, strict=True)]
+                same = [own.decode(b) == (t or "") for b, t in zip(blobs, texts, strict=True)]
                 sums = [hashlib.sha256(b).hexdigest() for b in blobs]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes), ids, pa.array(sums, pa.string()), pa.array(same, pa.bool_())], names=["doc_id", "n_tokens", "ids", "ids_sha256", "exact"])
 

@@ -195,3 +195,9 @@ def test_damaged_archive_is_found():
 def test_url_keys():
     assert warc.url_key("https://www.Example.com:8080/A?b=2&a=1#x") == "com,example:8080)/a?a=1&b=2"
     assert warc.url_key(None) == "" and warc.url_key("http://a.b") == "b,a)/"
+
+
+def test_exact_compares_with_the_text_itself(spark):
+    """A text with the sign that stands for a space decodes to a space there, and says so."""
+    rows = spark.createDataFrame([(1, "one two"), (2, "one▁two")], "doc_id bigint, text string")
+    assert {r["doc_id"]: r["exact"] for r in pieces.encode(rows).collect()} == {1: True, 2: False}
