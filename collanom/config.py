@@ -10,7 +10,12 @@ from .functions import penalties as pen
 
 @dataclass(frozen=True)
 class DetectorConfig:
-    """`l` and `m` bound the length of windows, `w` the lags; `scale` multiplies every penalty, `c` is the constant of the consistency curve."""
+    """`l` and `m` bound the length of windows, `w` the lags; `scale` multiplies every penalty, `c` is the constant of the consistency curve.
+
+    `regime` names the penalty curve. `auto` takes the composite curve, the one for lags if w > 0 (the linear
+    one if trimmed components pay `gamma` instead), and prices from the law of the savings for other costs
+    than the mean's. It is resolved when prices are made, so a changed w, gamma or cost changes it too.
+    """
 
     l: int = 2  # noqa: E741
     m: int = 100
@@ -18,7 +23,7 @@ class DetectorConfig:
     psi: float | None = None
     eps: float = 0.0
     gamma: float = 0.0
-    regime: str = "composite"
+    regime: str = "auto"
     cost: str = "mean"
     points: bool = True
     beta_point: float | None = None
@@ -30,19 +35,30 @@ class DetectorConfig:
     def __post_init__(self) -> None:
         if self.l < 1 or self.m < self.l:
             raise ValueError("windows need 1 <= l <= m")
-        if self.w and self.regime in ("curve", "composite", "two", "flat") and not self.gamma:
-            # only the linear curve is extended to lags; others pay a charge per trimmed component
-            object.__setattr__(self, "regime", "lag")
+        if self.regime != "auto" and self.regime not in pen.REGIMES:
+            raise ValueError(f"unknown regime {self.regime}")
+        if self.w and not self.gamma and self.regime not in ("auto", "lag", "empirical"):
+            raise ValueError(f"the {self.regime} regime has no price for lags: take lag, empirical or auto, or let trimmed components pay gamma")
+
+    @property
+    def priced_by(self) -> str:
+        """The regime that `auto` stands for."""
+        if self.regime != "auto":
+            return self.regime
+        if self.cost != "mean":
+            return "empirical"
+        return "composite" if not self.w else "linear" if self.gamma else "lag"
 
     def resolved_psi(self, n: int) -> float:
         return self.psi if self.psi is not None else 2 * math.log(max(n, 2))
 
     def curve(self, n: int, p: int) -> list[float]:
-        p = max(p, 1)
-        if p == 1:
-            psi = self.resolved_psi(n)
-            return pen.scaled([2 * (1 + self.eps) * psi + (2 * (1 + (self.eps or 0.05)) * math.log(self.w + 1) if self.w else 0.0)], self.scale)
-        return pen.scaled(pen.curve_for(self.regime, p, self.resolved_psi(n), self.w, self.eps, self.c), self.scale)
+        regime, psi, p = self.priced_by, self.resolved_psi(n), max(p, 1)
+        if regime == "empirical":
+            made = pen.empirical_penalty(self.cost, p, psi, self.l, self.m, 0 if self.gamma else self.w)
+        else:
+            made = pen.curve_for(regime, p, psi, self.w, self.eps, self.c)
+        return pen.scaled(made, self.scale)
 
     def point_price(self, n: int, p: int) -> float:
         return self.scale * (self.beta_point if self.beta_point is not None else pen.point_penalty(max(p, 1), self.resolved_psi(n)))

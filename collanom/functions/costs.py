@@ -1,7 +1,8 @@
 """Savings of refitting a window's parameter, from sums over the window.
 
 Each family turns (sum, sum of squares, length, typical parameter) of windows into savings: twice the
-gain in log-likelihood. Arrays broadcast; components are the last axis.
+gain in log-likelihood. Arrays broadcast; components are the last axis. `point` is the saving of a single
+observation, whose price is `price`.
 """
 
 from __future__ import annotations
@@ -21,6 +22,9 @@ class MeanCost:
     def saving(self, total, squares, length, rate=None):
         return total * total / length
 
+    def point(self, x, price, rate=None):
+        return x * x
+
 
 @dataclass(frozen=True)
 class PoissonCost:
@@ -35,6 +39,14 @@ class PoissonCost:
             log = np.where(total > 0, total * np.log(np.where(total > 0, total, 1.0) / typical), 0.0)
         return 2.0 * (log - (total - typical))
 
+    def point(self, x, price, rate=1.0):
+        return self.saving(x, None, 1.0, rate)
+
+
+def _own_variance(x, price):
+    """One observation by its own variance about the typical mean; the floor keeps values near that mean below the price."""
+    return x * x - 1.0 - np.log(np.exp(-price) + x * x)
+
 
 @dataclass(frozen=True)
 class MeanVarCost:
@@ -47,6 +59,9 @@ class MeanVarCost:
         spread = np.maximum(squares / length - (total / length) ** 2, 1e-8)
         return squares - length * (1.0 + np.log(spread))
 
+    def point(self, x, price, rate=None):
+        return _own_variance(x, price)
+
 
 @dataclass(frozen=True)
 class VarCost:
@@ -59,6 +74,9 @@ class VarCost:
         ratio = np.maximum(squares / length, 1e-8)
         return squares - length - length * np.log(ratio)
 
+    def point(self, x, price, rate=None):
+        return _own_variance(x, price)
+
 
 FAMILIES = {"mean": MeanCost(), "poisson": PoissonCost(), "meanvar": MeanVarCost(), "var": VarCost()}
 

@@ -7,13 +7,16 @@ from __future__ import annotations
 
 import math
 from collections.abc import Sequence
+from functools import lru_cache
 from statistics import NormalDist
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
 _NORMAL = NormalDist()
-REGIMES = ("flat", "linear", "curve", "composite", "two", "max", "lag", "consistency")
+REGIMES = ("flat", "linear", "curve", "composite", "two", "max", "lag", "consistency", "empirical")
+#: Draws of a null law, and the share of the largest that its tail is fitted to.
+DRAWS, TAIL = 200_000, 0.005
 
 
 def chi2_quantile(upper: float) -> float:
@@ -67,7 +70,7 @@ def max_penalty(p: int, psi: float, eps: float = 0.0) -> list[float]:
 
 def sparse_threshold(p: int, psi: float) -> float:
     """Number of components that parts sparse from dense changes."""
-    return math.sqrt(p) * psi / math.log(p)
+    return math.sqrt(p) * psi / math.log(p) if p > 1 else math.inf
 
 
 def consistency_penalty(p: int, psi: float, c: float) -> list[float]:
@@ -98,11 +101,73 @@ def sparse_penalty(p: int, psi: float, w: int = 0) -> list[float]:
     return lag_linear_penalty(p, psi, w) if w else linear_penalty(p, psi)
 
 
-def empirical_penalty(savings, psi: float) -> list[float]:
-    """A curve from simulated null savings (replicates x components): the mean of the k largest and a margin in their spread, never falling."""
-    top = np.cumsum(-np.sort(-np.asarray(savings, float), axis=1), axis=1)
-    spread = top.std(axis=0)
-    return np.maximum.accumulate(top.mean(axis=0) + np.sqrt(2 * psi) * spread + 2 * psi).tolist()
+@lru_cache(maxsize=128)
+def null_savings(cost: str, size: float, seed: int = 1) -> np.ndarray:
+    """Simulated savings of one typical component, ascending: of windows of `size` observations, for counts of that expected total."""
+    from .costs import FAMILIES
+
+    rng, family = np.random.default_rng(np.random.SeedSequence([seed, int(size * 1000)])), FAMILIES[cost]
+    if cost == "poisson":
+        return np.sort(family.saving(rng.poisson(size, DRAWS).astype(float), None, 1.0, size))
+    total = rng.normal(0.0, math.sqrt(size), DRAWS)
+    squares = total**2 / size + (rng.chisquare(size - 1, DRAWS) if size > 1 else 0.0)
+    return np.sort(family.saving(total, squares, size))
+
+
+class _Law:
+    """A null law: the draws, and an exponential tail beyond their largest share."""
+
+    def __init__(self, savings: np.ndarray) -> None:
+        cut = int(len(savings) * (1 - TAIL))
+        self.body, self.start = savings[:cut], float(savings[cut])
+        # 5 % above the fitted mean excess: the tail is not taken for lighter than it may be
+        self.rate = 1.0 / (1.05 * max(float((savings[cut:] - self.start).mean()), 1e-6))
+
+    def above(self, a: float) -> float:
+        """The chance of a saving above a, for a in the tail."""
+        return TAIL * math.exp(-self.rate * (a - self.start))
+
+    def excess(self, a: float, theta: float) -> float:
+        """E exp(theta (S - a)+) - 1."""
+        if a >= self.start:
+            return self.above(a) * theta / (self.rate - theta)
+        tail = math.exp(theta * (self.start - a)) * self.rate / (self.rate - theta)
+        return (1 - TAIL) * float(np.expm1(theta * np.maximum(self.body - a, 0.0)).mean()) + TAIL * (tail - 1)
+
+
+@lru_cache(maxsize=256)
+def empirical_lines(cost: str, p: int, psi: float, l: int, m: int, w: int = 0) -> tuple[tuple[float, float], ...]:  # noqa: E741
+    """Lines (slope a, height c) of prices c + a k for savings of any law.
+
+    The k largest savings sum to at most k a plus all that exceeds a; that excess is above c with chance
+    exp(-theta c) E[exp(theta (S - a)+)]^p at most, for any theta. c makes this exp(-psi) over the number
+    of lines, at the best theta, for the worst of several window lengths. A maximum over lags is at most
+    the sum over them.
+    """
+    from .costs import FAMILIES
+
+    least = max(l, FAMILIES[cost].least)
+    sizes = (0.3, 1.0, 3.0, 10.0, 100.0) if cost == "poisson" else sorted({min(least * 2**i, max(m, least)) for i in range(8)})
+    laws = [_Law(null_savings(cost, float(s))) for s in sizes]
+    many = (w + 1) ** 2
+    low, rate = max(x.start for x in laws), min(x.rate for x in laws)
+    high = low + max(0.0, math.log(TAIL * p * many * 100)) / rate
+    slopes = sorted({0.0, *(float(np.quantile(laws[0].body, q)) for q in (0.5, 0.8, 0.95)), *np.linspace(low, high, 9).tolist()})
+    goal = psi + math.log(len(slopes))
+    lines = []
+    for a in slopes:
+        heights = []
+        for law in laws:
+            thetas = law.rate * np.array([0.02, 0.05, 0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.88, 0.94, 0.97])
+            heights.append(min((goal + p * math.log1p(many * law.excess(a, float(t)))) / float(t) for t in thetas))
+        lines.append((a, max(heights)))
+    return tuple(lines)
+
+
+def empirical_penalty(cost: str, p: int, psi: float, l: int, m: int, w: int = 0) -> list[float]:  # noqa: E741
+    """The curve for savings without a formula: at every k the lowest of the lines."""
+    lines = empirical_lines(cost, p, psi, l, m, w)
+    return [min(c + a * k for a, c in lines) for k in range(1, p + 1)]
 
 
 def psi_for(setting: str, n: int, p: int) -> float:

@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 #: Fixed: makes the interquartile range and the median deviation estimate a normal standard deviation.
 IQR_SCALE, MAD_SCALE = 1.349, 1.4826
-#: Components times series up to which the parameters are broadcast.
-BROADCAST_ROWS = 2_000_000
+#: Observations of a component up to which quantiles are exact; beyond, an exact one would hold all different values in a task.
+EXACT_ROWS = 4_000_000
 KEY = ["series_id", "component"]
 
 
@@ -27,7 +27,7 @@ def fit_typical(long: DataFrame, how: str = "iqr", approximate: bool = False, ac
     if how == "mad":
         median = (lambda c: F.percentile_approx(c, 0.5, F.lit(accuracy)).cast("double")) if approximate else F.median
         centre = groups.agg(median("x").alias("mu"), n)
-        return long.join(F.broadcast(centre), KEY).groupBy(*KEY, "mu", "n_obs").agg((median(F.abs(F.col("x") - F.col("mu"))) * MAD_SCALE).alias("sigma")).select(*KEY, "mu", "sigma", "n_obs")
+        return long.join(centre, KEY).groupBy(*KEY, "mu", "n_obs").agg((median(F.abs(F.col("x") - F.col("mu"))) * MAD_SCALE).alias("sigma")).select(*KEY, "mu", "sigma", "n_obs")
     raise ValueError(f"unknown estimator {how}")
 
 
@@ -48,5 +48,12 @@ def standardise(long: DataFrame, params: DataFrame, drop_degenerate: bool = True
     return joined.select("series_id", "t", "component", (F.when(F.col("degenerate"), 0.0).otherwise(z) if drop_degenerate else z).alias("x"))
 
 
-def scaled(long: DataFrame, how: str = "iqr", approximate: bool = False) -> DataFrame:
-    return standardise(long, guard_scale(fit_typical(long, how, approximate)))
+def too_long(long: DataFrame) -> bool:
+    """Whether any component has more than `EXACT_ROWS` observations, so that its quantiles are taken by sketches."""
+    most = long.groupBy(*KEY).agg(F.count("*").alias("n")).agg(F.max("n").alias("n")).first()["n"]
+    return (most or 0) > EXACT_ROWS
+
+
+def scaled(long: DataFrame, how: str = "iqr", approximate: bool | None = False) -> DataFrame:
+    """Standardised by its own typical behaviour; `approximate=None` counts first and decides by `EXACT_ROWS`."""
+    return standardise(long, guard_scale(fit_typical(long, how, too_long(long) if approximate is None else approximate)))

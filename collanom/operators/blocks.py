@@ -164,72 +164,104 @@ class Kernel:
                     found.append(((ends[j] - at)[good], ends[j][good], score[good], k[good]))
         return self._table(found, pairs)
 
+    def point_matrix(self, x: np.ndarray) -> np.ndarray:
+        """Savings of single observations, rows x components."""
+        return self.family.point(x, self.beta_point, self.rates)
+
     def point_savings(self, x: np.ndarray) -> np.ndarray:
         """Summed savings of single observations above the price of a point, per row."""
-        one = FAMILIES["poisson"].saving(x, None, 1, self.rates) if self.cost == "poisson" else x * x
-        return np.maximum(one - self.beta_point, 0.0).sum(axis=1)
+        return np.maximum(self.point_matrix(x) - self.beta_point, 0.0).sum(axis=1)
+
+    def affected(self, x: np.ndarray, sums, s: int, e: int) -> int:
+        """Number of components at which the window (s, e] has its penalised saving."""
+        return int(self.statistic(_from_starts(self, *sums, np.array([s]), e))[1][0])
 
 
 Interval = tuple[int, int, float, str]
 
 
+def _order(interval: Interval) -> tuple:
+    s, e, _, kind = interval
+    return e, kind != "point", -s
+
+
+class Chain:
+    """The best set of intervals that don't overlap, offered by their ends: at one end points first, then later starts first.
+
+    One interval is kept per end, so memory grows with the time covered and not with the intervals. Windows
+    keep `min_gap` between them and whatever comes before. Equal totals: nothing before what is offered
+    first.
+    """
+
+    def __init__(self, min_gap: int = 0) -> None:
+        self.min_gap = min_gap
+        self.ends: list[int] = []
+        self.value, self.choice, self.back = [0.0], [None], [0]
+
+    def offer(self, s: int, e: int, score: float, kind: str, what) -> None:
+        if not self.ends or self.ends[-1] != e:
+            self.ends.append(e)
+            self.value.append(self.value[-1])
+            self.choice.append(None)
+            self.back.append(len(self.value) - 2)
+        j = bisect_right(self.ends, s - (self.min_gap if kind == "window" else 0))
+        total = self.value[j] + score
+        if total > self.value[-1] + 1e-12:
+            self.value[-1], self.choice[-1], self.back[-1] = total, what, j
+
+    def picked(self) -> list:
+        out, i = [], len(self.value) - 1
+        while i > 0:
+            if self.choice[i] is not None:
+                out.append(self.choice[i])
+            i = self.back[i]
+        return out[::-1]
+
+
 def best_chain(intervals: list[Interval], min_gap: int = 0) -> tuple[float, list[int]]:
-    """The set of intervals (s, e, score, kind) of greatest total score whose members don't overlap.
+    """The set of intervals (s, e, score, kind) of greatest total score whose members don't overlap: its score and their places."""
+    chain = Chain(min_gap)
+    for i in sorted(range(len(intervals)), key=lambda i: _order(intervals[i])):
+        chain.offer(*intervals[i], i)
+    return chain.value[-1], chain.picked()
+
 
-    Equal totals: nothing before a point before a window, then the later start. Windows keep `min_gap`
-    between them and whatever comes before.
+def undominated(s: np.ndarray, e: np.ndarray, score: np.ndarray) -> np.ndarray:
+    """Which candidates hold no other of a greater score, which could always replace them: a mask.
+
+    By growing length: the best score inside (e - length, e] is that of its two parts that are shorter by one.
     """
-    order = sorted(range(len(intervals)), key=lambda i: (intervals[i][1], intervals[i][3] != "point", -intervals[i][0]))
-    ends = sorted({intervals[i][1] for i in order})
-    value, choice, back = [0.0], [-1], [0]
-    at = 0
-    for e in ends:
-        best, take, come = value[-1], -1, len(value) - 1
-        while at < len(order) and intervals[order[at]][1] == e:
-            s, _, score, kind = intervals[order[at]]
-            j = bisect_right(ends, s - (min_gap if kind == "window" else 0))
-            if value[min(j, len(value) - 1)] + score > best + 1e-12:
-                best, take, come = value[min(j, len(value) - 1)] + score, order[at], min(j, len(value) - 1)
-            at += 1
-        value.append(best)
-        choice.append(take)
-        back.append(come)
-    picked, i = [], len(value) - 1
-    while i > 0:
-        if choice[i] >= 0:
-            picked.append(choice[i])
-        i = back[i]
-    return value[-1], sorted(picked, key=lambda i: intervals[i][0])
-
-
-def undominated(intervals: list[Interval]) -> list[int]:
-    """Without windows that contain another candidate of a score at least as high, which could always replace them."""
-    order = sorted(range(len(intervals)), key=lambda i: (-intervals[i][0], intervals[i][1]))
-    kept, ends, tops = [], [], []  # ends ascending, tops the running best score
-    for i in order:
-        s, e, score, _ = intervals[i]
-        j = bisect_right(ends, e)
-        if not (j and tops[j - 1] > score):
-            kept.append(i)
-        at = bisect_right(ends, e)
-        ends.insert(at, e)
-        tops.insert(at, max(score, tops[at - 1] if at else -np.inf))
-        for q in range(at + 1, len(tops)):
-            if tops[q] >= score:
-                break
-            tops[q] = score
-    return kept
-
-
-def greedy_chain(intervals: list[Interval]) -> list[int]:
-    """Again and again the best interval that does not overlap those taken."""
+    keep = np.ones(len(s), bool)
+    if not len(s):
+        return keep
+    base, length = int(s.min()), e - s
+    order = np.argsort(length, kind="stable")
+    cuts = np.searchsorted(length[order], np.arange(int(length.max()) + 2))
+    best = np.full(int(e.max()) - base + 1, -np.inf)
+    for size in range(1, len(cuts) - 1):
+        best[1:] = np.maximum(best[1:], best[:-1])
+        here = order[cuts[size] : cuts[size + 1]]
+        if len(here):
+            at = e[here] - base
+            keep[here] = best[at] <= score[here]
+            np.maximum.at(best, at, score[here])
+    return keep
+
+
+def greedy_chain(intervals: list[Interval], min_gap: int = 0) -> list[int]:
+    """Again and again the best interval that does not overlap those taken; windows keep `min_gap` after what comes before."""
     order = sorted(range(len(intervals)), key=lambda i: (-intervals[i][2], intervals[i][3] != "point", -intervals[i][0]))
-    taken: list[int] = []
+    gap = lambda i: min_gap if intervals[i][3] == "window" else 0
+    starts: list[int] = []
+    taken: list[int] = []  # by start
     for i in order:
         s, e, score, _ = intervals[i]
-        if score > 0 and all(e <= intervals[j][0] or s >= intervals[j][1] for j in taken):
-            taken.append(i)
-    return sorted(taken, key=lambda i: intervals[i][0])
+        at = bisect_right(starts, s)
+        before, after = taken[at - 1 : at], taken[at : at + 1]
+        if score > 0 and all(intervals[j][1] + gap(i) <= s for j in before) and all(e + gap(j) <= intervals[j][0] for j in after):
+            starts.insert(at, s)
+            taken.insert(at, i)
+    return taken
 
 
 def dense_optimum(x: np.ndarray, kernel: Kernel) -> tuple[float, list[Interval], dict[str, int]]:

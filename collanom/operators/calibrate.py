@@ -8,29 +8,26 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import DetectorConfig
-from .blocks import best_chain, undominated
-from .detect import _matrix, candidates, islands, kernel_for, known_sizes, with_halo
+from .detect import _kinds, candidates, chunk_rows, known_sizes, read_block, scored, series_sizes, solve, with_halo
 
 
-def critical_scale(null: DataFrame, cfg: DetectorConfig, chunk: int | None = None) -> DataFrame:
+def critical_scale(null: DataFrame, cfg: DetectorConfig, chunk: int | None = None, rates: DataFrame | None = None) -> DataFrame:
     """(series_id, scale): the largest constant at which a null series still shows anything.
 
     One pass: a series fires at c if some window's k largest savings exceed c times the curve, or some
     point exceeds c times its price; so the maximum of the ratios decides. Per chunk, then per series.
     """
     base = cfg.with_(scale=1.0)
-    size = chunk or 10 * cfg.m
-    rows = with_halo(null, known_sizes(null), base, size)
+    sizes = known_sizes(null)
+    size = chunk or chunk_rows(cfg, sizes.p)
 
     def most(key, group):
-        n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()
-        kernel = kernel_for(base, n, p)
-        t, x = _matrix(group.select(["t", "xs"]))
-        first = int(key[1].as_py() * size + 1 - t[0])
+        block = read_block(key, group, base, size)
+        kernel, x, first = block.kernel(base), block.x, block.first
         sums, top = kernel.sums(x), 0.0
         if kernel.w:
             for low in range(first, len(x), 64):
-                s = kernel.lagged(sums, len(x), slice(0, p), low, min(len(x), low + 64))
+                s = kernel.lagged(sums, len(x), slice(0, block.p), low, min(len(x), low + 64))
                 ends = np.arange(low + 1, min(len(x), low + 64) + 1)
                 lengths = np.arange(kernel.m + 1)[:, None]
                 good = (lengths >= kernel.l) & (lengths <= ends)
@@ -43,9 +40,10 @@ def critical_scale(null: DataFrame, cfg: DetectorConfig, chunk: int | None = Non
                     s = kernel.window_savings(sums, length, ends)
                     top = max(top, float((np.cumsum(-np.sort(-s, axis=-1), axis=-1) / kernel.price).max()))
         if kernel.points:
-            top = max(top, float((x[first:] ** 2).max() / kernel.beta_point))
-        return pa.table({"series_id": pa.array([key[0].as_py()], pa.string()), "scale": pa.array([top], pa.float64())})
+            top = max(top, float(kernel.point_matrix(x[first:]).max() / kernel.beta_point))
+        return pa.table({"series_id": pa.array([block.series], pa.string()), "scale": pa.array([top], pa.float64())})
 
+    rows = with_halo(null, sizes, base, size, rates)
     return rows.groupBy("series_id", "chunk").applyInArrow(most, "series_id string, scale double").groupBy("series_id").agg(F.max("scale").alias("scale"))
 
 
@@ -54,52 +52,36 @@ def calibrate_scale(null: DataFrame, cfg: DetectorConfig, rate: float = 0.05) ->
     return float(critical_scale(null, cfg).agg(F.percentile("scale", 1 - rate).alias("c")).first()["c"])
 
 
-def sweep(long: DataFrame, cfg: DetectorConfig, scales: list[float], points: bool | None = None) -> DataFrame:
-    """Chosen candidates at every scale, from one scoring pass: (series_id, scale, s, e, score, kind).
+def sweep(long: DataFrame, cfg: DetectorConfig, scales: list[float], rates: DataFrame | None = None) -> DataFrame:
+    """Chosen candidates at every scale: (series_id, scale, s, e, score, kind).
 
-    Windows are scored at the smallest scale with the sums of their k largest savings kept implicit: the
-    kernel is run once per scale inside the worker over the same sums, so the rows are read once.
+    The rows are read and dealt once; a worker scores its chunk at each scale. The candidates are kept
+    until the session's cache is cleared.
     """
-    low = min(scales)
-    size = 10 * cfg.m
-    rows = with_halo(long, known_sizes(long), cfg, size)
-    all_cfg = [(c, cfg.with_(scale=c)) for c in sorted(scales)]
+    sizes = known_sizes(long)
+    size = chunk_rows(cfg, sizes.p)
+    if min(scales) <= 0:
+        raise ValueError("scales must be positive")
 
     def score(key, group):
-        n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()
-        t, x = _matrix(group.select(["t", "xs"]))
-        first, base = int(key[1].as_py() * size + 1 - t[0]), int(t[0] - 1)
+        block = read_block(key, group, cfg, size)
         out = []
-        for c, own in all_cfg:
-            kernel = kernel_for(own, n, p)
-            f = kernel.scores(x, first)
-            out.append((np.full(len(f["s"]), c), f["s"] + base, f["e"] + base, f["score"], np.zeros(len(f["s"]), bool)))
-            if kernel.points:
-                saved = kernel.point_savings(x)[first:]
-                at = np.flatnonzero(saved > 0)
-                place = at + first + base
-                out.append((np.full(len(at), c), place, place + 1, saved[at], np.ones(len(at), bool)))
+        for c in sorted(scales):
+            f = scored(block, cfg.with_(scale=c), few=True)
+            out.append((np.full(len(f["s"]), c), f["s"], f["e"], f["score"], f["is_point"]))
         scale, s, e, v, is_point = (np.concatenate(z) for z in zip(*out, strict=True))
-        return pa.table({"series_id": pa.array([key[0].as_py()] * len(s), pa.string()), "scale": scale, "s": s.astype(np.int64), "e": e.astype(np.int64), "score": v, "kind": pa.array(np.where(is_point, "point", "window").tolist(), pa.string())})
+        return pa.table({"series_id": pa.array([block.series] * len(s), pa.string()), "scale": scale, "s": s, "e": e, "score": v, "kind": _kinds(is_point)})
 
-    assert low > 0
+    rows = with_halo(long, sizes, cfg, size, rates)
     found = rows.groupBy("series_id", "chunk").applyInArrow(score, "series_id string, scale double, s bigint, e bigint, score double, kind string").persist()
-    by = ("series_id", "scale")
-
-    def chain(pdf):
-        pdf = pdf.sort_values(["s", "e", "kind"], kind="stable").reset_index(drop=True)
-        spans = list(zip(pdf["s"].tolist(), pdf["e"].tolist(), pdf["score"].tolist(), pdf["kind"].tolist(), strict=True))
-        few = undominated(spans)
-        return pdf.iloc[[few[i] for i in best_chain([spans[i] for i in few], cfg.min_gap)[1]]].drop(columns="island")
-
-    return islands(found, cfg.min_gap, by, cfg.m).groupBy(*by, "island").applyInPandas(chain, "series_id string, scale double, s bigint, e bigint, score double, kind string")
+    return solve(found, cfg.min_gap, by=("series_id", "scale"), longest=cfg.m)
 
 
 def tune_to_share(long: DataFrame, cfg: DetectorConfig, share: float = 0.04, scales: list[float] | None = None) -> float:
     """The scale whose windows flag a share of the positions closest to the wanted one: a grid in one pass, refined once."""
 
     def closest(grid: list[float]) -> float:
-        n = long.groupBy("series_id").agg(F.max("t").alias("n")).agg(F.sum("n").alias("n")).first()["n"]
+        n = series_sizes(long).agg(F.sum("n").alias("n")).first()["n"]
         chosen = sweep(long, cfg.with_(points=False), grid).where("kind = 'window'").groupBy("scale").agg((F.sum(F.col("e") - F.col("s")) / n).alias("share")).collect()
         known = {r["scale"]: r["share"] for r in chosen}
         return min(grid, key=lambda c: abs(known.get(c, 0.0) - share))

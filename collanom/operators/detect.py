@@ -2,27 +2,28 @@
 
 A window of penalised saving zero or less never improves the optimum, so only positive candidates leave
 the scoring kernel. Candidates that overlap form islands; islands don't share time, so the optimum is
-the sum of their optima and every island is solved by itself.
+the sum of their optima and every island is solved by itself, streaming its candidates by their ends.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from functools import lru_cache
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..config import DetectorConfig
 from ..functions.costs import FAMILIES
-from .blocks import Kernel, best_chain, dense_optimum, greedy_chain, pruned_optimum, undominated
+from .blocks import Chain, Kernel, dense_optimum, greedy_chain, pruned_optimum, undominated
 
-#: Rows of a chunk: many times the halo, so that little is read twice.
-CHUNK = 4096
-#: Series up to which their sizes are fetched and broadcast: three numbers each.
+#: Cells (rows times components) of a chunk, where that makes between two and ten halos.
+CHUNK_CELLS = 1 << 18
+#: Series up to which their sizes are fetched and broadcast: five numbers each.
 BROADCAST_SERIES = 100_000
 _CANDIDATES = "series_id string, s bigint, e bigint, k int, score double, kind string"
 
@@ -35,6 +36,7 @@ class DetectionResult:
     candidates: DataFrame
     long: DataFrame
     cfg: DetectorConfig
+    rates: DataFrame | None = None
 
     def release(self) -> None:
         """Frees the kept candidates once the results have been read."""
@@ -50,11 +52,11 @@ class DetectionResult:
 
     @property
     def affected(self) -> DataFrame:
-        return affected_components(self.long, self.windows, self.cfg)
+        return affected_components(self.long, self.windows, self.cfg, self.rates)
 
     @property
     def point_components(self) -> DataFrame:
-        return point_components(self.long, self.points, self.cfg)
+        return point_components(self.long, self.points, self.cfg, self.rates)
 
     @property
     def objective(self) -> DataFrame:
@@ -62,90 +64,145 @@ class DetectionResult:
 
 
 def series_sizes(long: DataFrame) -> DataFrame:
-    """(series_id, n, p)."""
-    return long.groupBy("series_id").agg(F.max("t").alias("n"), F.max("component").alias("p"))
+    """(series_id, n, p, first, last): times, components, and the first and last time."""
+    sizes = long.groupBy("series_id").agg(F.min("t").alias("first"), F.max("t").alias("last"), F.max("component").alias("p"))
+    return sizes.select("series_id", (F.col("last") - F.col("first") + 1).alias("n"), "p", "first", "last")
 
 
-def known_sizes(long: DataFrame) -> DataFrame:
-    """The sizes, fetched and broadcast if there are at most `BROADCAST_SERIES` series; else left to a join by key."""
+@dataclass(frozen=True)
+class Sizes:
+    """The sizes of all series, as a frame for joins, and the greatest of them."""
+
+    frame: DataFrame
+    n: int
+    p: int
+    series: int
+
+
+def known_sizes(long: DataFrame) -> Sizes:
+    """The sizes: fetched and broadcast if there are at most `BROADCAST_SERIES` series, else left to a join by key."""
     sizes = series_sizes(long)
     rows = sizes.limit(BROADCAST_SERIES + 1).collect()
     if len(rows) > BROADCAST_SERIES:
-        return sizes
-    return F.broadcast(long.sparkSession.createDataFrame([tuple(r) for r in rows], "series_id string, n bigint, p int"))
+        most = sizes.agg(F.max("n").alias("n"), F.max("p").alias("p"), F.count("*").alias("series")).first()
+        return Sizes(sizes, int(most["n"]), int(most["p"]), int(most["series"]))
+    frame = F.broadcast(long.sparkSession.createDataFrame([tuple(r) for r in rows], "series_id string, n bigint, p int, first bigint, last bigint"))
+    return Sizes(frame, max((int(r["n"]) for r in rows), default=0), max((int(r["p"]) for r in rows), default=0), len(rows))
 
 
 def chunk_rows(cfg: DetectorConfig, p: int = 1) -> int:
-    """Rows of a chunk: at least ten halos, and less for very many components."""
-    return max(10 * cfg.m, min(CHUNK, (64 << 20) // (8 * max(p, 1))))
+    """Rows of a chunk: ten halos, down to two where there are many components."""
+    return max(2 * cfg.m, min(10 * cfg.m, CHUNK_CELLS // max(p, 1)))
 
 
-def with_halo(long: DataFrame, sizes: DataFrame, cfg: DetectorConfig, chunk: int | None = None) -> DataFrame:
-    """(series_id, n, p, chunk, t, xs): each time's vector in its own chunk and, near a chunk's end, in the next too."""
-    size = chunk or 10 * cfg.m
+def with_halo(long: DataFrame, sizes: Sizes, cfg: DetectorConfig, size: int, rates: DataFrame | None = None) -> DataFrame:
+    """(series_id, n, p, first, last, chunk, t, xs): each time's vector in its own chunk and, near a chunk's end, in the next too.
+
+    Chunks count from the first time of the series. `rates` (series_id, component, mu) travel along as an array.
+    """
     if size < cfg.m:
         raise ValueError("a chunk must hold the longest window")
-    own = F.floor((F.col("t") - 1) / size).cast("long")
-    twice = F.when(F.col("t") > (own + 1) * size - cfg.m, F.array(own, own + 1)).otherwise(F.array(own))
-    cells = long.join(sizes, "series_id").select("series_id", "n", "p", "t", "component", "x", F.explode(twice).alias("chunk")).where(F.col("chunk") * size < F.col("n"))
+    place = F.col("t") - F.col("first")
+    own = F.floor(place / size).cast("long")
+    twice = F.when(place >= (own + 1) * size - cfg.m, F.array(own, own + 1)).otherwise(F.array(own))
+    head = ("series_id", "n", "p", "first", "last")
+    cells = long.join(sizes.frame, "series_id").select(*head, "t", "component", "x", F.explode(twice).alias("chunk")).where(F.col("chunk") * size < F.col("n"))
     # dealt by (series, chunk) once: the rows of a time and the chunk's kernel then need no further shuffle
     dealt = cells.repartition("series_id", "chunk")
-    xs = F.transform(F.array_sort(F.collect_list(F.struct("component", "x"))), lambda c: c["x"])
-    return dealt.groupBy("series_id", "chunk", "n", "p", "t").agg(xs.alias("xs")).where(F.size("xs") == F.col("p"))
+    rows = dealt.groupBy(*head, "chunk", "t").agg(_in_order("x").alias("xs"))
+    if rates is not None:
+        rows = rows.join(rates.groupBy("series_id").agg(_in_order("mu").alias("rates")), "series_id")
+    return rows
+
+
+def _in_order(value: str) -> Column:
+    """The values of a time or series as an array in component order."""
+    return F.transform(F.array_sort(F.collect_list(F.struct("component", value))), lambda c: c[value])
 
 
 @lru_cache(maxsize=64)
 def kernel_for(cfg: DetectorConfig, n: int, p: int) -> Kernel:
+    """The kernel of a series' size; shared by all series of a worker, so it is never changed."""
     return Kernel(cfg.l, cfg.m, tuple(cfg.curve(n, p)), cfg.cost, cfg.w, cfg.gamma, cfg.point_price(n, p), cfg.points)
 
 
-def _matrix(group: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-    """Times in order and their n x p values."""
-    group = group.combine_chunks()
-    t = group.column("t").to_numpy()
-    column = group.column("xs").combine_chunks() if isinstance(group.column("xs"), pa.ChunkedArray) else group.column("xs")
-    x = column.flatten().to_numpy(zero_copy_only=False).reshape(len(t), -1)
-    order = np.argsort(t, kind="stable")
-    return t[order], x[order]
+@dataclass(frozen=True)
+class Block:
+    """A chunk in a worker: its rows `x` with the halo before place `first`; `base` is the time before the first row."""
+
+    series: str
+    n: int
+    p: int
+    x: np.ndarray
+    first: int
+    base: int
+    rates: np.ndarray | None
 
+    def kernel(self, cfg: DetectorConfig) -> Kernel:
+        own = kernel_for(cfg, self.n, self.p)
+        if self.rates is None:
+            if cfg.cost == "poisson":
+                raise ValueError("the count cost needs the typical rates of the components")
+            return own
+        return replace(own, rates=self.rates)
 
-def candidates(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0, chunk: int | None = None, rates: DataFrame | None = None) -> DataFrame:
+
+def read_block(key: tuple, group: pa.Table, cfg: DetectorConfig, size: int) -> Block:
+    """The rows of a chunk in order; raises on gaps, repeated times and missing values, at the chunk's edges too."""
+    series, chunk = key[0].as_py(), key[1].as_py()
+    n, p, start, last = (group.column(c)[0].as_py() for c in ("n", "p", "first", "last"))
+    group = group.combine_chunks()
+    t, xs = group.column("t").to_numpy(), group.column("xs").combine_chunks()
+    xs = xs if isinstance(xs, pa.ListArray) else pa.concat_arrays(xs.chunks)
+    low, high = start + max(0, chunk * size - cfg.m), min(last, start + (chunk + 1) * size - 1)
+    if len(t) != high - low + 1 or pc.min(pc.list_value_length(xs)).as_py() != p or pc.max(pc.list_value_length(xs)).as_py() != p:
+        raise ValueError(f"series {series} has gaps, repeated times or times without all components; fill its grid first")
+    order = np.argsort(t, kind="stable")
+    t, x = t[order], xs.flatten().to_numpy(zero_copy_only=False).reshape(len(t), p)[order]
+    if t[0] != low or t[-1] != high or np.isnan(x).any():
+        raise ValueError(f"series {series} has gaps or missing values; fill its grid first")
+    rates = np.array(group.column("rates")[0].as_py(), float) if "rates" in group.column_names else None
+    if rates is not None and len(rates) != p:
+        raise ValueError(f"series {series} has {p} components and {len(rates)} rates")
+    return Block(series, n, p, x, int(start + chunk * size - t[0]), int(t[0] - 1), rates)
+
+
+def scored(block: Block, cfg: DetectorConfig, floor: float = 0.0, few: bool = False) -> dict[str, np.ndarray]:
+    """The chunk's candidates as arrays s, e, k, score and is_point; `few` leaves out those that hold a better one."""
+    kernel = block.kernel(cfg)
+    found = kernel.scores(block.x, block.first, floor)
+    s, e, k, score = (found[c] for c in ("s", "e", "k", "score"))
+    is_point = np.zeros(len(s), bool)
+    if kernel.points:
+        over = kernel.point_matrix(block.x[block.first :]) - kernel.beta_point
+        saved = np.maximum(over, 0.0).sum(axis=1)
+        at = np.flatnonzero(saved > floor)
+        s, e = np.concatenate([s, at + block.first]), np.concatenate([e, at + block.first + 1])
+        k, score = np.concatenate([k, (over[at] > 0).sum(axis=1)]), np.concatenate([score, saved[at]])
+        is_point = np.concatenate([is_point, np.ones(len(at), bool)])
+    keep = undominated(s, e, score) if few else slice(None)
+    return {"s": s[keep].astype(np.int64) + block.base, "e": e[keep].astype(np.int64) + block.base, "k": k[keep].astype(np.int32), "score": score[keep], "is_point": is_point[keep]}
+
+
+def _kinds(is_point: np.ndarray) -> pa.Array:
+    return pa.array(np.where(is_point, "point", "window").tolist(), pa.string())
+
+
+def candidates(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0, chunk: int | None = None, rates: DataFrame | None = None, few: bool = False, sizes: Sizes | None = None) -> DataFrame:
     """All windows and points of positive penalised saving, as (series_id, s, e, k, score, kind).
 
-    `rates`: (series_id, component, mu) for the count cost; it travels with the rows of its series.
+    `rates`: (series_id, component, mu) for the count cost. `few` leaves out candidates that hold another one
+    of a greater score in the same chunk: they are in no optimum and in no greedy selection.
     """
-    sizes = known_sizes(long)
-    size = chunk or 10 * cfg.m
-    rows = with_halo(long, sizes, cfg, size)
-    if rates is not None:
-        per = rates.groupBy("series_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("component", "mu"))), lambda c: c["mu"]).alias("rates"))
-        rows = rows.join(per, "series_id")
-    counted = rates is not None
+    sizes = sizes or known_sizes(long)
+    size = chunk or chunk_rows(cfg, sizes.p)
 
     def score(key, group):
-        series, chunk_no = key[0].as_py(), key[1].as_py()
-        n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()
-        kernel = kernel_for(cfg, n, p)
-        if counted:
-            kernel.rates = np.array(group.column("rates")[0].as_py(), float)
-        t, x = _matrix(group.select(["t", "xs"]))
-        if len(t) != t[-1] - t[0] + 1:
-            raise ValueError(f"series {series} has gaps or repeated times; fill its grid first")
-        first, base = int(chunk_no * size + 1 - t[0]), int(t[0] - 1)
-        found = kernel.scores(x, first, floor)
-        s, e, k, value = found["s"] + base, found["e"] + base, found["k"], found["score"]
-        kinds = ["window"] * len(s)
-        if kernel.points:
-            saved = kernel.point_savings(x)[first:]
-            at = np.flatnonzero(saved > floor)
-            places = at + first + base + 1
-            affected = (x[first:][at] ** 2 > kernel.beta_point).sum(axis=1) if cfg.cost != "poisson" else np.ones(len(at), int)
-            s, e = np.concatenate([s, places - 1]), np.concatenate([e, places])
-            k, value = np.concatenate([k, np.maximum(affected, 1)]), np.concatenate([value, saved[at]])
-            kinds += ["point"] * len(at)
-        return pa.table({"series_id": pa.array([series] * len(s), pa.string()), "s": pa.array(s, pa.int64()), "e": pa.array(e, pa.int64()), "k": pa.array(k, pa.int32()), "score": pa.array(value, pa.float64()), "kind": pa.array(kinds, pa.string())})
-
-    return rows.groupBy("series_id", "chunk").applyInArrow(score, _CANDIDATES)
+        block = read_block(key, group, cfg, size)
+        f = scored(block, cfg, floor, few)
+        return pa.table({"series_id": pa.array([block.series] * len(f["s"]), pa.string()), "s": f["s"], "e": f["e"], "k": f["k"], "score": f["score"], "kind": _kinds(f["is_point"])})
+
+    return with_halo(long, sizes, cfg, size, rates).groupBy("series_id", "chunk").applyInArrow(score, _CANDIDATES)
 
 
 def islands(found: DataFrame, min_gap: int = 0, by: tuple[str, ...] = ("series_id",), longest: int = 4096) -> DataFrame:
@@ -169,62 +226,111 @@ def islands(found: DataFrame, min_gap: int = 0, by: tuple[str, ...] = ("series_i
 
 
 def solve(found: DataFrame, min_gap: int = 0, greedy: bool = False, by: tuple[str, ...] = ("series_id",), longest: int = 4096) -> DataFrame:
-    """The chosen candidates: the best chain of every island (or the greedy one)."""
+    """The chosen candidates: the best chain of every island (or the greedy one).
 
-    def chain(pdf):
-        pdf = pdf.sort_values(["s", "e", "kind"], kind="stable").reset_index(drop=True)
-        spans = list(zip(pdf["s"].tolist(), pdf["e"].tolist(), pdf["score"].tolist(), pdf["kind"].tolist(), strict=True))
-        if greedy:
-            keep = greedy_chain(spans)
-        else:
-            few = undominated(spans)
-            keep = [few[i] for i in best_chain([spans[i] for i in few], min_gap)[1]]
-        return pdf.iloc[keep].drop(columns="island")
+    Islands are streamed: rows come ordered by their ends, and one row per end is kept, so an island that
+    covers a whole series needs memory for its length and not for its candidates. `found` is read by
+    several branches; keep or write it first.
+    """
+    keys, names = [*by, "island"], found.columns
+    marked = islands(found, min_gap, by, longest)
+    if greedy:
+
+        def chain(pdf):
+            spans = list(zip(pdf["s"].tolist(), pdf["e"].tolist(), pdf["score"].tolist(), pdf["kind"].tolist(), strict=True))
+            return pdf.iloc[greedy_chain(spans, min_gap)].drop(columns="island")
+
+        return marked.groupBy(*keys).applyInPandas(chain, found.schema)
+    place = F.when(F.col("kind") == "point", 0).otherwise(1)
+    rows = marked.withColumn("__place", place).repartition(*keys).sortWithinPartitions(*keys, "e", "__place", F.desc("s")).select(*names, "island")
+    at = {c: i for i, c in enumerate(names)}
+    s_, e_, score_, kind_ = (at[c] for c in ("s", "e", "score", "kind"))
+    own = [at[c] for c in by] + [len(names)]
+    out = _arrow_schema(found)
+
+    def run(batches):
+        now, state = None, Chain(min_gap)
+        for batch in batches:
+            done = []
+            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                island = tuple(row[i] for i in own)
+                if island != now:
+                    done += state.picked()
+                    now, state = island, Chain(min_gap)
+                state.offer(row[s_], row[e_], row[score_], row[kind_], row)
+            if done:
+                yield _as_batch(done, out)
+        if state.ends:
+            yield _as_batch(state.picked(), out)
+
+    return rows.mapInArrow(run, found.schema)
+
+
+def _arrow_schema(df: DataFrame) -> pa.Schema:
+    from pyspark.sql.pandas.types import to_arrow_schema
 
-    fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in found.schema.fields)
-    found = found.persist()  # few rows, read by several branches: without this every branch scores the series anew
-    return islands(found, min_gap, by, longest).groupBy(*by, "island").applyInPandas(chain, fields)
+    return to_arrow_schema(df.schema)
 
 
-def detect(long: DataFrame, cfg: DetectorConfig, plan: str = "islands", rates: DataFrame | None = None) -> DetectionResult:
-    """Anomalous windows and points of standardised series.
+def _as_batch(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
+    columns = list(zip(*rows, strict=True)) if rows else [()] * len(schema)
+    return pa.RecordBatch.from_arrays([pa.array(columns[i], f.type) for i, f in enumerate(schema)], schema=schema)
 
-    `plan`: islands (default), reference or pruned (one task per series), greedy.
+
+def detect(long: DataFrame, cfg: DetectorConfig, plan: str = "auto", rates: DataFrame | None = None) -> DetectionResult:
+    """Anomalous windows and points of standardised series; counts come as they are, with their `rates`.
+
+    `plan`: islands, greedy, tiles (islands from partial sums over tiles of components), reference or
+    pruned (one task per series), or auto, which leaves it to the planner.
     """
-    if plan in ("islands", "greedy"):
-        found = candidates(long, cfg, rates=rates).persist()
-        return DetectionResult(solve(found, cfg.min_gap, plan == "greedy", longest=cfg.m), found, long, cfg)
-    chosen = per_series(long, cfg, plan)
-    return DetectionResult(chosen, chosen, long, cfg)
+    from ..plans.planner import choose
 
+    sizes = known_sizes(long)
+    if plan == "auto":
+        plan = choose(cfg, sizes.n, sizes.p, sizes.series).programme
+    if plan in ("reference", "pruned"):
+        chosen = per_series(long, cfg, plan, rates=rates, sizes=sizes)
+        return DetectionResult(chosen, chosen, long, cfg, rates)
+    if plan == "tiles":
+        from .tiles import tiled_candidates
+
+        found = tiled_candidates(long, cfg, sizes=sizes, rates=rates).persist()
+    elif plan in ("islands", "greedy"):
+        found = candidates(long, cfg, rates=rates, few=True, sizes=sizes).persist()
+    else:
+        raise ValueError(f"unknown plan {plan}")
+    return DetectionResult(solve(found, cfg.min_gap, plan == "greedy", longest=cfg.m), found, long, cfg, rates)
 
-def per_series(long: DataFrame, cfg: DetectorConfig, plan: str = "pruned", cap: int | None = None) -> DataFrame:
+
+#: A chunk that holds any series whole.
+_WHOLE = 1 << 40
+
+
+def per_series(long: DataFrame, cfg: DetectorConfig, plan: str = "pruned", cap: int | None = None, rates: DataFrame | None = None, sizes: Sizes | None = None) -> DataFrame:
     """The whole recursion in one task per series: `reference` (every window up to m) or `pruned` (no cap on lengths unless given)."""
-    sizes = known_sizes(long)
-    wide = with_halo(long, sizes, cfg.with_(m=max(cfg.m, 1)), 1 << 40)
 
     def run(key, group):
-        n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()
-        _, x = _matrix(group.select(["t", "xs"]))
-        kernel = Kernel(cfg.l, cfg.m if plan == "reference" else (cap or n), tuple(cfg.curve(n, p)), cfg.cost, cfg.w, cfg.gamma, cfg.point_price(n, p), cfg.points)
-        parts = (dense_optimum if plan == "reference" else pruned_optimum)(x, kernel)[1]
-        return pa.Table.from_pylist([{"series_id": key[0].as_py(), "s": s, "e": e, "k": 0, "score": float(v), "kind": kind} for s, e, v, kind in parts], schema=pa.schema([("series_id", pa.string()), ("s", pa.int64()), ("e", pa.int64()), ("k", pa.int32()), ("score", pa.float64()), ("kind", pa.string())]))
+        block = read_block(key, group, cfg, _WHOLE)
+        kernel = replace(block.kernel(cfg), m=cfg.m if plan == "reference" else (cap or block.n))
+        parts = (dense_optimum if plan == "reference" else pruned_optimum)(block.x, kernel)[1]
+        sums, over = kernel.sums(block.x), kernel.point_matrix(block.x) > kernel.beta_point
+        k = [int(over[s].sum()) if kind == "point" else kernel.affected(block.x, sums, s, e) for s, e, _, kind in parts]
+        columns = ([p[i] for p in parts] for i in range(4))
+        s, e, score, kind = columns
+        return pa.table({"series_id": pa.array([block.series] * len(parts), pa.string()), "s": pa.array([v + block.base for v in s], pa.int64()), "e": pa.array([v + block.base for v in e], pa.int64()), "k": pa.array(k, pa.int32()), "score": pa.array(map(float, score), pa.float64()), "kind": pa.array(kind, pa.string())})
 
-    return wide.groupBy("series_id").applyInArrow(run, _CANDIDATES)
+    return with_halo(long, sizes or known_sizes(long), cfg, _WHOLE, rates).groupBy("series_id", "chunk").applyInArrow(run, _CANDIDATES)
 
 
-def pruning_profile(long: DataFrame, cfg: DetectorConfig) -> DataFrame:
+def pruning_profile(long: DataFrame, cfg: DetectorConfig, rates: DataFrame | None = None) -> DataFrame:
     """(series_id, step, alive, possible): starts evaluated at each step against those without pruning."""
-    wide = with_halo(long, known_sizes(long), cfg, 1 << 40)
 
     def run(key, group):
-        n, p = group.column("n")[0].as_py(), group.column("p")[0].as_py()
-        _, x = _matrix(group.select(["t", "xs"]))
-        kernel = Kernel(cfg.l, n, tuple(cfg.curve(n, p)), cfg.cost, cfg.w, cfg.gamma, cfg.point_price(n, p), cfg.points)
-        profile = pruned_optimum(x, kernel)[2]
-        return pa.table({"series_id": pa.array([key[0].as_py()] * n, pa.string()), "step": pa.array([a for a, _ in profile], pa.int64()), "alive": pa.array([b for _, b in profile], pa.int64()), "possible": pa.array([max(0, a - cfg.l + 1) for a, _ in profile], pa.int64())})
+        block = read_block(key, group, cfg, _WHOLE)
+        profile = pruned_optimum(block.x, replace(block.kernel(cfg), m=block.n))[2]
+        return pa.table({"series_id": pa.array([block.series] * block.n, pa.string()), "step": pa.array([a for a, _ in profile], pa.int64()), "alive": pa.array([b for _, b in profile], pa.int64()), "possible": pa.array([max(0, a - cfg.l + 1) for a, _ in profile], pa.int64())})
 
-    return wide.groupBy("series_id").applyInArrow(run, "series_id string, step bigint, alive bigint, possible bigint")
+    return with_halo(long, known_sizes(long), cfg, _WHOLE, rates).groupBy("series_id", "chunk").applyInArrow(run, "series_id string, step bigint, alive bigint, possible bigint")
 
 
 def rows_in_windows(long: DataFrame, windows: DataFrame, bucket: int = 128) -> DataFrame:
@@ -233,22 +339,32 @@ def rows_in_windows(long: DataFrame, windows: DataFrame, bucket: int = 128) -> D
     return long.withColumn("bucket", F.floor(F.col("t") / bucket)).join(spread, ["series_id", "bucket"]).where((F.col("t") > F.col("s")) & (F.col("t") <= F.col("e"))).drop("bucket")
 
 
-def affected_components(long: DataFrame, windows: DataFrame, cfg: DetectorConfig) -> DataFrame:
+def _with_rates(rows: DataFrame, rates: DataFrame | None) -> DataFrame:
+    """The rows with `rate`, the typical rate of their component (null without rates)."""
+    if rates is None:
+        return rows.withColumn("rate", F.lit(None).cast("double"))
+    return rows.join(rates.select("series_id", "component", F.col("mu").alias("rate")), ["series_id", "component"])
+
+
+def affected_components(long: DataFrame, windows: DataFrame, cfg: DetectorConfig, rates: DataFrame | None = None) -> DataFrame:
     """(series_id, s, e, component, saving, estimate, start_lag, end_lag) of the k most improved components of each window.
 
     The estimate is the mean over the component's own part of the window; ties go to the lower number.
     """
+    from .relational import saving_column
+
     rows = rows_in_windows(long, windows)
     least, w, gamma, family = max(cfg.l, FAMILIES[cfg.cost].least), cfg.w, cfg.gamma, cfg.cost
     order = Window.partitionBy("series_id", "s", "e").orderBy(F.desc("saving"), "component")
-    if not w and family == "mean":
-        per = rows.groupBy("series_id", "s", "e", "k", "component").agg(F.sum("x").alias("total"))
-        length = F.col("e") - F.col("s")
-        scored = per.select("series_id", "s", "e", "k", "component", (F.col("total") * F.col("total") / length).alias("saving"), (F.col("total") / length).alias("estimate"), F.lit(0).alias("start_lag"), F.lit(0).alias("end_lag"))
+    if not w:
+        per = rows.groupBy("series_id", "s", "e", "k", "component").agg(F.sum("x").alias("total"), F.sum(F.col("x") * F.col("x")).alias("squares"))
+        per = _with_rates(per, rates)
+        scored = per.select("series_id", "s", "e", "k", "component", saving_column(family, F.col("rate")).alias("saving"), (F.col("total") / (F.col("e") - F.col("s"))).alias("estimate"), F.lit(0).alias("start_lag"), F.lit(0).alias("end_lag"))
     else:
 
         def best(pdf):
-            x = pdf.sort_values("t")["x"].to_numpy(float)
+            pdf = pdf.sort_values("t")
+            x, rate = pdf["x"].to_numpy(float), pdf["rate"].iloc[0]
             n, p1, p2 = len(x), np.concatenate([[0], np.cumsum(x)]), np.concatenate([[0], np.cumsum(x * x)])
             top = None
             for d in range(min(w, n - 1) + 1):
@@ -257,29 +373,29 @@ def affected_components(long: DataFrame, windows: DataFrame, cfg: DetectorConfig
                     if size < least:
                         continue
                     total, squares = p1[n - f] - p1[d], p2[n - f] - p2[d]
-                    value = float(FAMILIES[family].saving(total, squares, size, 1.0)) - (gamma if d or f else 0.0)
+                    value = float(FAMILIES[family].saving(total, squares, size, rate)) - (gamma if d or f else 0.0)
                     if top is None or value > top[0] + 1e-12:
                         top = (value, total / size, d, f)
             head = pdf.iloc[0]
             return pd.DataFrame([{"series_id": head["series_id"], "s": head["s"], "e": head["e"], "k": head["k"], "component": head["component"], "saving": top[0], "estimate": top[1], "start_lag": top[2], "end_lag": top[3]}])
 
-        scored = rows.groupBy("series_id", "s", "e", "component").applyInPandas(best, "series_id string, s bigint, e bigint, k int, component int, saving double, estimate double, start_lag int, end_lag int")
+        scored = _with_rates(rows, rates).groupBy("series_id", "s", "e", "component").applyInPandas(best, "series_id string, s bigint, e bigint, k int, component int, saving double, estimate double, start_lag int, end_lag int")
     return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= F.col("k")).drop("rank", "k")
 
 
-def point_components(long: DataFrame, points: DataFrame, cfg: DetectorConfig) -> DataFrame:
+def point_components(long: DataFrame, points: DataFrame, cfg: DetectorConfig, rates: DataFrame | None = None) -> DataFrame:
     """(series_id, t, component, z) of the components that make a time a point anomaly."""
-    sizes = series_sizes(long)
-    price = {}
-    joined = long.join(points.select("series_id", "t"), ["series_id", "t"]).join(sizes, "series_id")
+    price: dict[tuple, float] = {}
+    joined = _with_rates(long.join(points.select("series_id", "t"), ["series_id", "t"]).join(series_sizes(long), "series_id"), rates)
 
     def keep(batches):
         for batch in batches:
             pdf = batch.to_pandas()
-            limit = [price.setdefault((n, p), cfg.point_price(n, p)) for n, p in zip(pdf["n"], pdf["p"], strict=True)]
-            yield pa.RecordBatch.from_pandas(pdf[pdf["x"] ** 2 > np.array(limit)][["series_id", "t", "component", "x"]].rename(columns={"x": "z"}), preserve_index=False)
+            limit = np.array([price.setdefault((n, p), cfg.point_price(n, p)) for n, p in zip(pdf["n"], pdf["p"], strict=True)])
+            over = FAMILIES[cfg.cost].point(pdf["x"].to_numpy(float), limit, pdf["rate"].to_numpy(float)) > limit
+            yield pa.RecordBatch.from_pandas(pdf[over][["series_id", "t", "component", "x"]].rename(columns={"x": "z"}), preserve_index=False)
 
-    return joined.mapInArrow(keep, "series_id string, t bigint, component int, z double")
+    return joined.select("series_id", "t", "component", "x", "n", "p", "rate").mapInArrow(keep, "series_id string, t bigint, component int, z double")
 
 
 def single_window_test(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0) -> DataFrame:

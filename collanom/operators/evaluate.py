@@ -37,15 +37,21 @@ def match_windows(pred: DataFrame, truth: DataFrame, tol: int = TOLERANCE, mode:
     return best.select(*by, "s", "e", "k", "ts", "te", "d_start", "d_end")
 
 
-def roc_points(chosen: DataFrame, truth: DataFrame, series: int, tol: int = TOLERANCE, mode: str = "window") -> DataFrame:
-    """(scale, tp, fp, truths, tpr, fp_per_series) from windows chosen at each scale: columns series_id, scale, s, e."""
-    n_true = truth.select("series_id", "k").distinct().agg(F.count("*").alias("truths"))
-    scales = chosen.select("scale").distinct()
-    each = truth.join(F.broadcast(scales))
-    hits = match_windows(chosen, each, tol, mode, ("series_id", "scale")).select("series_id", "scale", "k").distinct().groupBy("scale").agg(F.count("*").alias("tp"))
-    matched = match_windows(chosen, each, tol, mode, ("series_id", "scale")).select("series_id", "scale", "s", "e").distinct()
-    false = chosen.select("series_id", "scale", "s", "e").join(matched, ["series_id", "scale", "s", "e"], "left_anti").groupBy("scale").agg(F.count("*").alias("fp"))
-    out = scales.join(hits, "scale", "left").join(false, "scale", "left").fillna(0, ["tp", "fp"]).join(F.broadcast(n_true))
+def roc_points(chosen: DataFrame, truth: DataFrame, series: int, tol: int = TOLERANCE, mode: str = "window", scales: list[float] | None = None) -> DataFrame:
+    """(scale, tp, fp, truths, tpr, fp_per_series) from windows chosen at each scale: columns series_id, scale, s, e.
+
+    `scales` are the scales of the sweep, few numbers; without them those that chose anything are fetched.
+    Every truth is held against each of them.
+    """
+    grid = sorted(scales if scales is not None else [r["scale"] for r in chosen.select("scale").distinct().collect()])
+    values = F.array(*[F.lit(float(c)) for c in grid]).cast("array<double>")
+    by = ("series_id", "scale")
+    each = truth.withColumn("scale", F.explode(values))
+    matches = match_windows(chosen, each, tol, mode, by)
+    tp = matches.select(*by, "k").distinct().groupBy("scale").agg(F.count("*").alias("tp"))
+    false = chosen.select(*by, "s", "e").join(matches.select(*by, "s", "e").distinct(), [*by, "s", "e"], "left_anti").groupBy("scale").agg(F.count("*").alias("fp"))
+    n_true = truth.select("series_id", "k").distinct().agg(F.count("*").alias("truths")).select("truths", F.explode(values).alias("scale"))
+    out = n_true.join(tp, "scale", "left").join(false, "scale", "left").fillna(0, ["tp", "fp"])
     return out.select("scale", "tp", "fp", "truths", (F.col("tp") / F.greatest(F.col("truths"), F.lit(1))).alias("tpr"), (F.col("fp") / series).alias("fp_per_series"))
 
 
@@ -78,11 +84,13 @@ def flagged_share(pred: DataFrame, n: int) -> DataFrame:
     return pred.select("series_id", "s", "e", new.alias("new")).groupBy("series_id").agg((F.sum("new") / n).alias("share"))
 
 
-def catalogue_ticks(pred: DataFrame, catalogue: DataFrame, columns: list[str], min_overlap: int = 1) -> DataFrame:
-    """One row per known window and a 0/1 column per method and replicate; `pred` has a column `run`."""
+def catalogue_ticks(pred: DataFrame, catalogue: DataFrame, columns: list[str], min_overlap: int = 1, bucket: int = 256) -> DataFrame:
+    """One row per known window and a 0/1 column per method and replicate; `pred` has a column `run`. Both sides meet in time buckets."""
+    covered = lambda s, e: F.explode(F.sequence(F.floor(F.col(s) / bucket), F.floor(F.col(e) / bucket)))
     known = catalogue.select(F.col("series_id"), F.col("k"), F.col("s").alias("ts"), F.col("e").alias("te")).distinct()
     over = F.least("e", "te") - F.greatest("s", "ts")
-    hits = known.join(F.broadcast(pred.select("series_id", "s", "e", "run")), "series_id").where(over >= min_overlap).select("series_id", "k", "ts", "te", "run").distinct()
+    near = known.withColumn("b", covered("ts", "te")).join(pred.select("series_id", "s", "e", "run").withColumn("b", covered("s", "e")), ["series_id", "b"])
+    hits = near.where(over >= min_overlap).select("series_id", "k", "ts", "te", "run").distinct()
     ticks = hits.groupBy("series_id", "k", "ts", "te").pivot("run", columns).agg(F.count(F.lit(1)))
     return known.join(ticks, ["series_id", "k", "ts", "te"], "left").fillna(0).orderBy("series_id", "k")
 

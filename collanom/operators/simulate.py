@@ -8,9 +8,7 @@ from __future__ import annotations
 
 import math
 
-import numpy as np
-import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -41,35 +39,56 @@ def setting(number: int, p: int, doubled: bool = False) -> dict:
     return {"k": {1: 1, 2: p, 3: few, 4: few}[number], "sigma": sigma * (2 if doubled and number == 2 else 1), "w": 10 if number == 4 else 0, "alpha0": min({1: 1, 2: p, 3: few, 4: few}[number], 5)}
 
 
+def poisson_table(mean: float) -> list[float]:
+    """Cumulative chances of a Poisson number, up to where they no longer matter."""
+    total, out = 0.0, []
+    for j in range(int(4 * mean) + 20):
+        total += math.exp(-mean + j * math.log(mean) - math.lgamma(j + 1))
+        out.append(total)
+    return out
+
+
+def _apart(starts: DataFrame) -> DataFrame:
+    """(series_id, s, e) of windows that begin at or after the end of the last one taken, by their starts.
+
+    A window that begins after all ends before it is always taken, so the walk is made in short runs.
+    """
+    order = Window.partitionBy("series_id").orderBy("s")
+    reach = F.max("e").over(order.rowsBetween(Window.unboundedPreceding, -1))
+    runs = starts.withColumn("new", F.when(reach.isNull() | (F.col("s") >= reach), F.col("s"))).withColumn("run", F.last("new", ignorenulls=True).over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    spans = runs.groupBy("series_id", "run").agg(F.array_sort(F.collect_list(F.struct("s", "e"))).alias("spans"))
+    none = F.array().cast("array<struct<s:bigint,e:bigint>>")
+    taken = F.aggregate("spans", none, lambda acc, v: F.when((F.size(acc) == 0) | (v["s"] >= F.element_at(acc, -1)["e"]), F.concat(acc, F.array(v))).otherwise(acc))
+    return spans.select("series_id", F.explode(taken).alias("v")).select("series_id", "v.s", "v.e")
+
+
 def truths(spark: SparkSession, n: int, p: int, k: int, sigma: float, w: int = 0, replicates: int = 1, seed: int = 1, rate: float = 0.001, mean_length: float = 20.0, every: int = 0) -> DataFrame:
     """True windows, exploded to components: (series_id, k, s, e, component, d, f, mu).
 
-    Starts come at the rate per time (or every so many times), lengths are Poisson, affected components
-    are those with the smallest draws, lags are uniform and redrawn until something is left.
+    Starts come at the rate per time (or every so many times), lengths are Poisson (2 at least, 4 with
+    lags), windows that begin inside an earlier one or end after n are left out. Affected components are
+    those with the smallest draws; lags are one of the pairs up to w whose sum is below the length, each as
+    likely as the others.
     """
-    starts = spark.range(0, n * replicates).select(F.floor(F.col("id") / n).cast("string").alias("series_id"), (F.col("id") % n).alias("s"))
-    chosen = starts.where((F.col("s") % every == every // 2) if every else (uniform(seed, "start", F.col("series_id"), F.col("s")) < rate)).withColumn("u", uniform(seed, "length", F.col("series_id"), F.col("s")))
-
-    def draw(pdf):
-        pdf = pdf.sort_values("s")
-        table = np.cumsum([math.exp(-mean_length + j * math.log(mean_length) - math.lgamma(j + 1)) for j in range(int(4 * mean_length) + 20)])
-        rows, busy, number = [], 0, 0
-        for series, s, u in pdf[["series_id", "s", "u"]].itertuples(index=False):
-            length = max(2 + (2 if w else 0), int(np.searchsorted(table, u)))
-            if s < busy or s + length > n:
-                continue
-            busy, number = s + length, number + 1
-            rng = np.random.default_rng(np.random.SeedSequence([seed, int(series), int(s)]))
-            for c in np.sort(rng.permutation(p)[:k]):
-                d = f = 0
-                while w:
-                    d, f = (int(v) for v in rng.integers(0, w + 1, 2))
-                    if d + f < length:
-                        break
-                rows.append((series, number, s, s + length, int(c) + 1, d, f, float(rng.normal(0, sigma))))
-        return pd.DataFrame(rows, columns=["series_id", "k", "s", "e", "component", "d", "f", "mu"])
-
-    return chosen.groupBy("series_id").applyInPandas(draw, "series_id string, k int, s bigint, e bigint, component int, d int, f int, mu double")
+    cells = spark.range(0, n * replicates).select(F.floor(F.col("id") / n).cast("string").alias("series_id"), (F.col("id") % n).alias("s"))
+    at = (F.col("series_id"), F.col("s"))
+    starts = cells.where((F.col("s") % every == every // 2) if every else (uniform(seed, "start", *at) < rate))
+    table = F.array(*[F.lit(c) for c in poisson_table(mean_length)])
+    drawn = F.size(F.filter(table, lambda c: c < uniform(seed, "length", *at)))
+    spans = starts.select(*at, (F.col("s") + F.greatest(F.lit(4 if w else 2), drawn)).cast("long").alias("e")).where(F.col("e") <= n)
+    numbered = _apart(spans).withColumn("k", F.row_number().over(Window.partitionBy("series_id").orderBy("s")))
+    part = (*at, F.col("component"))
+    cells = numbered.withColumn("component", F.explode(F.sequence(F.lit(1), F.lit(p))))
+    order = Window.partitionBy(*at).orderBy(uniform(seed, "affected", *part), "component")
+    hit = cells.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    mu = (normal(seed, "mean", *part) * sigma).alias("mu")
+    none = F.lit(0)
+    if not w:
+        return hit.select("series_id", "k", "s", "e", "component", none.alias("d"), none.alias("f"), mu)
+    pairs = F.array(*[F.struct(F.lit(d).alias("d"), F.lit(f).alias("f")) for d in range(w + 1) for f in range(w + 1)])
+    fit = hit.withColumn("fit", F.filter(pairs, lambda v: v["d"] + v["f"] < F.col("e") - F.col("s")))
+    one = F.element_at("fit", (F.floor(uniform(seed, "lags", *part) * F.size("fit")) + 1).cast("int"))
+    return fit.withColumn("one", one).select("series_id", "k", "s", "e", "component", "one.d", "one.f", mu)
 
 
 def add_points(spark: SparkSession, n: int, p: int, replicates: int = 1, seed: int = 1, points: int = 5) -> DataFrame:

@@ -8,8 +8,10 @@ from dataclasses import dataclass
 from ..config import DetectorConfig
 from ..functions import penalties as pen
 
-#: Cells up to which the relational form is cheap enough to be preferred for its plain SQL.
-SMALL = 200_000
+#: Observations from which a run without a cap on lengths takes the pruned recursion.
+LONG = 1000
+#: Components from which sums over tiles of them are taken.
+WIDE = 20_000
 
 
 @dataclass(frozen=True)
@@ -18,7 +20,6 @@ class Plan:
 
     statistic: str
     programme: str
-    scoring: str
     chunk: int
     lines: int
     pairs: int
@@ -28,26 +29,34 @@ class Plan:
 
 
 def choose(cfg: DetectorConfig, n: int, p: int, series: int = 1) -> Plan:
-    """Sum form where the curve is a line, a screen of lines with exact re-scoring otherwise; islands where lengths are capped."""
+    """The plan that `detect` takes for series of at most n times and p components.
+
+    Islands where lengths are capped, one pruned recursion per long series where they aren't, tiles of
+    components for very wide panels; the sum form where the curve is a line, else a screen of lines with
+    exact scores for what passes it.
+    """
+    from ..operators.detect import chunk_rows
+
     curve = cfg.curve(n, p)
     linear = pen.is_linear(curve)
     lines = len(pen.chords(curve))
-    chunk = min(max(10 * cfg.m, 1), max(n, cfg.m))
-    pairs = series * sum(max(n - length + 1, 0) for length in range(cfg.l, min(cfg.m, n) + 1)) if cfg.m < 10_000 else series * n * cfg.m
+    tiles = p > WIDE and not cfg.w and cfg.priced_by not in ("max", "consistency")
+    programme = "pruned" if cfg.m >= n > LONG else "tiles" if tiles else "islands"
+    chunk = 2 * cfg.m if tiles else chunk_rows(cfg, p)
+    longest = min(cfg.m, n)
+    pairs = series * max(0, (longest - cfg.l + 1) * (2 * n - longest - cfg.l + 2) // 2)
     work = float(pairs) * p * (1 + lines) + (pairs * p * 2 * math.ceil(math.log2(cfg.w + 1)) if cfg.w else 0)
-    reasons = [
+    reasons = (
         "the curve is a line: one sum per window, nothing is sorted" if linear else f"{lines} lines screen the windows; only survivors are sorted",
-        "lengths are capped: positive candidates fall into islands that are solved apart" if cfg.m < n else "no cap on lengths: one pruned recursion per series",
+        {"pruned": "no cap on lengths: one pruned recursion per series", "tiles": "more components than a task should hold: sums over tiles of them", "islands": "positive candidates fall into islands that are solved apart"}[programme],
         "lags by two sliding maxima" if cfg.w else "no lags",
-    ]
-    programme = "islands" if cfg.m < n else "pruned"
-    scoring = "relational" if pairs * p <= SMALL and not cfg.w else "blocks"
-    return Plan("sum" if linear else "screened", programme, scoring, chunk, lines, pairs, work, int(8 * n * p * series * (1 + cfg.m / chunk)), tuple(reasons))
+    )
+    return Plan("sum" if linear else "screened", programme, chunk, lines, pairs, work, int(8 * n * p * series * (1 + cfg.m / chunk)), reasons)
 
 
 def explain_plan(cfg: DetectorConfig, n: int, p: int, series: int = 1) -> str:
     """The decision in words and numbers."""
     plan = choose(cfg, n, p, series)
-    head = f"statistic {plan.statistic}, programme {plan.programme}, scoring {plan.scoring}, chunks of {plan.chunk} rows"
+    head = f"statistic {plan.statistic}, programme {plan.programme}, chunks of {plan.chunk} rows"
     cost = f"{plan.pairs:,} windows, {plan.work:,.0f} cell updates, {plan.shuffle_bytes:,} bytes shuffled"
     return "\n".join([head, *plan.reasons, cost])

@@ -22,16 +22,16 @@ def materialised(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def detect_table(df: DataFrame, time: str, label: Column, cfg: DetectorConfig, value: Column | None = None, agg: str = "count", unit: str = "hour", series: Column | str = "all", approximate: bool = False) -> detect.DetectionResult:
+def detect_table(df: DataFrame, time: str, label: Column, cfg: DetectorConfig, value: Column | None = None, agg: str = "count", unit: str = "hour", series: Column | str = "all", approximate: bool | None = None) -> detect.DetectionResult:
     """From a raw table to windows and points: cells (the one scan of the table), scaled series, candidates.
 
     The cells are as many as time units times labels, whatever the table's rows; scaling and scoring read
-    them from the written stage. `approximate` takes quantiles by sketches, for very long series.
+    them from the written stage. `approximate` takes quantiles by sketches; None decides by the cells' number.
     """
     cells = materialised(series_from_table(df, time, label, value, agg, unit, series))
     long = densify(cells, unit)
-    scaled = materialised(baseline.standardise(long, baseline.guard_scale(baseline.fit_typical(long, cfg.how, approximate))))
-    found = materialised(detect.candidates(scaled, cfg))
+    scaled = materialised(baseline.scaled(long, cfg.how, approximate))
+    found = materialised(detect.candidates(scaled, cfg, few=True))
     return detect.DetectionResult(detect.solve(found, cfg.min_gap, longest=cfg.m), found, scaled, cfg)
 
 

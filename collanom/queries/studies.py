@@ -112,7 +112,7 @@ def plan_choices(spark: SparkSession, sf: str) -> DataFrame:
     from ..plans import choose
 
     rows = []
-    for name, cfg, n, p in (("long", DetectorConfig(m=100), 10**7, 10), ("panel", DetectorConfig(m=20), 100, 1000), ("lagged", DetectorConfig(w=40), 10**5, 4), ("uncapped", DetectorConfig(m=5000), 5000, 10), ("small", DetectorConfig(m=10), 500, 5)):
+    for name, cfg, n, p in (("long", DetectorConfig(m=100), 10**7, 10), ("panel", DetectorConfig(m=20), 100, 1000), ("lagged", DetectorConfig(w=40), 10**5, 4), ("uncapped", DetectorConfig(m=5000), 5000, 10), ("wide", DetectorConfig(m=20), 200, 100_000), ("small", DetectorConfig(m=10), 500, 5)):
         plan = choose(cfg, n, p)
-        rows.append((name, plan.statistic, plan.programme, plan.scoring, plan.chunk, plan.pairs))
-    return spark.createDataFrame(rows, "name string, statistic string, programme string, scoring string, chunk int, pairs bigint")
+        rows.append((name, plan.statistic, plan.programme, plan.chunk, plan.pairs))
+    return spark.createDataFrame(rows, "name string, statistic string, programme string, chunk int, pairs bigint")

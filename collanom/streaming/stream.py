@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..config import DetectorConfig
-from ..operators.blocks import Kernel, best_chain, undominated
+from ..operators.blocks import Kernel, best_chain
 from ..schema import TABLES
 
 
@@ -127,8 +127,7 @@ class OnlineDetector:
             groups.append((group, reach))
         for group, reach in groups:
             if reach <= now + 1 - self.cfg.m:
-                few = [group[i] for i in undominated(group)]
-                out += [few[i] for i in best_chain(few, self.cfg.min_gap)[1]]
+                out += [group[i] for i in best_chain(group, self.cfg.min_gap)[1]]
             else:
                 rest += group
         self.open = rest

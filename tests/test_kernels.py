@@ -47,7 +47,7 @@ def test_scores(w, gamma, regime):
     rng = np.random.default_rng(w)
     x = rng.normal(size=(24, 3))
     x[8:15, :2] += 2.5
-    if regime == "composite" and w and not gamma:
+    if w and not gamma:
         regime = "lag"
     k = kernel(24, 3, m=10, w=w, gamma=gamma, regime=regime)
     truth = {key: v for key, v in brute_windows(x, k).items() if v > 1e-9}
@@ -104,7 +104,7 @@ def test_pruned_equals_dense(w):
         f = k.scores(x, 0)
         spans = [(int(s), int(e), float(v), "window") for s, e, v in zip(f["s"], f["e"], f["score"], strict=True)]
         spans += [(i, i + 1, float(v), "point") for i, v in enumerate(k.point_savings(x)) if v > 0]
-        few = [spans[i] for i in undominated(spans)]
+        few = [spans[i] for i in np.flatnonzero(undominated(*(np.array([x[j] for x in spans]) for j in range(3))))]
         assert best_chain(few)[0] == pytest.approx(dense, abs=1e-8)
         assert sum(spans[i][2] for i in greedy_chain(spans)) <= dense + 1e-9
 
@@ -177,5 +177,12 @@ def test_splitting_never_lowers_the_saving():
 def test_config_checks():
     with pytest.raises(ValueError, match="l <= m"):
         DetectorConfig(l=5, m=3)
-    assert DetectorConfig(w=3).regime == "lag"
+    assert DetectorConfig(w=3).priced_by == "lag" and DetectorConfig(w=3).with_(w=0).priced_by == "composite"
+    assert DetectorConfig(w=3, gamma=2.0).priced_by == "linear" and DetectorConfig(cost="poisson").priced_by == "empirical"
+    with pytest.raises(ValueError, match="no price for lags"):
+        DetectorConfig(w=4, regime="flat")
+    with pytest.raises(ValueError, match="no price for lags"):
+        DetectorConfig(regime="composite").with_(w=4)
+    with pytest.raises(ValueError, match="unknown regime"):
+        DetectorConfig(regime="other")
     assert len(pen.curve_for("max", 4, 2.0)) == 4

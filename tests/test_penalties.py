@@ -73,7 +73,23 @@ def test_presets_and_bound():
     assert pen.false_positive_bound(1000, 30.0, 50) < pen.false_positive_bound(1000, 30.0)
 
 
-def test_empirical_curve_is_increasing():
-    rng = np.random.default_rng(5)
-    curve = pen.empirical_penalty(rng.chisquare(1, (400, 12)), 8.0)
-    assert (np.diff(curve) >= 0).all()
+@pytest.mark.parametrize("cost", ["mean", "poisson", "meanvar", "var"])
+def test_empirical_curve(cost):
+    curve = np.array(pen.empirical_penalty(cost, 30, 8.0, 4, 40))
+    assert (np.diff(curve) >= -1e-9).all() and (np.diff(curve, 2) < 1e-9).all()
+    assert (np.array(pen.empirical_penalty(cost, 30, 8.0, 4, 40, 5)) > curve).all()
+    if cost == "mean":
+        # prices of the simulated law lie near those that are derived for it
+        known = np.array(pen.composite_penalty(30, 8.0))
+        assert (curve > 0.75 * known).all() and (curve < 1.8 * known).all()
+
+
+@pytest.mark.parametrize("cost", ["poisson", "meanvar", "var"])
+def test_empirical_curve_holds_its_level(cost):
+    """Of windows of noise, fewer than exp(-psi) are above the curve."""
+    rng, p, psi = np.random.default_rng(3), 6, 4.0
+    curve = np.array(pen.empirical_penalty(cost, p, psi, 5, 40))
+    for size in (5, 12, 40):
+        draws = rng.choice(pen.null_savings(cost, float(size)), (40_000, p))
+        top = np.cumsum(-np.sort(-draws, axis=1), axis=1)
+        assert (top > curve).any(axis=1).mean() < math.exp(-psi)
