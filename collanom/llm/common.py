@@ -37,7 +37,40 @@ def stored(df: DataFrame) -> DataFrame:
     """Cuts the lineage: written as Parquet in the shared folder and read again."""
     path = shared_folder(df.sparkSession)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.stored_path = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Deletes the files of `stored` tables that nothing reads any more; other frames are left alone."""
+    for df in frames:
+        if path := df.__dict__.pop("stored_path", None):
+            spark = df.sparkSession
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
+#: Rows at one key above which a join doesn't hash the key; at most `HOT_KEYS` keys have so many.
+HOT_ROWS, HOT_KEYS = 200, 100_000
+
+
+def join_by_hot_key(left: DataFrame, right: DataFrame, key: str, rows: int, written: list[DataFrame] | None = None) -> DataFrame:
+    """`left` joined to `right`, which has one row per key and in `n` the number of its rows in `left` (`rows` in all).
+
+    Keys with more than `HOT_ROWS` rows, and more than a `HOT_KEYS`th of all, meet in a broadcast: there are
+    at most `HOT_KEYS` of them, so its size is bounded whatever the data. The others are hashed, and none of
+    them is large. The table that this writes is added to `written`.
+    """
+    known = stored(right)
+    if written is not None:
+        written.append(known)
+    is_hot = F.col("n") > max(HOT_ROWS, rows // HOT_KEYS)
+    hot, cold = known.where(is_hot).drop("n"), known.where(~is_hot).drop("n")
+    if not hot.head(1):
+        return left.join(cold, key)
+    rest = left.join(F.broadcast(hot.select(key)), key, "left_anti")
+    return left.join(F.broadcast(hot), key).unionByName(rest.join(cold, key))
 
 
 def text_bytes(df: DataFrame, text: str = "text") -> int:
