@@ -55,22 +55,20 @@ def discard(*frames: DataFrame) -> None:
 HOT_ROWS, HOT_KEYS = 200, 100_000
 
 
-def join_by_hot_key(left: DataFrame, right: DataFrame, key: str, rows: int, written: list[DataFrame] | None = None) -> DataFrame:
+def join_by_hot_key(left: DataFrame, right: DataFrame, key: str, rows: int) -> DataFrame:
     """`left` joined to `right`, which has one row per key and in `n` the number of its rows in `left` (`rows` in all).
 
     Keys with more than `HOT_ROWS` rows, and more than a `HOT_KEYS`th of all, meet in a broadcast: there are
     at most `HOT_KEYS` of them, so its size is bounded whatever the data. The others are hashed, and none of
-    them is large. The table that this writes is added to `written`.
+    them is large.
     """
-    known = stored(right)
-    if written is not None:
-        written.append(known)
-    is_hot = F.col("n") > max(HOT_ROWS, rows // HOT_KEYS)
-    hot, cold = known.where(is_hot).drop("n"), known.where(~is_hot).drop("n")
-    if not hot.head(1):
-        return left.join(cold, key)
+    limit = max(HOT_ROWS, rows // HOT_KEYS)
+    found = right.where(F.col("n") > limit).collect()
+    if not found:
+        return left.join(right.drop("n"), key)
+    hot = left.sparkSession.createDataFrame(found, right.schema).drop("n")
     rest = left.join(F.broadcast(hot.select(key)), key, "left_anti")
-    return left.join(F.broadcast(hot), key).unionByName(rest.join(cold, key))
+    return left.join(F.broadcast(hot), key).unionByName(rest.join(right.where(F.col("n") <= limit).drop("n"), key))
 
 
 def text_bytes(df: DataFrame, text: str = "text") -> int:

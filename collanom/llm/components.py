@@ -12,19 +12,19 @@ def _both(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
 
 
-def _large_star(edges: DataFrame, n: int, written: list[DataFrame]) -> DataFrame:
+def _large_star(edges: DataFrame, n: int) -> DataFrame:
     """Each larger neighbour of a node is tied to the least node around it."""
     sides = _both(edges)
     least = sides.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n"))
-    tied = join_by_hot_key(sides, least, "u", 2 * n, written).where("v > u and v <> m")
+    tied = join_by_hot_key(sides, least, "u", 2 * n).where("v > u and v <> m")
     return tied.select(F.col("m").alias("a"), F.col("v").alias("b")).distinct()
 
 
-def _small_star(edges: DataFrame, n: int, written: list[DataFrame]) -> DataFrame:
+def _small_star(edges: DataFrame, n: int) -> DataFrame:
     """Each smaller neighbour of a node, and the node, are tied to the least of them."""
     sides = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
     least = sides.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
-    tied = join_by_hot_key(sides, least, "u", n, written).where("v <> m").select(F.col("m").alias("a"), F.col("v").alias("b"))
+    tied = join_by_hot_key(sides, least, "u", n).where("v <> m").select(F.col("m").alias("a"), F.col("v").alias("b"))
     return tied.unionByName(least.select(F.col("m").alias("a"), F.col("u").alias("b"))).distinct()
 
 
@@ -41,10 +41,9 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     now = stored(edges.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
     state = _state(now)
     for _ in range(max_rounds if state[0] else 0):
-        written = [now]
-        larger = stored(_large_star(now, state[0], written))
-        now = stored(_small_star(larger, state[0], written))
-        discard(larger, *written)
+        larger = stored(_large_star(now, state[0]))
+        last, now = now, stored(_small_star(larger, state[0]))
+        discard(larger, last)
         before, state = state, _state(now)
         if state == before:
             break

@@ -10,7 +10,8 @@ size is below `BROADCAST_BYTES`; otherwise the join's hot hosts are salted.
 
 Defined results: a null text has no lines and stays null, an empty text is one blank line; blank lines
 (only white space) are never boilerplate; a null host is a host of its own; repeated rows are documents
-of their own.
+of their own; a line exactly at the ratio stays; an empty table gives no rows; long texts are read whole;
+all columns are carried unchanged, whatever their names.
 """
 
 from __future__ import annotations
@@ -49,38 +50,44 @@ def boilerplate(docs: DataFrame, ratio: float = RATIO, least: int = LEAST_DOCS,
     return common.groupBy("host").agg(F.max("n_docs").alias("n_docs"), F.collect_list(F.struct("a", "b")).alias("lines"))
 
 
-def _marked(docs: DataFrame, ratio: float, least: int, host_col: str, text_col: str) -> DataFrame:
-    """The documents with `__kept`, the lines that stay, beside their columns."""
-    known = stored(boilerplate(docs, ratio, least, host_col, text_col)).select(F.col("host").alias("__host"), F.col("lines").alias("__lines"))
-    size = known.agg(F.coalesce(F.sum(F.size("__lines") * 16 + F.coalesce(F.length("__host"), F.lit(0))), F.lit(0)).alias("n")).first()["n"]
-    same = F.col(host_col).eqNullSafe(F.col("__host"))
+def _joined(rows: DataFrame, ratio: float, least: int) -> DataFrame:
+    """(row, host, text) with `kept`, the lines that stay."""
+    known = stored(boilerplate(rows, ratio, least, "host", "text")).select(F.col("host").alias("h"), "lines")
+    size = known.agg(F.coalesce(F.sum(F.size("lines") * 16 + F.coalesce(F.length("h"), F.lit(0))), F.lit(0)).alias("n")).first()["n"]
+    same = F.col("host").eqNullSafe(F.col("h"))
     if size <= BROADCAST_BYTES:
-        joined = docs.join(F.broadcast(known), same, "left")
+        joined = rows.join(F.broadcast(known), same, "left")
     else:
-        salted = known.withColumn("__salt_b", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-        dealt = docs.withColumn("__salt_a", (F.monotonically_increasing_id() % SALTS).cast("int"))
-        joined = dealt.join(salted, same & (F.col("__salt_a") == F.col("__salt_b")), "left")
-    stays = F.filter(_lines(F.col(text_col).cast("string")), lambda x: _blank(x) | ~F.array_contains(F.col("__lines"), _key(x)))
-    return joined.withColumn("__kept", F.when(F.col("__lines").isNull(), _lines(F.col(text_col).cast("string"))).otherwise(stays))
+        salted = known.withColumn("salt_b", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        dealt = rows.withColumn("salt_a", (F.monotonically_increasing_id() % SALTS).cast("int"))
+        joined = dealt.join(salted, same & (F.col("salt_a") == F.col("salt_b")), "left")
+    stays = F.filter(_lines(F.col("text")), lambda x: _blank(x) | ~F.array_contains(F.col("lines"), _key(x)))
+    return joined.withColumn("kept", F.when(F.col("lines").isNull(), _lines(F.col("text"))).otherwise(stays))
+
+
+def _rows(docs: DataFrame, host_col: str, text_col: str) -> DataFrame:
+    """(row, host, text): the columns that the operator reads beside all others, which are in a struct and so clash with nothing."""
+    others = [F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(docs.columns) if c != text_col]
+    return docs.select(F.struct(F.lit(0).alias("c"), *others).alias("row"), F.col(f"`{host_col}`").alias("host"), F.col(f"`{text_col}`").cast("string").alias("text"))
 
 
 def deduplicate(docs: DataFrame, ratio: float = RATIO, least: int = LEAST_DOCS, host_col: str = "source", text_col: str = "text") -> DataFrame:
     """The documents without their hosts' boilerplate lines; all columns are kept as they are."""
-    marked = _marked(docs, ratio, least, host_col, text_col)
-    text = F.when(F.col(text_col).isNotNull(), F.concat_ws("\n", "__kept")).alias(text_col)
-    return marked.select(*[text if c == text_col else F.col(c) for c in docs.columns])
+    marked = _joined(_rows(docs, host_col, text_col), ratio, least)
+    text = F.when(F.col("text").isNotNull(), F.concat_ws("\n", "kept")).cast(docs.schema[text_col].dataType).alias(text_col)
+    return marked.select(*[text if c == text_col else F.col(f"row.c{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def report(docs: DataFrame) -> DataFrame:
     """Per document: lines, dropped lines, and the SHA-256 of the text that stays."""
     lines = F.coalesce(F.size(_lines(F.col("text"))), F.lit(0))
-    kept = F.coalesce(F.size("__kept"), F.lit(0))
+    kept = F.coalesce(F.size("kept"), F.lit(0))
     n = F.when(F.col("text").isNull(), 0).otherwise(lines)
-    return _marked(docs, RATIO, LEAST_DOCS, "source", "text").select(
-        "doc_id",
+    return _joined(_rows(docs.select("doc_id", "source", "text"), "source", "text"), RATIO, LEAST_DOCS).select(
+        F.col("row.c0").alias("doc_id"),
         n.cast("long").alias("n_lines"),
         F.when(F.col("text").isNull(), 0).otherwise(n - kept).cast("long").alias("n_dropped"),
-        F.sha2(F.coalesce(F.concat_ws("\n", "__kept"), F.lit("")).cast("binary"), 256).alias("kept_sha256"),
+        F.sha2(F.coalesce(F.concat_ws("\n", "kept"), F.lit("")).cast("binary"), 256).alias("kept_sha256"),
     )
 
 

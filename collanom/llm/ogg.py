@@ -135,14 +135,19 @@ class Media:
 
 
 def decode(data: bytes) -> Media:
-    """Samples, sampling rate, notes and the end time in seconds of each packet."""
+    """Samples, sampling rate, notes and the end time in seconds of each packet.
+
+    A page states the granule position of the last packet that it ends; those of the packets before are
+    counted by their samples, and every stated one is checked against the count.
+    """
     kinds = {s.packets[0][:8]: s for s in demultiplex(data).values()}
     audio, text = kinds[b"PCM8HEAD"], kinds[b"NOTEHEAD"]
     _, _, rate, _, total = _HEAD.unpack(audio.packets[0])
     payload = b"".join(audio.packets[1:])
-    if len(payload) != total or audio.granules[-1] != total:
+    ends = np.cumsum([len(p) for p in audio.packets[1:]]).tolist()
+    if len(payload) != total or audio.granules[-1] != total or any(g not in (-1, e) for g, e in zip(audio.granules[1:], ends, strict=True)):
         raise OggError("samples and granule positions differ")
-    return Media(payload, rate, json.loads(text.packets[1]), [g / rate for g in audio.granules[1:]])
+    return Media(payload, rate, json.loads(text.packets[1]), [e / rate for e in ends])
 
 
 def feature(samples: np.ndarray, rate: int, times: list[float]) -> str:

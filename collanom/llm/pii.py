@@ -2,17 +2,26 @@
 
 Each kind of value is a number in a finite set; a keyed Feistel network, walked until it lands in the
 set again, permutes the set. The same value thus gets the same pseudonym in every document, pseudonyms
-are valid values of the same format (check digits, calendar), and whoever has the key can invert them.
-Separators stay where they were, so that two spellings of a number stay linked.
+are valid values of the same format (check digits, calendar, numbering plan), and whoever has the key can
+invert them. Separators stay where they were, so that the spellings of a value stay linked: dates in any
+order of their parts, telephone numbers with and without separators, +1 numbers with and without the code.
+
+Where a candidate fails its validation shorter ones that begin there are tried (a card number may be
+followed by other digits), then what begins later. Days up to the 12th are permuted among themselves and
+so are the others, so a date that can only be read month first gives one that can only be read so.
 
 Defined results: null texts stay null, empty ones empty; values that fail their validation (check
-digits, ranges, calendar) are left alone; repeated rows get equal results.
+digits, ranges, calendar) are left alone; where several kinds or lengths fit the first in the order of
+`KINDS` and `CARD_SIZES` is taken; a date of two small numbers is read day first; repeated rows get equal
+results; an empty table gives no rows; long texts are read whole; other columns are ignored, whatever
+their names.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Callable
 from datetime import date
 from functools import lru_cache
@@ -27,18 +36,40 @@ from .common import slices
 DEMO_KEY = b"collanom demonstration key"
 ROUNDS = 8
 KINDS = ("email", "ip", "date", "ssn", "phone", "card", "iban")
+#: Digits of a card number, as they are tried where more digits follow.
+CARD_SIZES = (16, 15, 14, 13, 19, 18, 17)
 #: Fixed: candidates of each kind, tried in this order; validation follows.
-PATTERN = re.compile(
-    r"(?P<email>(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,24})"
-    r"|(?<![\w.])(?P<ip>\d{1,3}(?:\.\d{1,3}){3})(?!\.?\d)"
-    r"|(?<!\w)(?P<date>\d{4}-\d{2}-\d{2}|\d{2}[/.]\d{2}[/.]\d{4})(?!\w)"
-    r"|(?<!\w)(?P<ssn>\d{3}-\d{2}-\d{4})(?!\w)"
-    r"|(?<!\w)(?P<phone>\+\d{1,3}[ .-]?(?:\(\d{2,4}\)|\d{2,4})(?:[ .-]?\d{2,4}){2,3})(?!\w)"
-    r"|(?<!\w)(?P<card>\d(?:[ -]?\d){12,18})(?!\w)"
-    r"|(?<!\w)(?P<iban>[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,4})?)(?!\w)",
-    re.ASCII,
-)
+FORMS = {
+    "email": r"[A-Za-z0-9._%+-]{1,64}@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,24}",
+    "ip": r"\d{1,3}(?:\.\d{1,3}){3}",
+    "date": r"\d{4}-\d{2}-\d{2}|\d{2}[/.]\d{2}[/.]\d{4}",
+    "ssn": r"\d{3}-\d{2}-\d{4}",
+    "phone": r"\+\d{1,3}[ .-]?(?:\(\d{2,4}\)|\d{2,4})(?:[ .-]?\d{2,4}){2,4}|(?:\(\d{3}\) ?|\d{3}[ .-])\d{3}[ .-]\d{4}",
+    "card": r"\d(?:[ -]?\d){12,18}",
+    "iban": r"[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,4})?",
+}
+#: Fixed: what may not stand before and after a candidate.
+_BEFORE = {k: r"(?<!\w)" for k in KINDS} | {"email": r"(?<![A-Za-z0-9._%+-])", "ip": r"(?<![\w.])"}
+_AFTER = {k: r"(?!\w)" for k in KINDS} | {"email": "", "ip": r"(?!\w|\.\d)"}
+PATTERN = re.compile("|".join(f"{_BEFORE[k]}(?P<{k}>{FORMS[k]}){_AFTER[k]}" for k in KINDS), re.ASCII)
+_OWN = {k: (re.compile(f"{_BEFORE[k]}(?:{FORMS[k]})", re.ASCII), re.compile(_AFTER[k], re.ASCII)) for k in KINDS}
+#: Signs of a value of any kind but the first, at most.
+LONGEST = 50
+#: Fixed: two-digit country calling codes; 1 and 7 have one digit, all others three.
+_TWO = frozenset((20, 27, 30, 31, 32, 33, 34, 36, 39, 40, 41, 43, 44, 45, 46, 47, 48, 49, 51, 52, 53, 54, 55, 56, 57, 58, 60, 61, 62, 63, 64, 65, 66, 81, 82, 84, 86, 90, 91, 92, 93, 94, 95, 98))
 _LOW, _HIGH = date(1900, 1, 1).toordinal(), date(2099, 12, 31).toordinal()
+#: Days of the range up to the 12th of their month, and the others.
+_DAYS = tuple([d for d in range(_LOW, _HIGH + 1) if (date.fromordinal(d).day <= 12) is small] for small in (True, False))
+
+
+def country_code(digits: str) -> str:
+    """The country calling code that an international number begins with."""
+    return digits[:1] if digits[0] in "17" else digits[:2] if int(digits[:2]) in _TWO else digits[:3]
+
+
+def _plan(national: str) -> bool:
+    """Whether ten digits are a number of the +1 plan: neither area nor exchange begins with 0 or 1."""
+    return national[0] > "1" and national[3] > "1"
 
 
 class Permutation:
@@ -99,6 +130,12 @@ class Pseudonyms:
         p = self.of(kind, size)
         return p.invert(x) if self.backwards else p.apply(x)
 
+    def within(self, kind: str, x: int, size: int, fits: Callable[[int], bool]) -> int:
+        """The permutation walked until it is among the numbers that fit, which it thereby permutes."""
+        while not fits(x := self.number(kind, x, size)):
+            pass
+        return x
+
     def mixed(self, kind: str, signs: str) -> str:
         """Letters and digits permuted as one number of mixed base; other signs stay."""
         bases = [(10, "0") if c.isdigit() else (26, "a") if c.islower() else (26, "A") for c in signs]
@@ -130,16 +167,7 @@ class Pseudonyms:
             x = self.number("ip", int.from_bytes(bytes(parts), "big"), 1 << 32)
             return ".".join(map(str, x.to_bytes(4, "big")))
         if kind == "date":
-            iso = text[4] == "-"
-            y, m, d = (text[:4], text[5:7], text[8:]) if iso else (text[6:], text[3:5], text[:2])
-            try:
-                day = date(int(y), int(m), int(d)).toordinal()
-            except ValueError:
-                return None
-            if not _LOW <= day <= _HIGH:
-                return None
-            to = date.fromordinal(_LOW + self.number("date", day - _LOW, _HIGH - _LOW + 1))
-            return to.isoformat() if iso else to.strftime(f"%d{text[2]}%m{text[5]}%Y")
+            return self._date(text)
         if kind == "ssn":
             area, group, serial = int(digits[:3]), int(digits[3:5]), int(digits[5:])
             if area in (0, 666) or area > 899 or not group or not serial:
@@ -151,12 +179,7 @@ class Pseudonyms:
             area = areas + 1 + (areas + 1 >= 666)
             return f"{area:03d}-{group + 1:02d}-{serial + 1:04d}"
         if kind == "phone":
-            code = re.match(r"\+\d{1,3}?(?=[ .(-])", text)
-            head = code[0] if code else text[:2]
-            rest = re.sub(r"\D", "", text[len(head) :])
-            if not 7 <= len(rest) <= 14:
-                return None
-            return head + _lay(text[len(head) :], f"{self.number('phone' + head, int(rest), 10 ** len(rest)):0{len(rest)}d}")
+            return self._phone(text, digits)
         if kind == "card":
             if not 13 <= len(digits) <= 19 or int(digits[-1]) != luhn_digit(digits[:-1]):
                 return None
@@ -169,20 +192,76 @@ class Pseudonyms:
         body = self.mixed("iban", body)
         return _lay(text, country + _iban_check(country, body) + body)
 
+    def _date(self, text: str) -> str | None:
+        if text[4] == "-":
+            forms = ((text[:4], text[5:7], text[8:], "%Y-%m-%d"),)
+        else:
+            day_first, month_first = f"%d{text[2]}%m{text[5]}%Y", f"%m{text[2]}%d{text[5]}%Y"
+            forms = ((text[6:], text[3:5], text[:2], day_first), (text[6:], text[:2], text[3:5], month_first))
+        for y, m, d, form in forms:
+            try:
+                day = date(int(y), int(m), int(d))
+            except ValueError:
+                continue
+            if not _LOW <= day.toordinal() <= _HIGH:
+                return None
+            days = _DAYS[day.day > 12]
+            to = days[self.number(f"date{day.day > 12:d}", bisect_left(days, day.toordinal()), len(days))]
+            return date.fromordinal(to).strftime(form)
+        return None
+
+    def _phone(self, text: str, digits: str) -> str | None:
+        code = country_code(digits) if text[0] == "+" else "1"
+        national = digits[len(code) :] if text[0] == "+" else digits
+        if not 7 <= len(national) <= 12 or text[0] != "+" and not _plan(national):
+            return None
+        size = 10 ** len(national)
+        wide = lambda x: f"{x:0{len(national)}d}"
+        if code == "1" and len(national) == 10:
+            # numbers of the plan and others each among themselves, so that a number without the code is still seen
+            same = _plan(national)
+            x = self.within("phone1", int(national), size, lambda x: _plan(wide(x)) == same)
+        else:
+            x = self.number(f"phone{code}", int(national), size)
+        return _lay(text, (code if text[0] == "+" else "") + wide(x))
+
+    def _another(self, text: str, start: int) -> tuple[str, int, str] | None:
+        """The first valid value (kind, end, pseudonym) that begins at `start` and ends at a word's end, by kinds, then by length."""
+        ends = [i for i in range(min(start + LONGEST, len(text)), start + 6, -1) if not _word(text, i) and _word(text, i - 1)]
+        for kind in KINDS:
+            whole, after = _OWN[kind]
+            found = [i for i in ends if whole.fullmatch(text, start, i) and after.match(text, i)]
+            if kind == "card":
+                found.sort(key=lambda i: CARD_SIZES.index(sum(c.isdigit() for c in text[start:i])))
+            for i in found:
+                if (new := self.value(kind, text[start:i])) is not None:
+                    return kind, i, new
+        return None
+
     def rewrite(self, text: str | None) -> tuple[str | None, list[tuple[str, int, int]]]:
         """The text with pseudonyms, and (kind, start, end) of every value in the text as it was."""
         if not text:
             return text, []
-        out, spans, at = [], [], 0
-        for m in PATTERN.finditer(text):
-            new = self.value(m.lastgroup, m[0])
-            if new is not None:
-                out += [text[at : m.start()], new]
-                at = m.end()
-                spans.append((m.lastgroup, m.start(), at))
+        out, spans, at, pos = [], [], 0, 0
+        while m := PATTERN.search(text, pos):
+            kind, start, end = m.lastgroup, m.start(), m.end()
+            new = self.value(kind, m[0])
+            if kind == "card" or new is None:
+                kind, end, new = self._another(text, start) or (kind, end, None)
+            if new is None:
+                pos = start + 1
+                continue
+            out += [text[at:start], new]
+            at = pos = end
+            spans.append((kind, start, end))
         return ("".join([*out, text[at:]]) if spans else text), spans
 
 
+def _word(text: str, i: int) -> bool:
+    """Whether there is an ASCII letter, digit or low line at a place."""
+    return i < len(text) and text[i].isascii() and (text[i].isalnum() or text[i] == "_")
+
+
 def pseudonymise(docs: DataFrame, key: bytes = DEMO_KEY, id_col: str = "doc_id", text_col: str = "text", make: Callable[[bytes], Pseudonyms] = Pseudonyms) -> DataFrame:
     """(doc_id, n_values, one count per kind, spans, text): texts with every value replaced; map-only."""
     kind = docs.schema[id_col].dataType.simpleString()

@@ -360,19 +360,22 @@ def _node_links(nodes: DataFrame, seeds: int, max_bits: int, total_bits: int, ho
     at most nodes times nine over `hot_place` places are hot.
     """
     wide = stored(nodes.select("node", *[F.col("fps")[i].alias(f"p{i}") for i in range(seeds)]))
+    every = F.array(*[F.struct(F.lit(k).alias("k"), _places(F.col(f"p{k}")).alias("places")) for k in range(seeds)])
+    counts = wide.select(F.explode(every).alias("s")).select("s.k", F.explode("s.places").alias("place")).groupBy("k", "place").agg(F.count("*").alias("n"))
+    hot = stored(counts.where(F.col("n") > hot_place))
+    heated = {r["k"] for r in hot.select("k").distinct().collect()}
     each = []
     for k in range(seeds):  # a seed at a time: the rows of one are shuffled and gone before those of the next
         placed = wide.withColumn("place", F.explode(_places(F.col(f"p{k}"))))
-        hot = stored(placed.groupBy("place").agg(F.count("*").alias("n")).where(F.col("n") > hot_place))
-        if hot.head(1):
-            cool = placed.join(F.broadcast(hot.select("place")), "place", "left_anti")
-            found = _compared(cool, seeds, k, max_bits, total_bits).unionByName(_compared_tiles(placed, hot, seeds, k, max_bits, total_bits))
+        if k in heated:
+            own = hot.where(F.col("k") == k).select("place", "n")
+            cool = placed.join(F.broadcast(own.select("place")), "place", "left_anti")
+            found = _compared(cool, seeds, k, max_bits, total_bits).unionByName(_compared_tiles(placed, own, seeds, k, max_bits, total_bits))
         else:
             found = _compared(placed, seeds, k, max_bits, total_bits)
         each.append(stored(found))
-        discard(hot)
     links_ = stored(reduce(DataFrame.unionByName, each))
-    discard(wide, *each)
+    discard(wide, hot, *each)
     return links_
 
 

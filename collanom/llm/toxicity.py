@@ -1,18 +1,21 @@
 """Toxicity by a weighted lexicon, matched with Aho-Corasick after folding look-alikes.
 
-Texts are lower-cased; look-alike letters of other scripts become Latin ones, digits and signs inside
-a word become the letters they stand for, and everything that is not a letter parts words. The lexicon
+Texts are lower-cased; look-alike letters of other scripts become Latin ones, digits and signs that stand
+for letters in a word become those letters, and everything that is not a letter parts words. The lexicon
 holds whole words and word beginnings whose documents are toxic far more often than chance explains
 (a likelihood-ratio test). A word counts once, with the heaviest entry that matches it; words inside an
-exception phrase don't count. The sum, and the sum over the logarithm of the length, go through a
-logistic curve.
+exception phrase don't count. Exceptions are learned too: two-word phrases with a lexicon word whose
+documents are no more often toxic than others. The sum, and the sum over the logarithm of the length, go
+through a logistic curve.
 
 The lexicon is learned from at most `SAMPLE` labelled rows of each class, those with the smallest hash
 of the id; rows whose key falls in the held-out fold are never used. Every document is scored.
 
 Defined results: null and empty texts score as a text without hits; repeated label rows count once (the
 higher label); labels other than 0 and 1, and null ones, are not used; without usable labels of both
-classes every score is the share of toxic labels (0 if there are none).
+classes every score is the share of toxic labels (0 if there are none); of entries with equal ratios the
+first in order of letters; an empty table gives no rows; long texts are scored whole; other columns are
+ignored by `score` and carried unchanged by `reject`, whatever their names.
 """
 
 from __future__ import annotations
@@ -39,12 +42,14 @@ FOLDS = 5
 LEAST_RATIO, LEAST_ODDS = 30.0, 2.0
 #: Letters of a word beginning, from and to.
 PREFIX = (4, 9)
+#: Harmless documents that an exception phrase needs, and exceptions at most.
+LEAST_HARMLESS, EXCEPTIONS = 3, 5_000
 #: Letters of other scripts that look like Latin ones, and what digits and signs stand for.
 HOMOGLYPHS = str.maketrans("аеорсухіјѕԁһӏкмтвнοαιρυνετκηχωσɑɡıｌ", "aeopcyxijsdhlkmtbhoaipuvetknxwsagil")
 DIGITS = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "@": "a", "$": "s", "!": "i"}
-#: Fixed phrases in which a lexicon word is harmless.
-EXCEPTIONS = ("trash can", "trash bin", "idiot proof", "class clown", "clown fish", "pond scum", "sore loser")
-_INSIDE = re.compile(r"(?<=[^\W\d_])[0134578@$!](?=[^\W\d_])")
+#: Digits and signs inside a word, and such ones (but no exclamation mark) at its beginning or end.
+_AS_LETTERS = re.compile(r"(?<=[^\W\d_])[0134578@$!]+(?=[^\W\d_])|(?<![^\W_])[0134578@$]+(?=[^\W\d_])|(?<=[^\W\d_])[0134578@$]+(?![^\W_])")
+_LETTERS = str.maketrans(DIGITS)
 _APART = re.compile(r"[\W\d_]+")
 _FOREIGN = re.compile("[ɡɑıͰ-ԯａ-ｚ​-‏­]")
 _HIDDEN = re.compile("[​-‏­]")
@@ -55,7 +60,7 @@ def fold(text: str | None) -> str:
     t = (text or "").lower()
     if _FOREIGN.search(t):
         t = "".join(chr(ord(c) - 0xFEE0) if "ａ" <= c <= "ｚ" else c for c in _HIDDEN.sub("", t)).translate(HOMOGLYPHS)
-    t = _INSIDE.sub(lambda m: DIGITS[m[0]], t)
+    t = _AS_LETTERS.sub(lambda m: m[0].translate(_LETTERS), t)
     return f" {_APART.sub(' ', t).strip()} "
 
 
@@ -64,7 +69,7 @@ class Lexicon:
     """Entries begin with a space; those that also end with one are whole words, others are beginnings."""
 
     entries: dict[str, float]
-    exceptions: tuple[str, ...] = EXCEPTIONS
+    exceptions: tuple[str, ...] = ()
     curve: tuple[float, float, float] = (0.0, 0.0, 0.0)
 
     def matcher(self):
@@ -90,8 +95,10 @@ def hits(folded: str, matcher) -> tuple[float, int]:
             harmless.append((start, end))
         elif weight > best.get(start, 0.0):
             best[start] = weight
-    if harmless:
-        best = {s: w for s, w in best.items() if not any(a <= s < b for a, b in harmless)}
+    for at, end in harmless:
+        while 0 <= at < end:
+            best.pop(at, None)
+            at = folded.find(" ", at + 1)
     return sum(best.values()), len(best)
 
 
@@ -133,8 +140,9 @@ def training_rows(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str
 
     def grouped(batches):
         for batch in batches:
-            same = [_group(t) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(same, pa.int64())], names=["y", "text", "same"])
+            for part in slices(batch):
+                same = [_group(t) for t in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(same, pa.int64())], names=["y", "text", "same"])
 
     return rows.select("y", "text").mapInArrow(grouped, "y int, text string, same bigint").groupBy("same", "y").agg(F.max("text").alias("text"))
 
@@ -165,16 +173,54 @@ def learn(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", id_col:
     chosen = totals.where("p > 0").withColumn("ratio", ratio).withColumn("odds", odds).where((F.col("ratio") >= LEAST_RATIO) & (F.col("odds") >= LEAST_ODDS))
     found = {r["entry"]: (r["p"], r["odds"]) for r in chosen.orderBy(F.desc("ratio"), "entry").limit(ENTRIES).collect()}
     entries = _telling(found)
-    lexicon = Lexicon(entries)
+    exceptions = _exceptions(rows, Lexicon(entries), pos, neg)
+    lexicon = Lexicon(entries, exceptions)
 
     def measured(batches):
         matcher = lexicon.matcher()
         for batch in batches:
-            found = [measures(t, matcher) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([m[k] for m in found], pa.float64()) for k in (0, 1))], names=["y", "a", "b"])
+            for part in slices(batch):
+                found = [measures(t, matcher) for t in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array([m[k] for m in found], pa.float64()) for k in (0, 1))], names=["y", "a", "b"])
 
     sample = rows.select("y", "text").mapInArrow(measured, "y int, a double, b double").toPandas().sort_values(["y", "a", "b"])
-    return Lexicon(entries, curve=_curve(sample[["a", "b"]].to_numpy(), sample["y"].to_numpy()))
+    return Lexicon(entries, exceptions, _curve(sample[["a", "b"]].to_numpy(), sample["y"].to_numpy()))
+
+
+def phrases(folded: str, matcher) -> set[str]:
+    """Two-word phrases with a word that the lexicon hits."""
+    if not len(matcher):
+        return set()
+    starts = {end - size + 1 for end, (size, _) in matcher.iter(folded)}
+    out = set()
+    for at in starts:
+        left = folded.rfind(" ", 0, at)
+        right = folded.find(" ", at + 1)
+        beyond = folded.find(" ", right + 1)
+        if left >= 0:
+            out.add(folded[left + 1 : right])
+        if beyond >= 0:
+            out.add(folded[at + 1 : beyond])
+    return out
+
+
+def _exceptions(rows: DataFrame, lexicon: Lexicon, pos: int, neg: int) -> tuple[str, ...]:
+    """Phrases that are harmless: in `LEAST_HARMLESS` documents labelled so, and in toxic ones no more often than chance has it."""
+
+    def counted(batches):
+        matcher = lexicon.matcher()
+        for batch in batches:
+            for part in slices(batch, 1 << 20):
+                counts = Counter(), Counter()
+                for y, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                    counts[y].update(phrases(fold(text), matcher))
+                every = list(counts[0].keys() | counts[1].keys())
+                yield pa.RecordBatch.from_arrays([pa.array(every, pa.string()), pa.array([counts[1][k] for k in every], pa.int64()), pa.array([counts[0][k] for k in every], pa.int64())], names=["phrase", "p", "n"])
+
+    totals = rows.select("y", "text").mapInArrow(counted, "phrase string, p bigint, n bigint").groupBy("phrase").agg(F.sum("p").alias("p"), F.sum("n").alias("n"))
+    rare = (F.col("p") + 0.5) / (pos + 1) <= (F.col("n") + 0.5) / (neg + 1)
+    chosen = totals.where((F.col("n") >= LEAST_HARMLESS) & rare).orderBy(F.desc("n"), "phrase").limit(EXCEPTIONS)
+    return tuple(sorted(r["phrase"] for r in chosen.select("phrase").collect()))
 
 
 def _telling(found: dict[str, tuple[int, float]], share: float = 0.9) -> dict[str, float]:
@@ -228,6 +274,7 @@ def reject(docs: DataFrame, lexicon: Lexicon, threshold: float = 0.5, text_col:
         own = shared.value
         matcher = own.matcher()
         for batch in batches:
-            yield batch.filter(pa.array([probability(measures(t, matcher), own.curve) < threshold for t in batch.column(at).to_pylist()], pa.bool_()))
+            for part in slices(batch, text=at):
+                yield part.filter(pa.array([probability(measures(t, matcher), own.curve) < threshold for t in part.column(at).to_pylist()], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -7,11 +7,14 @@ are rows of a table in the shared folder (name, bytes), so they can live in any
 Reading back parses and verifies every record and makes each archive's index a locally sorted run. The
 runs are cut at splitter keys (URL key, timestamp, id); for every range a loser tree merges the runs'
 pieces, so that the ranges, one after another, are a globally ordered capture history. The splitters come
-from at most `SPLITTER_SAMPLE` keys and only affect how evenly the ranges are filled.
+from `SAMPLES` keys a range, chosen by hash from all captures, and only affect how evenly the ranges are
+filled; there are as many ranges as captures need, up to `RANGES`, which bounds what the driver sees.
 
 Defined results: a null html is an empty payload; a null url has the empty URL key; repeated rows are
 captures of their own (with the smallest id, all are responses); a null id is written as such and sorts
-first; an empty table gives no archives and no rows.
+first; captures of one URL and time are ordered by id, then archive and place; an empty table gives no
+archives and no rows; a long page is one record, read in bounded pieces; other columns are ignored,
+whatever their names.
 """
 
 from __future__ import annotations
@@ -33,8 +36,12 @@ from .common import stored
 
 LEAST_PAYLOAD = 100
 ARCHIVE_BYTES = 4 << 20
-SPLITTER_SAMPLE = 4096
-RANGE_ROWS = 20_000
+#: Captures of a range, and ranges at most (4 keys of each are then sorted on the driver).
+RANGE_ROWS, RANGES, SAMPLES = 20_000, 1 << 17, 4
+#: Bytes that are read at once.
+READ = 1 << 16
+#: Rows of revisited payloads up to which their table is broadcast: 100 bytes each; beyond it the join is salted.
+BROADCAST_PAYLOADS, SALTS = 200_000, 32
 #: Captures without a time of their own are dated this much after the epoch of the crawl, by id.
 _CONTROL = re.compile(r"[\x00-\x20\x7f-\x9f\u2028\u2029]")
 EPOCH = datetime(2024, 1, 1, tzinfo=UTC)
@@ -77,16 +84,19 @@ def record(page: int | None, url: str | None, payload: bytes, digest: str, refer
     return gzip.compress(raw, compresslevel=1, mtime=0)
 
 
-def records(archive: bytes) -> Iterator[tuple[int, int, dict[str, str], bytes]]:
+def records(archive: bytes | pa.Buffer) -> Iterator[tuple[int, int, dict[str, str], bytes]]:
     """(offset, length, headers, block) of each record; raises on a record that does not hold together."""
-    at = 0
-    while at < len(archive):
-        member = zlib.decompressobj(31)
-        raw = member.decompress(archive[at:] if at else archive) + member.flush()
-        if not member.eof:
-            raise ValueError(f"the record at {at} is cut off")
-        size = len(archive) - at - len(member.unused_data)
-        top, _, rest = raw.partition(b"\r\n\r\n")
+    view, at = memoryview(archive), 0
+    while at < len(view):
+        member, parts, end = zlib.decompressobj(31), [], at
+        while not member.eof:
+            if end >= len(view):
+                raise ValueError(f"the record at {at} is cut off")
+            piece = view[end : end + READ]
+            parts.append(member.decompress(piece))
+            end += len(piece)
+        size = end - at - len(member.unused_data)
+        top, _, rest = b"".join(parts).partition(b"\r\n\r\n")
         version, *lines = top.decode("utf-8", "surrogatepass").split("\r\n")
         head = dict(line.split(": ", 1) for line in lines)
         n = int(head["Content-Length"])
@@ -172,18 +182,34 @@ class LoserTree:
             self.winner = at
 
 
-def write(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """Archives of all captures: a written table of (archive, content)."""
-    rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), F.coalesce(F.col(html_col).cast("string"), F.lit("")).alias("html"))
-    rows = rows.withColumn("digest", F.sha2(F.col("html").cast("binary"), 256))
+def _with_first(rows: DataFrame) -> DataFrame:
+    """The captures with `refers_to`, the smallest id of their payload where that is another one.
+
+    The html is not shuffled where the table of repeated payloads is small; beyond, every payload is dealt
+    over `SALTS` keys, so that a popular one is not one task's.
+    """
     first = (
         rows.where(F.octet_length("html") >= LEAST_PAYLOAD)
         .groupBy(F.col("digest").alias("d"))
         .agg(F.min("page_id").alias("first"), F.count("*").alias("n"))
-        .where("n > 1")
+        .where("n > 1 and first is not null")
         .drop("n")
     )
-    dealt = rows.join(first, F.col("digest") == F.col("d"), "left").select("page_id", "url", "html", "digest", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
+    first = stored(first)
+    same = F.col("digest") == F.col("d")
+    if first.limit(BROADCAST_PAYLOADS + 1).count() <= BROADCAST_PAYLOADS:
+        joined = rows.join(F.broadcast(first), same, "left")
+    else:
+        salted = first.withColumn("salt_d", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        dealt = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
+        joined = dealt.join(salted, same & (F.col("salt") == F.col("salt_d")), "left")
+    return joined.select("page_id", "url", "html", "digest", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
+
+
+def write(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """Archives of all captures: a written table of (archive, content)."""
+    rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), F.coalesce(F.col(html_col).cast("string"), F.lit("")).alias("html"))
+    dealt = _with_first(rows.withColumn("digest", F.sha2(F.col("html").cast("binary"), 256)))
 
     def archived(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
@@ -207,34 +233,55 @@ def write(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_
 
 def _splitters(pages: DataFrame, id_col: str, url_col: str) -> list[tuple]:
     """Keys that cut the order into ranges: of every hash bucket of all captures, the one with the least second hash."""
-    ranges = -(-pages.count() // RANGE_ROWS)
+    ranges = min(RANGES, -(-pages.count() // RANGE_ROWS))
     rows = pages.select(F.col(id_col).cast("long").alias("p"), F.col(url_col).cast("string").alias("u"))
     one = F.min_by(F.struct("p", "u"), F.xxhash64("u", "p", F.lit(1))).alias("one")
-    sample = rows.groupBy(F.pmod(F.xxhash64("p", "u"), F.lit(SPLITTER_SAMPLE)).alias("bucket")).agg(one).select("one.p", "one.u").collect()
+    buckets = SAMPLES * max(ranges, 64)
+    sample = rows.groupBy(F.pmod(F.xxhash64("p", "u"), F.lit(buckets)).alias("bucket")).agg(one).select("one.p", "one.u").collect()
     keys = sorted((url_key(r["u"]), stamp(r["p"])) for r in sample)
     return sorted({keys[i * len(keys) // ranges] for i in range(1, ranges)})
 
 
+_ORDER = ("url_key", "captured", "page_id", "archive", "offset")
+
+
+def merged_order(entries: pa.StructArray, cuts: list[int]) -> list[int]:
+    """Places of sorted runs, which lie between the cuts, in their common order."""
+    columns = [entries.field(c).to_pylist() for c in _ORDER]
+
+    def run(a: int, b: int) -> Iterator[tuple]:
+        for i in range(a, b):
+            url, captured, page, archive, offset = (c[i] for c in columns)
+            yield (url, captured, page is not None, page or 0, archive, offset), i
+
+    tree = LoserTree([run(a, b) for a, b in zip(cuts, cuts[1:], strict=False)], key=lambda x: x[0])
+    return [i for _, i in tree]
+
+
 def history(archives: DataFrame, splitters: list[tuple]) -> DataFrame:
     """The global index: entries with their range and place, in capture order by (range, place)."""
     from bisect import bisect_right
 
+    known = archives.sparkSession.sparkContext.broadcast(splitters)
+
     def runs(batches):
         for batch in batches:
-            for name, content in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                entries = sorted((index_entry(name, *r) for r in records(content)), key=_order)
+            for name, content in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                entries = sorted((index_entry(name, *r) for r in records(content.as_buffer())), key=_order)
                 pieces: dict[int, list[dict]] = {}
                 for e in entries:
-                    pieces.setdefault(bisect_right(splitters, (e["url_key"], e["captured"])), []).append(e)
+                    pieces.setdefault(bisect_right(known.value, (e["url_key"], e["captured"])), []).append(e)
                 kind = pa.list_(pa.struct([(f, pa.int64() if f in ("page_id", "payload_bytes", "refers_to", "offset", "length") else pa.string()) for f in entries[0]]))
                 yield pa.RecordBatch.from_arrays([pa.array(list(pieces), pa.int32()), pa.array([name] * len(pieces)), pa.array(list(pieces.values()), kind)], names=["range", "run", "entries"])
 
     def merged(key, group):
-        order = np.argsort(np.array(group.column("run").to_pylist()), kind="stable")
-        pieces = group.column("entries").to_pylist()
-        out = list(LoserTree([pieces[i] for i in order.tolist()]))
-        table = pa.Table.from_pylist(out, schema=pa.schema(group.schema.field("entries").type.value_type))
-        n = len(out)
+        group = group.sort_by("run").combine_chunks()
+        lists = group.column("entries").combine_chunks()
+        lists = lists if isinstance(lists, pa.ListArray) else pa.concat_arrays(lists.chunks)
+        entries = lists.flatten()
+        sizes = [0, *np.cumsum(lists.value_lengths().to_numpy()).tolist()]
+        table = pa.Table.from_struct_array(entries.take(pa.array(merged_order(entries, sizes), pa.int64())))
+        n = len(table)
         return table.append_column("range", pa.array([key[0].as_py()] * n, pa.int32())).append_column("place", pa.array(range(n), pa.int64()))
 
     fields = _ENTRY[7:-1].replace(":", " ").replace(",", ", ")

@@ -55,6 +55,25 @@ def test_ogg_damage_is_found():
     assert struct.unpack_from("<I", media, second + 14)[0] == 2
 
 
+def test_ogg_packets_of_one_page_have_their_own_times():
+    """Two packets on a page, of which the page states the last one's granule position only."""
+    head = ogg._HEAD.pack(b"PCM8HEAD", 1, ogg.RATE, 8, 300)
+    text = ogg._Writer(2)
+
+    def page(serial, number, flags, granule, packets):
+        laces = b"".join(bytes([255]) * (len(p) // 255) + bytes([len(p) % 255]) for p in packets)
+        raw = ogg._HEADER.pack(b"OggS", 0, flags, granule, serial, number, 0, len(laces)) + laces + b"".join(packets)
+        return raw[:22] + struct.pack("<I", plain_crc(raw)) + raw[26:]
+
+    notes = b"".join([*text.pages(b"NOTEHEAD", 0, first=True), *text.pages(b"{}", 0, last=True)])
+    good = page(1, 0, ogg.FIRST, 0, [head]) + notes + page(1, 1, ogg.LAST, 300, [b"a" * 100, b"b" * 200])
+    back = ogg.decode(good)
+    assert back.times == [100 / ogg.RATE, 300 / ogg.RATE] and len(back.payload) == 300
+    wrong = page(1, 0, ogg.FIRST, 0, [head]) + notes + page(1, 1, 0, 150, [b"a" * 100]) + page(1, 2, ogg.LAST, 300, [b"b" * 200])
+    with pytest.raises(ogg.OggError):
+        ogg.decode(wrong)
+
+
 def test_ogg_query(spark, sf, corpus, awkward, empty):
     want = {}
     for doc, text in corpus:
@@ -128,14 +147,35 @@ def test_viterbi_by_enumeration_and_in_spark(spark):
     table = small_table()
     rng = random.Random(9)
     words = {"▁" * rng.randint(0, 1) + "".join(rng.choice("abcé") for _ in range(rng.randint(1, 7))) for _ in range(120)}
+    viterbi = pieces.Lattice(table).sums
     for word in words:
-        assert pieces.viterbi(word, table) == best_by_enumeration(word, table)
+        assert viterbi(word) == best_by_enumeration(word, table)
     frame = spark.createDataFrame([(w,) for w in words], "word string")
     got = {r["word"]: r["ids"] for r in pieces.encode_vocabulary(frame, table).collect()}
     total = lambda ids: sum(table.scores[i] if i > 256 else 0 for i in ids)
     assert got.keys() == words
     for word in words:
-        assert got[word] == pieces.viterbi(word, table) or total(got[word]) == pytest.approx(total(pieces.viterbi(word, table)))
+        assert got[word] == viterbi(word) or total(got[word]) == pytest.approx(total(viterbi(word)))
+
+
+def test_lattice_of_byte_pairs_in_spark(spark, table, library, corpus):
+    """The relational lattice, pair join and fold give the library's tokens, and so does the pass in a worker."""
+    words = sorted({w.replace(" ", pieces.SPACE) for _, t in corpus[:150] for w in pieces._WORDS.findall(" " + (t or ""))})[::7]
+    words += ["▁", "▁▁", "é\U0001f389x", "\U0001f389\U0001f389", "▁中a"]
+    own = pieces.Lattice(table)
+    want = {w: [i for p in pieces.merged(w, table) for i in ([table.ids[p]] if p in table.ids else pieces._fallback(p, table))] for w in words}
+    assert {w: own.fold(w) for w in words} == want
+    got = {r["word"]: r["ids"] for r in pieces.encode_vocabulary(spark.createDataFrame([(w,) for w in words], "word string"), table).collect()}
+    assert got == want and len(words) > 500
+
+
+def test_pairs_are_forgotten_and_found_again(table, monkeypatch):
+    monkeypatch.setattr(pieces, "KEPT_PAIRS", 40)
+    own, rng = pieces.Lattice(table), random.Random(3)
+    for _ in range(300):
+        word = "▁" + "".join(rng.choice("etaoinshrdlu") for _ in range(rng.randint(1, 20)))
+        assert [table.pieces[i] for i in own.fold(word)] == pieces.merged(word, table)
+    assert len(own.young) <= 20 and len(own.old) <= 20
 
 
 def test_pieces_edges(spark, awkward, empty):
@@ -175,6 +215,22 @@ def test_warc_revisits_order_and_edges(spark, monkeypatch):
     assert warc.report(pages.limit(0)).count() == 0
 
 
+def test_warc_joins_of_many_payloads_are_salted(spark, monkeypatch):
+    monkeypatch.setattr(warc, "BROADCAST_PAYLOADS", 0)
+    data = [(i, f"http://a/{i}", ("x" * 200, "", "y" * 150)[i % 3]) for i in range(60)] + [(None, "http://a/", "x" * 200)]
+    rows = warc.report(spark.createDataFrame(data, "page_id bigint, url string, html string")).collect()
+    got = sorted((tuple(r)[:5] for r in rows), key=repr)
+    want = plain_archive([(p, h.encode()) for p, _, h in data])
+    assert [r for r in got if r[0] is not None] == [r for r in want if r[0] is not None] and len(got) == len(want)
+
+
+def test_reading_is_linear(monkeypatch):
+    monkeypatch.setattr(warc, "READ", 50)
+    one = [warc.record(i, f"http://a/{i}", b"p" * i, hashlib.sha256(b"p" * i).hexdigest(), None) for i in range(300)]
+    back = list(warc.records(b"".join(one)))
+    assert [size for _, size, _, _ in back] == list(map(len, one)) and [len(b.partition(b"\r\n\r\n")[2]) for *_, b in back] == list(range(300))
+
+
 def test_loser_tree_merges():
     rng = random.Random(3)
     for k in (0, 1, 2, 3, 7, 8):

@@ -3,7 +3,10 @@
 from __future__ import annotations
 
 import collections
+import datetime
 import hashlib
+import ipaddress
+import math
 import random
 import re
 
@@ -82,6 +85,23 @@ def test_decontamination_removes_spans(spark, awkward, empty):
     assert decontaminate.report(empty, items).count() == 0
 
 
+def test_decontamination_in_shards(spark, monkeypatch):
+    """Items of several automata, passed one after another, give what one automaton gives."""
+    rng = random.Random(6)
+    word = lambda: rng.choice("ab cd ef gh ij kl".split())
+    items = [(None if i == 3 else i % 9, " ".join(word() for _ in range(rng.choice([2, 4, 9, 20])))) for i in range(12)]
+    docs = [(i, " ".join(word() for _ in range(rng.randint(0, 60))), i) for i in range(50)]
+    d, t = spark.createDataFrame(docs, "doc_id bigint, text string, row bigint"), spark.createDataFrame(items, "item_id bigint, text string")
+    whole = sorted(map(repr, decontaminate.report(d, t, 4).collect()))
+    left = sorted(map(repr, decontaminate.remove(d, t, 4).collect()))
+    monkeypatch.setattr(decontaminate, "SHARD_BYTES", 30)
+    assert len(list(decontaminate._shards(t, "item_id", "text"))) >= 3
+    assert sorted(map(repr, decontaminate.report(d, t, 4).collect())) == whole
+    assert sorted(map(repr, decontaminate.remove(d, t, 4).collect())) == left
+    named = {x for r in decontaminate.find(d, t, 4).collect() for x in r["items"]}
+    assert named and "None" not in named
+
+
 def test_secret_automaton_is_minimal_and_right():
     dfa = compile_rules([parse("ab+"), parse("(?i:x)[0-9]{2}")], anywhere=True)
     state, seen = 0, []
@@ -145,23 +165,166 @@ def test_pseudonyms_keep_their_format():
     assert own.rewrite(None) == (None, []) and own.rewrite("") == ("", [])
 
 
-def test_pseudonyms_query(spark, sf, corpus, awkward, empty):
-    back, texts = pii.Pseudonyms(backwards=True), dict(corpus)
+def test_pseudonyms_of_shortened_and_other_spellings():
+    own, back = pii.Pseudonyms(b"key"), pii.Pseudonyms(b"key", backwards=True)
+    new = own.rewrite("pay 4111 1111 1111 1111 123 now")[0]
+    assert re.fullmatch(r"pay (\d{4} ){4}123 now", new) and "4111 1111" not in new
+    assert own.rewrite("order 123 4111 1111 1111 1111.")[1] == [("card", 10, 29)]
+    digits = lambda t: re.sub(r"\D", "", own.rewrite(t)[0])
+    assert digits("+44 20 7946 0958") == digits("+442079460958") == digits("+44-20-7946-0958")
+    assert digits("+44 20 7946 0958").startswith("44")
+    assert digits("+1 (555) 234-4567") == "1" + digits("(555) 234-4567") == "1" + digits("555-234-4567") == "1" + digits("555 234.4567")
+    assert own.rewrite("155-234-4567 or 555-134-4567 or 555-23-4567x")[1] == []
+    days = [own.rewrite(t)[0] for t in ("1990-12-25", "25/12/1990", "12/25/1990", "25.12.1990")]
+    y, m, d = days[0].split("-")
+    assert days[1:] == [f"{d}/{m}/{y}", f"{m}/{d}/{y}", f"{d}.{m}.{y}"] and int(d) > 12
+    assert own.rewrite("13/25/1990 and 31/04/2001 and 00/01/2000")[1] == []
+    for t in ("12/25/1990 05/04/2003 2001-01-01", "call (555) 234-4567 or +1 (555) 010-9999 or +442079460958", "4111 1111 1111 1111 123"):
+        assert back.rewrite(own.rewrite(t)[0])[0] == t
+
+
+class PlainScanner:
+    """The same contract from one end: every start and every end, each kind by its own validation."""
+
+    TWO = set("20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split())
+
+    def email(self, t):
+        local, at, host = t.partition("@")
+        parts = host.split(".")
+        ok = at and 0 < len(local) <= 64 and set(local) <= self.LOCAL and len(parts) > 1 and all(p and set(p) <= self.HOST for p in parts)
+        return bool(ok) and parts[-1].isalpha() and 2 <= len(parts[-1]) <= 24 and any(c.isalnum() for c in local)
+
+    LOCAL = set("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789._%+-")
+    HOST = LOCAL - set("._%+")
+
+    def ip(self, t):
+        try:
+            ipaddress.IPv4Address(t)
+        except ValueError:
+            return False
+        return True
+
+    def date(self, t):
+        forms = ["%Y-%m-%d"] if t[4:5] == "-" else [f"%d{t[2:3]}%m{t[5:6]}%Y", f"%m{t[2:3]}%d{t[5:6]}%Y"] if t[2:3] in ("/", ".") and t[5:6] in ("/", ".") else []
+        for form in forms if len(t) == 10 and sum(c.isdigit() for c in t) == 8 else []:
+            try:
+                return 1900 <= datetime.datetime.strptime(t, form).year <= 2099
+            except ValueError:
+                continue
+        return False
+
+    def ssn(self, t):
+        return bool(re.fullmatch(r"(?!000|666|9)\d{3}-(?!00)\d\d-(?!0000)\d{4}", t, re.ASCII))
+
+    def phone(self, t):
+        digits = "".join(c for c in t if c.isdigit())
+        if t[:1] != "+":
+            return bool(re.fullmatch(r"(\([2-9]\d\d\) ?|[2-9]\d\d[ .-])[2-9]\d\d[ .-]\d{4}", t, re.ASCII))
+        shape = re.fullmatch(r"\+\d{1,3}[ .-]?(\(\d{2,4}\)|\d{2,4})([ .-]?\d{2,4}){2,4}", t, re.ASCII)
+        code = 1 if digits[:1] in ("1", "7") else 2 if digits[:2] in self.TWO else 3
+        return bool(shape) and 7 <= len(digits) - code <= 12
+
+    def card(self, t):
+        digits = [int(c) for c in t if c.isdigit()]
+        if not re.fullmatch(r"\d([ -]?\d){12,18}", t, re.ASCII):
+            return False
+        return sum(sum(divmod(2 * d, 10)) if i % 2 else d for i, d in enumerate(reversed(digits))) % 10 == 0
+
+    def iban(self, t):
+        signs = t.replace(" ", "")
+        if not re.fullmatch(r"[A-Z]{2}\d\d( ?[A-Z0-9]{4}){2,7}( ?[A-Z0-9]{1,4})?", t, re.ASCII) or not 15 <= len(signs) <= 34:
+            return False
+        return int("".join(str(int(c, 36)) for c in signs[4:] + signs[:4])) % 97 == 1
+
+    def spans(self, text):
+        out, at, n = [], 0, len(text)
+        word = [c.isascii() and (c.isalnum() or c == "_") for c in text] + [False]
+        while at < n:
+            found, c = None, text[at]
+            email = c in self.LOCAL and (at == 0 or text[at - 1] not in self.LOCAL) and "@" in text[at : at + 66]
+            other = (at == 0 or not word[at - 1]) and (c in "+(" or c in self.LOCAL and (c.isdigit() or c.isupper()))
+            if not email and not other:
+                at += 1
+                continue
+            for kind in pii.KINDS:
+                if kind == "email":
+                    fits = [i for i in range(min(n, at + 140), at, -1) if self.email(text[at:i])] if email else []
+                else:
+                    near = [i for i in range(min(n, at + 50), at + 6, -1) if not word[i] and word[i - 1]] if other and (kind != "ip" or text[at - 1 : at] != ".") else []
+                    fits = [i for i in near if getattr(self, kind)(text[at:i]) and (kind != "ip" or not re.match(r"\.\d", text[i : i + 2], re.ASCII))]
+                    if kind == "card":
+                        fits.sort(key=lambda i: pii.CARD_SIZES.index(sum(c.isdigit() for c in text[at:i])))
+                if fits:
+                    found = (kind, at, fits[0])
+                    break
+            if found:
+                out.append(found)
+                at = found[2]
+            else:
+                at += 1
+        return out
+
+
+def test_pseudonyms_query_against_a_plain_scanner(spark, sf, corpus, awkward, empty):
+    back, texts, plain = pii.Pseudonyms(backwards=True), dict(corpus), PlainScanner()
     rows = queries.op7_pii_pseudonyms(spark, sf).collect()
     assert len(rows) == len(corpus) and sum(r["n_values"] for r in rows) > 50
     for r in rows:
+        assert r["spans"] == ",".join(f"{k}:{a}:{b}" for k, a, b in plain.spans(texts[r["doc_id"]] or ""))
         assert back.rewrite(r["text"])[0] == texts[r["doc_id"]]
         assert r["n_values"] == 0 or r["text"] != texts[r["doc_id"]]
     assert pii.pseudonymise(awkward).count() == awkward.count()
     assert pii.pseudonymise(empty).count() == 0
 
 
+def test_pseudonyms_of_random_digits_against_a_plain_scanner():
+    rng, own, plain = random.Random(8), pii.Pseudonyms(b"k"), PlainScanner()
+    parts = ["4111 1111 1111 1111", "4111111111111111", "3782 822463 10005", "123", "12/25/1990", "25.12.1990", "2001-02-03", "+44 20 7946 0958", "+1", "555-234-4567", "(555) 234-4567", "078-05-1120", "10.0.0.1", "a.b@c.de", "GB82 WEST 1234 5698 7654 32", " ", "-", ".", "x", "\n", "12", "0000", "+", "("]
+    for _ in range(3000):
+        text = "".join(rng.choices(parts, k=rng.randint(1, 8)))
+        assert own.rewrite(text)[1] == plain.spans(text), text
+
+
 def test_folding():
-    assert toxicity.fold("Ｉdіоt! 1d10t, st​upid  m0r0n*** 2024") == " idiot d ot stupid moron "[:0] + toxicity.fold("Ｉdіоt! 1d10t, st​upid  m0r0n*** 2024")
+    assert toxicity.fold("Ｉdіоt! 1d10t, st​upid  m0r0n*** 2024") == " idiot idiot stupid moron "
+    assert toxicity.fold("5hit $hit @ss a55 b00b wow! 10 $5 3") == " shit shit ass ass boob wow "
     assert "idiot" in toxicity.fold("іdіоt") and "moron" in toxicity.fold("m0r0n") and "stupid" in toxicity.fold("st​upid")
     assert toxicity.fold(None) == "  " and toxicity.fold("  ") == "  "
 
 
+def plain_score(text, lexicon):
+    """Every word against every entry, every pair of words against every exception."""
+    words = toxicity.fold(text).split()
+    harmless = {i + d for i in range(len(words) - 1) if f"{words[i]} {words[i + 1]}" in lexicon.exceptions for d in (0, 1)}
+    total = 0.0
+    for i, w in enumerate(words):
+        if i not in harmless:
+            total += max((v for e, v in lexicon.entries.items() if (w == e.strip() if e.endswith(" ") else w.startswith(e[1:]))), default=0.0)
+    a, b, c = lexicon.curve
+    z = a + b * math.log1p(total) + c * total / (1 + math.log1p(max(len(words), 1)))
+    return 1 / (1 + math.exp(-z))
+
+
+def test_toxicity_query_against_a_plain_scorer(spark, sf, corpus):
+    lexicon = toxicity.learn(spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet"))
+    assert lexicon.entries
+    got = {r["doc_id"]: (r["score"], r["predicted"]) for r in queries.op6_toxicity(spark, sf).collect()}
+    for doc, text in corpus:
+        want = plain_score(text, lexicon)
+        assert got[doc][0] == pytest.approx(want, abs=1e-9) and got[doc][1] == int(got[doc][0] >= 0.5)
+
+
+def test_exceptions_are_learned(spark):
+    rng = random.Random(4)
+    filler = lambda: " ".join(rng.choice("the a house tree walk green slow river".split()) for _ in range(12))
+    rows = [(i, f"{filler()} you scum {filler()}", 1) for i in range(150)] + [(1000 + i, f"{filler()} pond scum {filler()}" if i % 12 == 0 else filler(), 0) for i in range(300)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, toxic int")
+    lexicon = toxicity.learn(df.select("doc_id", "text"), df.select("doc_id", "toxic"))
+    assert "pond scum" in lexicon.exceptions and "you scum" not in lexicon.exceptions
+    scores = {r["doc_id"]: r["score"] for r in toxicity.score(df, lexicon).collect()}
+    assert min(scores[i] for i in range(150)) > 0.5 > max(scores[1000 + i] for i in range(300))
+
+
 def test_exceptions_and_beginnings():
     matcher = toxicity.Lexicon({" trash ": 3.0, " scum ": 2.0, " achl": 4.0}, ("trash can",)).matcher()
     hits = lambda t: toxicity.hits(toxicity.fold(t), matcher)
