@@ -115,24 +115,22 @@ def null_savings(cost: str, size: float, seed: int = 1) -> np.ndarray:
 
 
 class _Law:
-    """A null law: the draws, and an exponential tail beyond their largest share."""
+    """A null law: the draws, and an exponential tail beyond their largest share, fitted or, for counts, the known bound 2 exp(-x / 2)."""
 
-    def __init__(self, savings: np.ndarray) -> None:
+    def __init__(self, savings: np.ndarray, counts: bool = False) -> None:
         cut = int(len(savings) * (1 - TAIL))
         self.body, self.start = savings[:cut], float(savings[cut])
         # 5 % above the fitted mean excess: the tail is not taken for lighter than it may be
-        self.rate = 1.0 / (1.05 * max(float((savings[cut:] - self.start).mean()), 1e-6))
-
-    def above(self, a: float) -> float:
-        """The chance of a saving above a, for a in the tail."""
-        return TAIL * math.exp(-self.rate * (a - self.start))
+        self.rate = 0.5 if counts else 1.0 / (1.05 * max(float((savings[cut:] - self.start).mean()), 1e-6))
+        self.share = 2 * math.exp(-self.start / 2) if counts else TAIL
 
     def excess(self, a: float, theta: float) -> float:
         """E exp(theta (S - a)+) - 1."""
+        beyond = theta / (self.rate - theta)
         if a >= self.start:
-            return self.above(a) * theta / (self.rate - theta)
-        tail = math.exp(theta * (self.start - a)) * self.rate / (self.rate - theta)
-        return (1 - TAIL) * float(np.expm1(theta * np.maximum(self.body - a, 0.0)).mean()) + TAIL * (tail - 1)
+            return self.share * math.exp(-self.rate * (a - self.start)) * beyond
+        grown = math.exp(theta * (self.start - a))
+        return (1 - TAIL) * float(np.expm1(theta * np.maximum(self.body - a, 0.0)).mean()) + TAIL * (grown - 1) + self.share * grown * beyond
 
 
 @lru_cache(maxsize=256)
@@ -148,11 +146,11 @@ def empirical_lines(cost: str, p: int, psi: float, l: int, m: int, w: int = 0) -
 
     least = max(l, FAMILIES[cost].least)
     sizes = (0.3, 1.0, 3.0, 10.0, 100.0) if cost == "poisson" else sorted({min(least * 2**i, max(m, least)) for i in range(8)})
-    laws = [_Law(null_savings(cost, float(s))) for s in sizes]
+    laws = [_Law(null_savings(cost, float(s)), cost == "poisson") for s in sizes]
     many = (w + 1) ** 2
     low, rate = max(x.start for x in laws), min(x.rate for x in laws)
     high = low + max(0.0, math.log(TAIL * p * many * 100)) / rate
-    slopes = sorted({0.0, *(float(np.quantile(laws[0].body, q)) for q in (0.5, 0.8, 0.95)), *np.linspace(low, high, 9).tolist()})
+    slopes = sorted({0.0, *(float(np.quantile(laws[0].body, q)) for q in (0.5, 0.8, 0.95)), *np.linspace(low, high, 4).tolist()})
     goal = psi + math.log(len(slopes))
     lines = []
     for a in slopes:

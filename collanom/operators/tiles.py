@@ -30,7 +30,7 @@ def tiled_candidates(long: DataFrame, cfg: DetectorConfig, tile: int = TILE, chu
     if cfg.w or cfg.priced_by in ("max", "consistency"):
         raise ValueError("tiles need a concave curve and no lags")
     sizes = sizes or known_sizes(long)
-    size = chunk or 2 * cfg.m
+    size, counted = chunk or 2 * cfg.m, rates is not None
     place = F.col("t") - F.col("first")
     own = F.floor(place / size).cast("long")
     twice = F.when(place >= (own + 1) * size - cfg.m, F.array(own, own + 1)).otherwise(F.array(own))
@@ -50,7 +50,7 @@ def tiled_candidates(long: DataFrame, cfg: DetectorConfig, tile: int = TILE, chu
             raise ValueError(f"series {series} has gaps, missing values or times without all components; fill its grid first")
         x = np.array(lists, float)
         own_rates = group.column("rates")[0].as_py()
-        kernel = replace(kernel_for(cfg, n, p), rates=np.array(own_rates, float) if rates is not None else None)
+        kernel = replace(kernel_for(cfg, n, p), rates=np.array(own_rates, float) if counted else None)
         first, sums = int(start + chunk_no * size - t[0]), kernel.sums(x)
         lengths, out = [], []
         for length in range(kernel.l, min(cfg.m, len(x)) + 1):
