@@ -398,9 +398,9 @@ def point_components(long: DataFrame, points: DataFrame, cfg: DetectorConfig, ra
     return joined.select("series_id", "t", "component", "x", "n", "p", "rate").mapInArrow(keep, "series_id string, t bigint, component int, z double")
 
 
-def single_window_test(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0) -> DataFrame:
+def single_window_test(long: DataFrame, cfg: DetectorConfig, floor: float = 0.0, rates: DataFrame | None = None) -> DataFrame:
     """(series_id, detected, s, e, k, score): the best window of each series; a maximum by hash aggregate, not a sort."""
-    found = candidates(long, cfg.with_(points=False), floor)
+    found = candidates(long, cfg.with_(points=False), floor, rates=rates)
     best = found.groupBy("series_id").agg(F.max(F.struct("score", "s", "e", "k")).alias("b"))
     return long.select("series_id").distinct().join(best, "series_id", "left").select("series_id", F.coalesce(F.col("b.score") > 0, F.lit(False)).alias("detected"), "b.s", "b.e", "b.k", "b.score")
 

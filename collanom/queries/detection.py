@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..comparators import changepoints, higher_criticism
 from ..config import DetectorConfig
 from ..functions import penalties as pen
-from ..operators import baseline, detect, relational
+from ..operators import baseline, calibrate, detect, evaluate, relational, simulate, tiles
 from . import data
 from .data import HOURLY_STD, VECTORS_STD, injected_sql
 from .grids import rounded, sums_sql
@@ -98,11 +98,14 @@ _SCORED_INJ = f"{sums_sql('inj', _L, _M)}, {_sorted_sql(pen.composite_penalty(5,
 _POINTS_SQL = f"spots AS (SELECT series_id, t - 1 AS s, t AS e, sum(greatest(x * x - {_PRICE!r}, 0)) AS score FROM inj GROUP BY ALL)"
 
 
-def _dp_sql(parts: str) -> str:
-    """The recursion over all times: value and path lists carried along; `parts` selects (s, e, score, kind)."""
+_PICKED = "SELECT 'all' AS series_id, s, e, round(score, 5) AS score, kind FROM picked"
+
+
+def _dp_sql(parts: str, tail: str = _PICKED, n: int = 720) -> str:
+    """The recursion over all times: value and path lists carried along; `parts` selects (s, e, score, kind), `picked` has the path's."""
     return f"""
 cand AS MATERIALIZED (SELECT e, list(s ORDER BY s) AS ss, list(score ORDER BY s) AS vs, list(kind ORDER BY s) AS ks FROM ({parts}) WHERE score > 0 GROUP BY e),
-steps AS MATERIALIZED (SELECT m, ss, vs, ks FROM range(1, 721) AS r(m) LEFT JOIN cand ON cand.e = r.m),
+steps AS MATERIALIZED (SELECT m, ss, vs, ks FROM range(1, {n} + 1) AS r(m) LEFT JOIN cand ON cand.e = r.m),
 dp(m, c, path) AS (
   SELECT 0::BIGINT, [0.0::DOUBLE], [''] UNION ALL
   SELECT d.m + 1,
@@ -111,12 +114,26 @@ dp(m, c, path) AS (
       ELSE list_transform([list_position(list_transform(range(1, len(st.ss) + 1), lambda i: d.c[st.ss[i] + 1] + st.vs[i]), list_max(list_transform(range(1, len(st.ss) + 1), lambda i: d.c[st.ss[i] + 1] + st.vs[i])))],
         lambda j: d.path[st.ss[j] + 1] || ';' || st.ss[j] || ':' || (d.m + 1) || ':' || st.vs[j] || ':' || st.ks[j])[1] END)
   FROM dp d JOIN steps st ON st.m = d.m + 1),
-last AS (SELECT path[721] AS path FROM dp WHERE m = 720),
-picked AS (SELECT string_split(x, ':') AS f FROM last, unnest(string_split(path, ';')) AS u(x) WHERE x <> '')
-SELECT 'all' AS series_id, f[1]::BIGINT AS s, f[2]::BIGINT AS e, round(f[3]::DOUBLE, 5) AS score, f[4] AS kind FROM picked"""
+last AS (SELECT path[{n} + 1] AS path FROM dp WHERE m = {n}),
+picked AS (SELECT f[1]::BIGINT AS s, f[2]::BIGINT AS e, f[3]::DOUBLE AS score, f[4] AS kind FROM (SELECT string_split(x, ':') AS f FROM last, unnest(string_split(path, ';')) AS u(x) WHERE x <> ''))
+{tail}"""
+
+
+def _greedy_sql(parts: str, tail: str) -> str:
+    """Greedy selection: candidates (g, s, e, score, kind) by falling score, each taken that overlaps none taken of its own group."""
+    return f"""
+cand AS MATERIALIZED (SELECT row_number() OVER (ORDER BY score DESC, kind <> 'point', s DESC, g) AS r, g::BIGINT AS g, s::BIGINT AS s, e::BIGINT AS e, score, kind FROM ({parts}) WHERE score > 0),
+walk(r, gs, ss, es, rs) AS (
+  SELECT 0::BIGINT, []::BIGINT[], []::BIGINT[], []::BIGINT[], []::BIGINT[] UNION ALL
+  SELECT n, CASE WHEN ok THEN list_append(gs, g) ELSE gs END, CASE WHEN ok THEN list_append(ss, s) ELSE ss END, CASE WHEN ok THEN list_append(es, e) ELSE es END, CASE WHEN ok THEN list_append(rs, n) ELSE rs END
+  FROM (SELECT w.gs, w.ss, w.es, w.rs, c.r AS n, c.g, c.s, c.e, len(list_filter(range(1, len(w.ss) + 1), lambda i: w.gs[i] = c.g AND w.ss[i] < c.e AND c.s < w.es[i])) = 0 AS ok FROM walk w JOIN cand c ON c.r = w.r + 1)),
+taken AS (SELECT unnest(rs) AS r FROM walk WHERE r = (SELECT max(r) FROM cand)),
+picked AS (SELECT c.* FROM cand c JOIN taken USING (r))
+{tail}"""
 
 
 _WINDOW_PART = "SELECT s, e, score, 'window' AS kind FROM scored"
+_BOTH_PARTS = f"{_WINDOW_PART} UNION ALL SELECT s, e, score, 'point' FROM spots"
 
 
 def _chosen(df: DataFrame) -> DataFrame:
@@ -145,6 +162,20 @@ def detect_pruned(spark: SparkSession, sf: str) -> DataFrame:
     return _chosen(detect.per_series(data.injected(spark, sf, points=True), CFG, "pruned", cap=_M))
 
 
+@query(f"{_INJ_POINTS}, {_SCORED_INJ}, {_POINTS_SQL}, {_dp_sql(_BOTH_PARTS, _PICKED.replace(' s, e,', ' s + 1000 AS s, e + 1000 AS e,'))}")
+def detect_offset_series(spark: SparkSession, sf: str) -> DataFrame:
+    """A series whose first time is 1001: everything is found, 1000 later."""
+    late = data.injected(spark, sf, points=True).withColumn("t", F.col("t") + 1000)
+    return _chosen(detect.detect(late, CFG).chosen)
+
+
+@query(f"{_INJ_POINTS}, {_SCORED_INJ}, {_POINTS_SQL}, {_dp_sql(_BOTH_PARTS)}")
+def detect_tiled(spark: SparkSession, sf: str) -> DataFrame:
+    """Sums over tiles of two components, and exact scores of what passes."""
+    long = data.injected(spark, sf, points=True)
+    return _chosen(detect.solve(tiles.tiled_candidates(long, CFG, tile=2).persist(), longest=CFG.m))
+
+
 @query()
 def detect_pruned_uncapped(spark: SparkSession, sf: str) -> DataFrame:
     return _chosen(detect.per_series(data.injected(spark, sf, points=True), CFG, "pruned"))
@@ -156,10 +187,17 @@ def pruning_profile(spark: SparkSession, sf: str) -> DataFrame:
     return profile.groupBy("series_id").agg(F.sum("alive").alias("evaluated"), F.sum("possible").alias("possible"), F.round(F.sum("alive") / F.sum("possible"), 6).alias("ratio"))
 
 
-@query(f"WITH RECURSIVE {injected_sql()}, one AS (SELECT * FROM inj WHERE component = 3), {sums_sql('one', _L, _M)}, scored AS (SELECT series_id, s, e, total * total / n - {2 * _PSI_H!r} AS score FROM wins), {_dp_sql(_WINDOW_PART)}")
+def _univariate_sql() -> str:
+    """Every component as a series of its own: the times of one come 720 after those of the one before, so none overlap."""
+    scored = f"scored AS (SELECT s + 720 * (component - 1) AS s, e + 720 * (component - 1) AS e, total * total / n - {2 * _PSI_H!r} AS score FROM wins)"
+    tail = "SELECT 'c' || (s // 720 + 1) AS series_id, s % 720 AS s, (e - 1) % 720 + 1 AS e, round(score, 5) AS score, kind FROM picked"
+    return f"WITH RECURSIVE {injected_sql()}, {sums_sql('inj', _L, _M)}, {scored}, {_dp_sql(_WINDOW_PART, tail, 3600)}"
+
+
+@query(_univariate_sql())
 def detect_univariate(spark: SparkSession, sf: str) -> DataFrame:
-    one = data.injected(spark, sf).where("component = 3").withColumn("component", F.lit(1))
-    return _chosen(detect.detect(one, CFG.with_(points=False)).chosen)
+    each = data.injected(spark, sf).select(F.concat(F.lit("c"), F.col("component").cast("string")).alias("series_id"), "t", F.lit(1).alias("component"), "x")
+    return _chosen(detect.detect(each, CFG.with_(points=False)).chosen)
 
 
 @query(f"""{_INJ}, {_SCORED_INJ},
@@ -248,28 +286,95 @@ def detect_lagged_components(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(found, "saving", "estimate")
 
 
-@query()
+@query(f"WITH RECURSIVE {injected_sql(lags=(3, 2))}, {_LAG_DP}, {_dp_sql(_WINDOW_PART)}")
 def detect_lagged_pruned(spark: SparkSession, sf: str) -> DataFrame:
     return _chosen(detect.per_series(data.injected(spark, sf, lags=(3, 2)), _LAG_CFG, "pruned", cap=_LAG_M))
 
 
-@query()
+_GAMMA = pen.lag_charge(_LAG_W)
+_CHARGED = _LAG_DP.replace("max(i.saving) AS saving", f"max(i.saving - CASE WHEN d + f > 0 THEN {_GAMMA!r} ELSE 0 END) AS saving").replace(f"{_LAG_CURVE[1] - _LAG_CURVE[0]!r}", repr(_BETA)).replace(f"{2 * _LAG_CURVE[0] - _LAG_CURVE[1]!r}", repr(_ALPHA))
+
+
+@query(f"WITH RECURSIVE {injected_sql(lags=(3, 2))}, {_CHARGED}, {_dp_sql(_WINDOW_PART)}")
 def detect_lag_charge(spark: SparkSession, sf: str) -> DataFrame:
     """The alternative price of lags: the plain linear curve, and a charge for every trimmed component."""
-    cfg = DetectorConfig(l=2, m=_LAG_M, w=_LAG_W, psi=_PSI_H, regime="linear", gamma=pen.lag_charge(_LAG_W), points=False)
+    cfg = DetectorConfig(l=2, m=_LAG_M, w=_LAG_W, psi=_PSI_H, regime="linear", gamma=_GAMMA, points=False)
     return _chosen(detect.detect(data.injected(spark, sf, lags=(3, 2)), cfg).chosen)
 
 
-@query()
+#: Counts with the fixture's windows, eight events an hour more; the typical rates are those of the counts without them.
+_MORE = 8.0
+_COUNT_CFG = CFG.with_(cost="poisson", points=False)
+_COUNT_SAVING = "2 * (CASE WHEN total > 0 THEN total * ln(total / (n * mu)) ELSE 0 END - (total - n * mu))"
+_COUNTS = f"""WITH RECURSIVE {data.HOURLY}, {data._truth_sql()}, rate AS (SELECT series_id, component, avg(x) AS mu FROM hourly GROUP BY ALL),
+inj AS MATERIALIZED (SELECT series_id, t, component, x + {_MORE} * (SELECT count(*) FROM truth w WHERE w.component = y.component AND y.t > w.s AND y.t <= w.e) AS x FROM hourly y),
+{sums_sql('inj', _L, _M)}, saved AS MATERIALIZED (SELECT series_id, s, e, component, {_COUNT_SAVING} AS saving FROM wins JOIN rate USING (series_id, component)),
+{_sorted_sql(_COUNT_CFG.curve(720, 5), 'saved', 'saving')}"""
+
+
+def _counts(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    plain = data.hourly(spark, sf)
+    return simulate.inject(plain, data.truth(spark).withColumn("mu", F.lit(_MORE))), baseline.fit_typical(plain, "rate")
+
+
+@query(f"{_COUNTS}, {_dp_sql(_WINDOW_PART)}")
 def detect_poisson(spark: SparkSession, sf: str) -> DataFrame:
-    """Counts by their own law: no scaling, typical rates beside."""
-    counts = data.hourly(spark, sf)
-    return _chosen(detect.detect(counts, CFG.with_(cost="poisson", points=False), rates=baseline.fit_typical(counts, "rate")).chosen)
+    """Counts by their own law: no scaling, typical rates beside, prices from the law of their savings."""
+    counts, rates = _counts(spark, sf)
+    return _chosen(detect.detect(counts, _COUNT_CFG, rates=rates).chosen)
 
 
-@query()
+@query(f"{_COUNTS}, {_dp_sql(_WINDOW_PART)}")
+def detect_reference_poisson(spark: SparkSession, sf: str) -> DataFrame:
+    counts, rates = _counts(spark, sf)
+    return _chosen(detect.detect(counts, _COUNT_CFG, "reference", rates).chosen)
+
+
+@query(f"{_COUNTS}, {_dp_sql(_WINDOW_PART)}")
+def detect_pruned_poisson(spark: SparkSession, sf: str) -> DataFrame:
+    counts, rates = _counts(spark, sf)
+    return _chosen(detect.per_series(counts, _COUNT_CFG, "pruned", cap=_M, rates=rates))
+
+
+@query(f"{_COUNTS}, {_dp_sql(_WINDOW_PART)}")
+def sweep_poisson(spark: SparkSession, sf: str) -> DataFrame:
+    """A sweep at its middle scale."""
+    counts, rates = _counts(spark, sf)
+    return _chosen(calibrate.sweep(counts, _COUNT_CFG, [0.7, 1.0, 1.5], rates).where("scale = 1.0"))
+
+
+@query(f"""{_COUNTS}, best AS (SELECT series_id, s, e, k FROM scored ORDER BY score DESC LIMIT 1),
+parts AS (SELECT v.*, w.total / w.n AS estimate, b.k FROM saved v JOIN best b USING (series_id, s, e) JOIN wins w USING (series_id, s, e, component))
+SELECT series_id, s, e, component, round(saving + 3e-9, 5) AS saving, round(estimate + 3e-9, 6) AS estimate FROM parts QUALIFY row_number() OVER (PARTITION BY series_id, s, e ORDER BY saving DESC, component) <= k""")
+def poisson_affected(spark: SparkSession, sf: str) -> DataFrame:
+    counts, rates = _counts(spark, sf)
+    best = detect.single_window_test(counts, _COUNT_CFG, rates=rates).where("detected")
+    found = detect.affected_components(counts, best, _COUNT_CFG, rates)
+    return found.select("series_id", "s", "e", "component", F.round(F.col("saving") + 3e-9, 5).alias("saving"), F.round(F.col("estimate") + 3e-9, 6).alias("estimate"))
+
+
+_MV_CFG = DetectorConfig(l=5, m=_M, psi=_PSI_V, cost="meanvar", points=False)
+_MV_SAVING = "squares - n * (1 + ln(greatest(squares / n - (total / n) ** 2, 1e-8)))"
+
+
+@query(f"WITH RECURSIVE {injected_sql(VECTORS_STD)}, {sums_sql('inj', 5, _M)}, {_sorted_sql(_MV_CFG.curve(500, 64), 'wins', _MV_SAVING)}, {_dp_sql(_WINDOW_PART, n=500)}")
 def detect_meanvar(spark: SparkSession, sf: str) -> DataFrame:
-    return _chosen(detect.detect(data.injected(spark, sf), CFG.with_(cost="meanvar", l=5, points=False)).chosen)
+    """Changes in mean and variance, priced by the law of these savings: the two injected windows and nothing else."""
+    return _chosen(detect.detect(data.injected_vectors(spark, sf), _MV_CFG).chosen)
+
+
+@query()
+def false_positives_other_costs(spark: SparkSession, sf: str) -> DataFrame:
+    """(cost, p_window, p_point, n_series): the share of noise series that show anything, under the prices from each law."""
+    noise = simulate.noise(spark, 300, 5, 12, 41)
+    counts = noise.withColumn("x", F.floor(F.greatest(F.col("x") * 2 + 4, F.lit(0.0))).cast("double"))
+    out = None
+    for cost, long in (("var", noise), ("meanvar", noise), ("poisson", counts)):
+        rates = baseline.fit_typical(long, "rate") if cost == "poisson" else None
+        chosen = detect.detect(long, DetectorConfig(l=5, m=20, cost=cost), rates=rates).chosen
+        part = evaluate.false_positive_rate(chosen, long).select(F.lit(cost).alias("cost"), "p_window", "p_point", "n_series")
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 @query(f"{_INJ}, {_SCORED_INJ} SELECT series_id, s, e, round(score, 5) AS score, 'window' AS kind FROM scored WHERE score > 0 ORDER BY score DESC LIMIT 1")
@@ -277,17 +382,23 @@ def greedy_first_window(spark: SparkSession, sf: str) -> DataFrame:
     return _chosen(detect.detect(data.injected(spark, sf), CFG.with_(points=False), "greedy").chosen.orderBy(F.desc("score")).limit(1))
 
 
-@query()
+_GREEDY_PICKED = "SELECT 'all' AS series_id, s, e, round(score, 5) AS score, kind FROM picked"
+
+
+@query(f"{_INJ_POINTS}, {_SCORED_INJ}, {_POINTS_SQL}, {_greedy_sql('SELECT 0 AS g, s, e, score, kind FROM (' + _BOTH_PARTS + ')', _GREEDY_PICKED)}")
 def greedy_segmentation(spark: SparkSession, sf: str) -> DataFrame:
     return _chosen(detect.detect(data.injected(spark, sf, points=True), CFG, "greedy").chosen)
 
 
-@query()
+_FLAT = pen.flat_penalty(5, _PSI_H)[0]
+
+
+@query(f"{_INJ}, {sums_sql('inj', _L, _M)}, pooled AS (SELECT s, e, sum(total * total / n) - {_FLAT!r} AS score FROM wins GROUP BY s, e), {_greedy_sql('SELECT 0 AS g, s, e, score, ' + chr(39) + 'window' + chr(39) + ' AS kind FROM pooled', _GREEDY_PICKED)}")
 def dense_pooled_scan(spark: SparkSession, sf: str) -> DataFrame:
     return _chosen(detect.detect(data.injected(spark, sf), CFG.with_(regime="flat", points=False), "greedy").chosen)
 
 
-@query()
+@query(f"{_INJ}, {sums_sql('inj', _L, _M)}, {_greedy_sql('SELECT component::BIGINT AS g, s, e, total * total / n - ' + repr(2 * _PSI_H) + ' AS score, ' + chr(39) + 'window' + chr(39) + ' AS kind FROM wins', 'SELECT ' + chr(39) + 'all' + chr(39) + ' AS series_id, g::INTEGER AS component, s, e, round(score, 5) AS score FROM picked')}")
 def per_component_scan(spark: SparkSession, sf: str) -> DataFrame:
     return higher_criticism.per_component_scan(data.injected(spark, sf), CFG).withColumn("score", F.round("score", 5))
 
