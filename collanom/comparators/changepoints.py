@@ -13,7 +13,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-_FOUND = "series_id string, cp bigint, score double"
+_FOUND = "series_id string, cp bigint, score double, level double"
 
 
 def cusum_matrix(long: DataFrame) -> DataFrame:
@@ -59,25 +59,34 @@ def _projection(x: np.ndarray, least: int, lam: float) -> tuple[int, float]:
     return i + 1, float(along[i])
 
 
-def _binary(x: np.ndarray, best, threshold: float, least: int, seed: int = 0, intervals: int = 0) -> list[tuple[int, float]]:
-    """Recursive splitting; with `intervals` the best of that many random parts decides (wild search)."""
-    rng, out, todo = np.random.default_rng(seed), [], [(0, len(x))]
-    parts = [tuple(sorted(rng.integers(0, len(x) + 1, 2))) for _ in range(intervals)]
+def _binary(x: np.ndarray, best, threshold: float, least: int, seed: int = 0, intervals: int = 0) -> list[tuple[int, float, float]]:
+    """Recursive splitting: (place, score, level); with `intervals` the best of that many random parts decides (wild search).
+
+    The level is the least score on the way to a change: a run at a higher threshold finds those whose level
+    exceeds it, so one run answers for all thresholds above its own.
+    """
+    rng, out, todo = np.random.default_rng(seed), [], [(0, len(x), math.inf)]
+    parts = [tuple(sorted(rng.integers(0, len(x) + 1, 2).tolist())) for _ in range(intervals)]
+    known: dict[tuple[int, int], tuple[int, float]] = {}
     while todo:
-        a, b = todo.pop()
-        tried = [(a, b), *(p for p in parts if a <= p[0] and p[1] <= b)]
-        found = [(*best(x[i:j]), i) for i, j in tried if j - i >= 2 * least]
+        a, b, above = todo.pop()
+        found = []
+        for i, j in [(a, b), *(p for p in parts if a <= p[0] and p[1] <= b)]:
+            if j - i >= 2 * least:
+                if (i, j) not in known:
+                    known[i, j] = best(x[i:j])
+                found.append((*known[i, j], i))
         if not found:
             continue
         at, score, begin = max(found, key=lambda f: f[1])
         if score > threshold:
-            cp = begin + at
-            out.append((cp, score))
-            todo += [(a, cp), (cp, b)]
+            cp, level = begin + at, min(above, score)
+            out.append((cp, score, level))
+            todo += [(a, cp, level), (cp, b, level)]
     return sorted(out)
 
 
-def _mean_cost_partition(x: np.ndarray, penalty: float, least: int) -> list[tuple[int, float]]:
+def _mean_cost_partition(x: np.ndarray, penalty: float, least: int) -> list[tuple[int, float, float]]:
     """Exact partition with pruning for changes in the mean vector."""
     n = len(x)
     s1 = np.concatenate([np.zeros((1, x.shape[1])), np.cumsum(x, axis=0)])
@@ -96,7 +105,7 @@ def _mean_cost_partition(x: np.ndarray, penalty: float, least: int) -> list[tupl
     while e > 0:
         e = last[e]
         if e > 0:
-            out.append((int(e), float(penalty)))
+            out.append((int(e), float(penalty), float(penalty)))
     return sorted(out)
 
 
@@ -106,13 +115,13 @@ def _searched(long: DataFrame, search) -> DataFrame:
     def run(pdf):
         x = np.array(pdf.sort_values("t")["xs"].tolist(), float)
         found = search(x)
-        return pd.DataFrame({"series_id": pdf["series_id"].iloc[0], "cp": [c for c, _ in found], "score": [v for _, v in found]}, columns=["series_id", "cp", "score"])
+        return pd.DataFrame({"series_id": pdf["series_id"].iloc[0], "cp": [f[0] for f in found], "score": [f[1] for f in found], "level": [f[2] for f in found]}, columns=["series_id", "cp", "score", "level"])
 
     return wide.groupBy("series_id").applyInPandas(run, _FOUND)
 
 
 def sparse_projection_changepoints(long: DataFrame, threshold: float | None = None, lam: float | None = None, least: int = 2, intervals: int = 50) -> DataFrame:
-    """(series_id, cp, score): changes along sparse projections, searched over random parts and recursively."""
+    """(series_id, cp, score, level): changes along sparse projections, searched over random parts and recursively."""
 
     def search(x):
         n, p = x.shape

@@ -76,6 +76,13 @@ def location_error(matches: dict[str, DataFrame]) -> DataFrame:
     return out
 
 
+def windows_of_ends(matches: DataFrame) -> DataFrame:
+    """Matches of end points (`mode='endpoint'`) as matches of windows: truths of which both ends were found, with both distances."""
+    at_start = F.abs(F.col("e") - F.col("ts")) <= F.abs(F.col("e") - F.col("te"))
+    per = matches.groupBy("series_id", "k", "ts", "te").agg(F.min(F.when(at_start, F.col("d_start"))).alias("d_start"), F.min(F.when(~at_start, F.col("d_start"))).alias("d_end"))
+    return per.where("d_start is not null and d_end is not null")
+
+
 def flagged_share(pred: DataFrame, n: int) -> DataFrame:
     """(series_id, share): positions under any window, overlaps once."""
     order = Window.partitionBy("series_id").orderBy("s", "e")

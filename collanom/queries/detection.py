@@ -434,27 +434,27 @@ def cusum_matrix(spark: SparkSession, sf: str) -> DataFrame:
 
 @query()
 def sparse_projection_changepoints(spark: SparkSession, sf: str) -> DataFrame:
-    return changepoints.sparse_projection_changepoints(data.injected_vectors(spark, sf)).withColumn("score", F.round("score", 4))
+    return changepoints.sparse_projection_changepoints(data.injected_vectors(spark, sf)).select("series_id", "cp", F.round("score", 4).alias("score"))
 
 
 @query()
 def classical_binary(spark: SparkSession, sf: str) -> DataFrame:
-    return changepoints.classical_changepoints(data.injected(spark, sf), "binary").withColumn("score", F.round("score", 4))
+    return changepoints.classical_changepoints(data.injected(spark, sf), "binary").select("series_id", "cp", F.round("score", 4).alias("score"))
 
 
 @query()
 def classical_wild(spark: SparkSession, sf: str) -> DataFrame:
-    return changepoints.classical_changepoints(data.injected(spark, sf), "wild").withColumn("score", F.round("score", 4))
+    return changepoints.classical_changepoints(data.injected(spark, sf), "wild").select("series_id", "cp", F.round("score", 4).alias("score"))
 
 
 @query()
 def classical_partition(spark: SparkSession, sf: str) -> DataFrame:
-    return changepoints.classical_changepoints(data.injected(spark, sf), "partition").withColumn("score", F.round("score", 4))
+    return changepoints.classical_changepoints(data.injected(spark, sf), "partition").select("series_id", "cp", F.round("score", 4).alias("score"))
 
 
 @query()
 def double_cusum(spark: SparkSession, sf: str) -> DataFrame:
-    return changepoints.double_cusum(data.injected(spark, sf)).withColumn("score", F.round("score", 4))
+    return changepoints.double_cusum(data.injected(spark, sf)).select("series_id", "cp", F.round("score", 4).alias("score"))
 
 
 @query()

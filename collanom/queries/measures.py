@@ -11,9 +11,9 @@ from ..config import DetectorConfig
 from ..functions import penalties as pen
 from ..operators import calibrate, detect, evaluate, simulate
 from . import data
-from .data import _truth_sql, injected_sql
-from .detection import CFG
-from .grids import rounded
+from .data import VECTORS_STD, _truth_sql, injected_sql
+from .detection import _BOTH_PARTS, _INJ, _INJ_POINTS, _POINTS_SQL, _SCORED_INJ, CFG, _dp_sql, _values
+from .grids import rounded, sums_sql
 from .registry import query
 
 _U = "(('0x' || substr(md5({}), 1, 8))::BIGINT + 0.5) / 4294967296.0"
@@ -29,12 +29,34 @@ def simulated_noise(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(simulate.noise(spark, _N, _P), "x")
 
 
-@query()
+def _truth_windows_sql() -> str:
+    """The draws of truths by their md5: starts, lengths, windows apart, affected components, lags, means."""
+    n, p, k, sigma, w, reps, seed, rate = 5000, 10, 2, 2.0, 10, 3, 1, 0.001
+    at = lambda what, more="", tail="": _U.format(f"'{seed}|{what}|' || series_id || '|' || s{more}{tail}")
+    part = " || '|' || component"
+    return f"""WITH RECURSIVE cells AS (SELECT r::VARCHAR AS series_id, s FROM range(0, {reps}) AS a(r), range(0, {n}) AS b(s)),
+drawn AS (SELECT series_id, s, s + greatest(4, len(list_filter({simulate.poisson_table(20.0)!r}, lambda c: c < {at('length')}))) AS e FROM cells WHERE {at('start')} < {rate}),
+fit AS MATERIALIZED (SELECT * FROM drawn WHERE e <= {n}),
+apart(series_id, s, e) AS (
+  SELECT series_id, min(s), arg_min(e, s) FROM fit GROUP BY series_id UNION ALL
+  SELECT f.series_id, min(f.s), arg_min(f.e, f.s) FROM apart a JOIN fit f ON f.series_id = a.series_id AND f.s >= a.e GROUP BY f.series_id),
+numbered AS (SELECT *, row_number() OVER (PARTITION BY series_id ORDER BY s) AS k FROM apart),
+parts AS (SELECT series_id, s, e, k, c::INTEGER AS component FROM numbered, range(1, {p} + 1) AS r(c)),
+hit AS (SELECT * FROM parts QUALIFY row_number() OVER (PARTITION BY series_id, s ORDER BY {at('affected', part)}, component) <= {k}),
+lagged AS (SELECT *, list_filter(list_transform(range(0, {(w + 1) ** 2}), lambda i: [i // {w + 1}, i % {w + 1}]), lambda v: v[1] + v[2] < e - s) AS fits FROM hit),
+one AS (SELECT *, fits[floor({at('lags', part)} * len(fits))::BIGINT + 1] AS v FROM lagged)
+SELECT series_id, k::INTEGER AS k, s::BIGINT AS s, e::BIGINT AS e, component, v[1]::INTEGER AS d, v[2]::INTEGER AS f,
+  round(sqrt(-2 * ln({at('mean', part, " || '|a'")})) * cos(2 * pi() * {at('mean', part, " || '|b'")}) * {sigma} + 3e-9, 6) AS mu FROM one"""
+
+
+@query(_truth_windows_sql())
 def truth_windows(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(simulate.truths(spark, 5000, 10, 2, 2.0, 10, 3), "mu")
 
 
-@query()
+@query("""SELECT i::INTEGER AS setting, p::INTEGER AS p, CASE i WHEN 1 THEN 1 WHEN 2 THEN p ELSE CASE WHEN p = 10 THEN 2 ELSE 6 END END::INTEGER AS k,
+  round(CASE i WHEN 1 THEN 2 * ln(p) WHEN 2 THEN pow(p, -0.25) ELSE ln(p) END + 3e-9, 6) AS sigma, CASE i WHEN 4 THEN 10 ELSE 0 END::INTEGER AS w,
+  CASE i WHEN 1 THEN 1 WHEN 2 THEN 5 ELSE CASE WHEN p = 10 THEN 2 ELSE 5 END END::INTEGER AS alpha0 FROM range(1, 5) AS a(i), (VALUES (10), (100)) AS b(p)""")
 def truth_settings(spark: SparkSession, sf: str) -> DataFrame:
     """The four settings of the simulation study for 10 and 100 components."""
     rows = [(i, p, (s := simulate.setting(i, p))["k"], s["sigma"], s["w"], s["alpha0"]) for i in (1, 2, 3, 4) for p in (10, 100)]
@@ -118,8 +140,9 @@ def roc_points(spark: SparkSession, sf: str) -> DataFrame:
     s = simulate.setting(3, p)
     truth = simulate.truths(spark, n, p, s["k"], s["sigma"], 0, reps, 3, rate=0.005)
     long = simulate.inject(simulate.noise(spark, n, p, reps, 3), truth)
-    swept = calibrate.sweep(long, DetectorConfig(m=60), [0.4, 0.6, 0.8, 1.0, 1.5, 2.5]).where("kind = 'window'")
-    return rounded(evaluate.roc_points(swept, truth, reps), "tpr", "fp_per_series")
+    scales = [0.4, 0.6, 0.8, 1.0, 1.5, 2.5]
+    swept = calibrate.sweep(long, DetectorConfig(m=60), scales).where("kind = 'window'")
+    return rounded(evaluate.roc_points(swept, truth, reps, scales=scales), "tpr", "fp_per_series")
 
 
 @query()
@@ -127,33 +150,87 @@ def roc_area(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(evaluate.auc(roc_points(spark, sf)), "auc")
 
 
-@query()
+_SWEPT = ((0.5, 152, 168), (0.5, 155, 171), (0.5, 352, 372), (0.5, 500, 520), (1.0, 152, 168), (1.0, 352, 372), (1.0, 500, 520), (2.0, 340, 395))
+_GRID = (0.5, 1.0, 2.0, 4.0)
+_SWEPT_SQL = f"""WITH swept(scale, s, e) AS (VALUES {", ".join(f"({c}::DOUBLE, {s}, {e})" for c, s, e in _SWEPT)}), {_truth_sql()}, {_WINS},
+grid(scale) AS (VALUES {", ".join(f"({c}::DOUBLE)" for c in _GRID)}),
+pairs AS (SELECT scale, p.s, p.e, k, ts, abs(p.s - ts) + abs(p.e - te) AS cost FROM swept p JOIN true_ t ON abs(p.s - ts) <= 20 AND abs(p.e - te) <= 20),
+hits AS (SELECT * FROM pairs QUALIFY row_number() OVER (PARTITION BY scale, k ORDER BY cost, s, e) = 1 AND row_number() OVER (PARTITION BY scale, s, e ORDER BY cost, ts) = 1),
+roc AS (SELECT scale, (SELECT count(*) FROM hits h WHERE h.scale = g.scale) AS tp, (SELECT count(*) FROM swept w WHERE w.scale = g.scale) - (SELECT count(*) FROM hits h WHERE h.scale = g.scale) AS fp, (SELECT count(*) FROM true_) AS truths FROM grid g),
+points AS (SELECT scale, tp, fp, truths, tp / greatest(truths, 1)::DOUBLE AS tpr, fp / 4.0::DOUBLE AS fp_per_series FROM roc)"""
+
+
+def _stated_roc(spark: SparkSession) -> DataFrame:
+    swept = spark.createDataFrame([("all", *r) for r in _SWEPT], "series_id string, scale double, s bigint, e bigint")
+    return evaluate.roc_points(swept, data.truth(spark), 4, scales=list(_GRID))
+
+
+@query(f"{_SWEPT_SQL} SELECT scale, tp, fp, truths, round(tpr + 3e-9, 6) AS tpr, round(fp_per_series + 3e-9, 6) AS fp_per_series FROM points")
+def roc_measure(spark: SparkSession, sf: str) -> DataFrame:
+    """The measure on stated windows: a scale without any is a point too."""
+    return rounded(_stated_roc(spark), "tpr", "fp_per_series")
+
+
+@query(f"""{_SWEPT_SQL}, steps AS (SELECT x, tpr, coalesce(lag(x) OVER w, 0) AS px, coalesce(lag(tpr) OVER w, 0) AS py FROM (SELECT least(fp_per_series, 1.0) AS x, tpr FROM points) WINDOW w AS (ORDER BY x, tpr))
+SELECT round(sum((x - px) * (tpr + py) / 2) + max(tpr) * (1 - max(x)) + 3e-9, 6) AS auc FROM steps""")
+def roc_area_measure(spark: SparkSession, sf: str) -> DataFrame:
+    return rounded(evaluate.auc(_stated_roc(spark)), "auc")
+
+
+_MATCHED = "matched AS (SELECT p.s, p.e, t.k, t.ts, t.te FROM picked p JOIN true_ t ON p.kind = 'window' AND abs(p.s - ts) <= 20 AND abs(p.e - te) <= 20)"
+
+
+def _of_run(tail: str) -> str:
+    """SQL on the joint optimum of the fixture: `picked` and `matched` are what it found."""
+    return f"{_INJ}, {_SCORED_INJ}, {_POINTS_SQL}, {_WINS}, {_dp_sql(_BOTH_PARTS, f', {_MATCHED} {tail}')}"
+
+
+@query(_of_run("""SELECT m AS method, round(avg(abs(s - ts) + abs(e - te)) / 2 + 3e-9, 6) AS mad, count(*) AS n_common FROM matched, (VALUES ('islands'), ('greedy')) AS v(m) GROUP BY m"""))
 def location_error(spark: SparkSession, sf: str) -> DataFrame:
-    """Two plans on the same series: the joint optimum and the greedy approximation."""
+    """Two plans on the same series: the joint optimum and the greedy approximation, which find the same windows here."""
     long, truth = data.injected(spark, sf), data.truth(spark)
     found = {plan: evaluate.match_windows(detect.detect(long, CFG, plan).windows, truth) for plan in ("islands", "greedy")}
     return rounded(evaluate.location_error(found), "mad")
 
 
-@query()
+@query(_of_run(""", named AS (SELECT m.k, w.component, row_number() OVER (PARTITION BY m.k ORDER BY w.total * w.total / w.n DESC, w.component) AS r, sc.k AS n FROM matched m JOIN wins w ON w.s = m.s AND w.e = m.e JOIN scored sc ON sc.s = m.s AND sc.e = m.e),
+kept AS (SELECT k, component FROM named WHERE r <= n),
+per AS (SELECT k, (SELECT count(*) FROM kept x WHERE x.k = m.k) AS named, (SELECT count(*) FROM truth t WHERE t.k = m.k) AS n_true, (SELECT count(*) FROM kept x JOIN truth t USING (k, component) WHERE x.k = m.k) AS hit FROM matched m)
+SELECT 'all' AS series_id, k, round(hit / named::DOUBLE + 3e-9, 6) AS precision, round(hit / n_true::DOUBLE + 3e-9, 6) AS recall, round(hit / (named + n_true - hit)::DOUBLE + 3e-9, 6) AS jaccard, round(0.0::DOUBLE + 3e-9, 6) AS lag_error FROM per"""))
 def component_recovery(spark: SparkSession, sf: str) -> DataFrame:
     long, truth = data.injected(spark, sf), data.truth(spark)
     result = detect.detect(long, CFG)
     return rounded(evaluate.component_recovery(result.affected, truth, evaluate.match_windows(result.windows, truth)), "precision", "recall", "jaccard", "lag_error")
 
 
-@query()
+@query(_of_run(""", z AS (SELECT sqrt(5) * 2 * ln(720) / ln(5) AS ks, 2 * ln(720) AS psi),
+per AS (SELECT k, min(s) AS ts, min(e) AS te, count(*) AS j, avg(mu * mu) AS mu2 FROM truth GROUP BY k),
+limits AS (SELECT row_number() OVER (ORDER BY ts) AS i, ts, te, 10 / (mu2 / CASE WHEN j <= ks THEN ln(5) + psi / j ELSE (sqrt(5 * psi) + psi) / j END) AS far FROM per, z),
+found AS (SELECT row_number() OVER (ORDER BY s) AS i, s, e FROM picked WHERE kind = 'window')
+SELECT 'all' AS series_id, min(CASE WHEN s IS NOT NULL AND ts IS NOT NULL THEN 1 ELSE 0 END)::INTEGER AS k_equal, min(CASE WHEN coalesce(abs(s - ts) <= far AND abs(e - te) <= far, false) THEN 1 ELSE 0 END)::INTEGER AS within_bound FROM limits FULL JOIN found USING (i)"""))
 def consistency_check(spark: SparkSession, sf: str) -> DataFrame:
     long, truth = data.injected(spark, sf), data.truth(spark)
     return evaluate.consistency_check(detect.detect(long, CFG).chosen, truth, evaluate.signal_strength(truth, 720, 5, 2 * math.log(720)))
 
 
-@query()
+@query(f"""WITH {VECTORS_STD}, {sums_sql('std', 2, 40)}, prices(k, price) AS (VALUES {_values(DetectorConfig(m=40).curve(500, 64))}),
+ranked AS (SELECT series_id, row_number() OVER w AS k, sum(total * total / n) OVER w AS t_k FROM wins WINDOW w AS (PARTITION BY series_id, s, e ORDER BY total * total / n DESC, component ROWS UNBOUNDED PRECEDING)),
+tops AS (SELECT series_id, max(t_k / price) AS top FROM ranked JOIN prices USING (k) GROUP BY series_id UNION ALL SELECT series_id, max(x * x) / {DetectorConfig(m=40).point_price(500, 64)!r} FROM std GROUP BY series_id)
+SELECT series_id, round(max(top) + 3e-9, 6) AS scale FROM tops GROUP BY series_id""")
 def critical_scale(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(calibrate.critical_scale(data.vectors_std(spark, sf), DetectorConfig(m=40)), "scale")
 
 
-@query()
+_NULL_KEY = "'9|noise|' || series_id || '|' || t || '|' || component || '|{}'"
+
+
+@query(f"""WITH std AS MATERIALIZED (SELECT series_id, t, component, sqrt(-2 * ln({_U.format(_NULL_KEY.format('a'))})) * cos(2 * pi() * {_U.format(_NULL_KEY.format('b'))}) AS x
+  FROM (SELECT r::VARCHAR AS series_id, t, c::INTEGER AS component FROM range(0, 20) AS q(r), range(1, 301) AS a(t), range(1, 6) AS b(c))),
+{sums_sql('std', 2, 40)}, prices(k, price) AS (VALUES {_values(DetectorConfig(m=40).curve(300, 5))}),
+ranked AS (SELECT series_id, row_number() OVER w AS k, sum(total * total / n) OVER w AS t_k FROM wins WINDOW w AS (PARTITION BY series_id, s, e ORDER BY total * total / n DESC, component ROWS UNBOUNDED PRECEDING)),
+tops AS (SELECT series_id, max(t_k / price) AS top FROM ranked JOIN prices USING (k) GROUP BY series_id UNION ALL SELECT series_id, max(x * x) / {DetectorConfig(m=40).point_price(300, 5)!r} FROM std GROUP BY series_id),
+each AS (SELECT series_id, max(top) AS scale FROM tops GROUP BY series_id)
+SELECT round(quantile_cont(scale, 0.9) + 3e-9, 6) AS scale FROM each""")
 def calibrated_scale(spark: SparkSession, sf: str) -> DataFrame:
     c = calibrate.calibrate_scale(simulate.noise(spark, 300, 5, 20, 9), DetectorConfig(m=40), 0.1)
     return rounded(spark.createDataFrame([(c,)], "scale double"), "scale")
@@ -177,7 +254,11 @@ def optimality_gap(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(best.join(greedy, "series_id").withColumn("gap", F.col("optimum") - F.col("greedy")), "optimum", "greedy", "gap")
 
 
-@query()
+_RUN_TAIL = """, marked AS (SELECT s, e, max(e) OVER (ORDER BY s, e, kind ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS reach FROM (SELECT s, e, score, 'window' AS kind FROM scored UNION ALL SELECT s, e, score, 'point' FROM spots) WHERE score > 0)
+SELECT count(*) FILTER (WHERE reach IS NULL OR s >= reach) AS islands, count(*) AS positive, (SELECT sum(720 - len + 1) FROM range(2, 21) AS r(len))::BIGINT AS possible, (SELECT count(*) FROM picked) AS chosen, (SELECT round(sum(score), 5) FROM picked) AS objective FROM marked"""
+
+
+@query(f"{_INJ_POINTS}, {_SCORED_INJ}, {_POINTS_SQL}, {_dp_sql(_BOTH_PARTS, _RUN_TAIL)}")
 def run_metrics(spark: SparkSession, sf: str) -> DataFrame:
     """Windows possible and positive, islands, and the objective of one run."""
     long = data.injected(spark, sf, points=True)
@@ -188,10 +269,22 @@ def run_metrics(spark: SparkSession, sf: str) -> DataFrame:
     return isl.crossJoin(F.broadcast(sizes)).crossJoin(F.broadcast(chosen))
 
 
-@query()
+_EV_N, _EV_P, _EV_R = 40, 5, 4
+_EV_PSI = 2 * math.log(40) + 4
+_EV_KEY = "'23|noise|' || series_id || '|' || t || '|' || component || '|{}'"
+
+
+@query(f"""WITH std AS MATERIALIZED (SELECT series_id, t, component, sqrt(-2 * ln({_U.format(_EV_KEY.format('a'))})) * cos(2 * pi() * {_U.format(_EV_KEY.format('b'))}) AS x
+  FROM (SELECT r::VARCHAR AS series_id, t, c::INTEGER AS component FROM range(0, {_EV_R}) AS q(r), range(1, {_EV_N} + 1) AS a(t), range(1, {_EV_P} + 1) AS b(c))),
+{sums_sql('std', 1, _EV_N)},
+single AS (SELECT series_id, s, e, sum(greatest(total * total / n - 2 * ln({_EV_P}), 0)) < {2 * _EV_PSI!r} AS sparse, sum(total * total / n) < {_EV_P + 2 * _EV_PSI + 2 * math.sqrt(_EV_P * _EV_PSI)!r} AS dense FROM wins GROUP BY ALL),
+cuts AS (SELECT a.series_id, a.s, a.e AS cut, b.e, a.component, a.n * b.n / (a.n + b.n) * (a.total / a.n - b.total / b.n) ** 2 AS v FROM wins a JOIN wins b ON a.series_id = b.series_id AND a.component = b.component AND a.e = b.s),
+split AS (SELECT series_id, s, cut, e, sum(greatest(v - 2 * ln({_EV_P}), 0)) < {2 * _EV_PSI!r} AS sparse, sum(v) < {_EV_P + 2 * _EV_PSI + 2 * math.sqrt(_EV_P * _EV_PSI)!r} AS dense FROM cuts GROUP BY ALL)
+SELECT event, count(*) AS intervals, round(avg(CASE WHEN held THEN 1.0 ELSE 0.0 END) + 3e-9, 6) AS share FROM (
+  SELECT 'sparse' AS event, sparse AS held FROM single UNION ALL SELECT 'dense', dense FROM single UNION ALL SELECT 'split_sparse', sparse FROM split UNION ALL SELECT 'split_dense', dense FROM split) GROUP BY event""")
 def noise_events(spark: SparkSession, sf: str) -> DataFrame:
     """The bounds that the consistency result rests on, on all intervals of short noise."""
-    return rounded(evaluate.noise_events(simulate.noise(spark, 40, 5, 4, 23), 2 * math.log(40) + 4, 40, 5), "share")
+    return rounded(evaluate.noise_events(simulate.noise(spark, _EV_N, _EV_P, _EV_R, 23), _EV_PSI, _EV_N, _EV_P), "share")
 
 
 @query("""WITH g AS (SELECT k, 20.0 AS p, 2 * ln(1000) AS psi FROM range(1, 21) AS r(k))
@@ -213,16 +306,12 @@ def sparse_preset_scaled(spark: SparkSession, sf: str) -> DataFrame:
 
 @query()
 def empirical_penalty(spark: SparkSession, sf: str) -> DataFrame:
-    """A curve from simulated null savings, for laws without a formula."""
-    from ..operators import relational
-
-    savings = relational.window_savings_long(simulate.noise(spark, 30, 6, 10, 31), 5, 5, "meanvar")
-    wide = savings.groupBy("series_id", "s").agg(F.array_sort(F.collect_list("saving")).alias("v")).orderBy("series_id", "s").select("v").toPandas()
-    curve = pen.empirical_penalty([list(v) for v in wide["v"]], math.log(30))
-    return rounded(spark.createDataFrame(list(enumerate(map(float, curve), 1)), "k int, price double"), "price")
+    """(cost, k, price): curves from simulated null savings, for laws without a formula."""
+    rows = [(cost, k, float(v)) for cost in ("mean", "poisson", "meanvar", "var") for k, v in enumerate(pen.empirical_penalty(cost, 6, math.log(30), 5, 20), 1)]
+    return rounded(spark.createDataFrame(rows, "cost string, k int, price double"), "price")
 
 
-@query()
+@query(f"{_INJ_POINTS}, {_SCORED_INJ}, {_POINTS_SQL}, {_dp_sql(_BOTH_PARTS, ' SELECT ' + chr(39) + 'all' + chr(39) + ' AS series_id, round(sum(score) + 3e-9, 6) AS objective, count(*) AS n_found FROM picked')}")
 def objective_value(spark: SparkSession, sf: str) -> DataFrame:
     return rounded(detect.detect(data.injected(spark, sf, points=True), CFG).objective, "objective")
 

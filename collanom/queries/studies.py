@@ -35,24 +35,35 @@ for _number in (1, 2, 3, 4):
     query(name=f"w10_location_setting{_number}")(_location(_number))
 
 
+@query()
+def w09_roc_tables(spark: SparkSession, sf: str) -> DataFrame:
+    """The sweeps on the given tables with injected windows."""
+    return w.tables_roc(spark, sf)
+
+
+@query()
+def w10_location_tables(spark: SparkSession, sf: str) -> DataFrame:
+    return w.tables_location(spark, sf)
+
+
 @query()
 def w11_runtime_null(spark: SparkSession, sf: str) -> DataFrame:
-    return w.runtime_study(spark, "n", sizes=(500, 2000, 8000))
+    return w.runtime_study(spark, "n", sizes=(1000, 2000, 4000, 16_000))
 
 
 @query()
 def w12_runtime_anomalies(spark: SparkSession, sf: str) -> DataFrame:
-    return w.runtime_study(spark, "n", True, sizes=(500, 2000, 8000))
+    return w.runtime_study(spark, "n", True, sizes=(1000, 2000, 4000, 16_000))
 
 
 @query()
 def w13_runtime_components(spark: SparkSession, sf: str) -> DataFrame:
-    return w.runtime_study(spark, "p", sizes=(10, 40, 160))
+    return w.runtime_study(spark, "p", sizes=(10, 100, 400))
 
 
 @query()
 def w13_runtime_slopes(spark: SparkSession, sf: str) -> DataFrame:
-    return evaluate.runtime_slopes(w.runtime_study(spark, "n", sizes=(500, 2000, 8000)))
+    return evaluate.runtime_slopes(w.runtime_study(spark, "n", sizes=(1000, 2000, 4000, 16_000)))
 
 
 @query()
@@ -60,6 +71,11 @@ def w14_catalogue(spark: SparkSession, sf: str) -> DataFrame:
     return w.catalogue_study(spark, sf)
 
 
+@query()
+def w14_catalogue_shares(spark: SparkSession, sf: str) -> DataFrame:
+    return w.catalogue_shares(spark, sf)
+
+
 @query()
 def w15_penalty_curves(spark: SparkSession, sf: str) -> DataFrame:
     """Where each curve binds, for several numbers of components."""

@@ -42,37 +42,112 @@ def detector(w: int = 0, n: int = N) -> DetectorConfig:
     return DetectorConfig(l=L, m=M, w=w, psi=2 * math.log(n), regime="lag" if w else "composite")
 
 
+H_CUTS = [6.0, 8.0, 10.0, 15.0, 20.0, 40.0, 80.0, 200.0, 600.0, 3000.0]
+S_CUTS = [3.0, 3.5, 4.0, 4.5, 5.0, 5.5, 6.0, 7.0, 8.0, 10.0, 13.0, 18.0]
+
+
+def _at_cuts(found: DataFrame, column: str, cuts: list[float]) -> DataFrame:
+    """Every row once for each cut that its column exceeds, as `scale`."""
+    grid = F.array(*[F.lit(float(c)) for c in cuts])
+    return found.withColumn("scale", F.explode(grid)).where(F.col(column) > F.col("scale"))
+
+
+def higher_criticism_at(long: DataFrame, cfg: DetectorConfig, alpha0: int, cuts: list[float]) -> DataFrame:
+    """Comparator H's windows and points at several thresholds, from one scoring pass: (series_id, scale, s, e, ..)."""
+    low = min(cuts)
+    found = higher_criticism.hc_windows(long, cfg, alpha0, low).withColumn("hc", F.col("score") + low)
+    return detect.solve(_at_cuts(found, "hc", cuts).persist(), greedy=True, by=("series_id", "scale"))
+
+
+def projection_at(long: DataFrame, cuts: list[float], intervals: int = 30) -> DataFrame:
+    """Comparator S's changes at several thresholds, from one search: (series_id, scale, s, e), the change being e."""
+    cps = changepoints.sparse_projection_changepoints(long, threshold=min(cuts), intervals=intervals).persist()
+    return _at_cuts(cps, "level", cuts).select("series_id", "scale", F.lit(0).cast("long").alias("s"), F.col("cp").alias("e"))
+
+
+def roc_of(long: DataFrame, truth: DataFrame, replicates: int, n: int, m: int, alpha0: int, lags: tuple[int, ...] = (0,)) -> DataFrame:
+    """(method, scale, tp, fp, truths, tpr, fp_per_series): sweeps of the detector with each lag and of both comparators."""
+    parts = []
+    for w in lags:
+        scales = DETECTOR_SCALES if not w else DETECTOR_SCALES[2:]
+        swept = calibrate.sweep(long, detector(w, n).with_(m=m), scales).where("kind = 'window'")
+        parts.append(evaluate.roc_points(swept, truth, replicates, TOL, scales=scales).withColumn("method", F.lit(f"detector w={w}")))
+    hc = higher_criticism_at(long, DetectorConfig(m=m), alpha0, H_CUTS).where("e - s > 1")
+    parts.append(evaluate.roc_points(hc, truth, replicates, TOL, scales=H_CUTS).withColumn("method", F.lit("higher criticism")))
+    parts.append(evaluate.roc_points(projection_at(long, S_CUTS), truth, replicates, TOL, "endpoint", S_CUTS).withColumn("method", F.lit("sparse projection")))
+    return _union(parts).select("method", "scale", "tp", "fp", "truths", "tpr", "fp_per_series")
+
+
 def roc_study(spark: SparkSession, number: int, p: int, points: bool, replicates: int = 4, n: int = 1500, m: int = 60, rate: float = 0.004) -> DataFrame:
     """(setting, p, points, method, scale, tp, fp, truths, tpr, fp_per_series): sweeps of the detector (with several lags in settings 3 and 4) and of both comparators."""
     long, truth, s = simulated(spark, number, p, points, replicates, n, rate=rate)
-    long = long.persist()
-    parts = []
-    for w in (0, 10, 20) if number in (3, 4) else (0,):
-        swept = calibrate.sweep(long, detector(w, n).with_(m=m), DETECTOR_SCALES if not w else DETECTOR_SCALES[2:]).where("kind = 'window'")
-        parts.append(evaluate.roc_points(swept, truth, replicates, TOL).withColumn("method", F.lit(f"detector w={w}")))
-    cfg = DetectorConfig(m=m)
-    found = higher_criticism.hc_windows(long, cfg, s["alpha0"], 4.0)
-    cuts = spark.createDataFrame([(float(c),) for c in (6, 10, 20, 60, 300, 3000)], "scale double")
-    hc = detect.solve(found.crossJoin(F.broadcast(cuts)).where("score + 4.0 > scale"), greedy=True, by=("series_id", "scale"))
-    parts.append(evaluate.roc_points(hc.where("e - s > 1"), truth, replicates, TOL).withColumn("method", F.lit("higher criticism")))
-    cps = _union([changepoints.sparse_projection_changepoints(long, threshold=c, intervals=30).withColumn("scale", F.lit(float(c))) for c in (4.0, 6.0, 9.0)])
-    ends = cps.select("series_id", "scale", F.lit(0).cast("long").alias("s"), F.col("cp").alias("e"))
-    parts.append(evaluate.roc_points(ends, truth, replicates, TOL, "endpoint").withColumn("method", F.lit("sparse projection")))
-    out = _union(parts)
-    return out.select(F.lit(number).alias("setting"), F.lit(p).alias("p"), F.lit(points).alias("points"), "method", "scale", "tp", "fp", "truths", "tpr", "fp_per_series")
+    out = roc_of(long.persist(), truth, replicates, n, m, s["alpha0"], (0, 10, 20) if number in (3, 4) else (0,))
+    return out.select(F.lit(number).alias("setting"), F.lit(p).alias("p"), F.lit(points).alias("points"), *out.columns)
+
+
+def location_of(long: DataFrame, truth: DataFrame, n: int, m: int, alpha0: int, lags: tuple[int, ...] = (0,)) -> DataFrame:
+    """(method, mad, n_common): mean distance of the ends over truths that all methods find.
+
+    The detector and comparator H run at their defaults. Comparator S runs at the threshold whose true and
+    false positives are closest to the detector's: of its changes, which are two a window.
+    """
+    plain = {w: detect.detect(long, detector(w, n).with_(m=m)).windows for w in lags}
+    found = {f"detector w={w}": evaluate.match_windows(v, truth, TOL) for w, v in plain.items()}
+    hc = higher_criticism.higher_criticism_scan(long, DetectorConfig(m=m), alpha0, 20.0).where("kind = 'window'")
+    found["higher criticism"] = evaluate.match_windows(hc, truth, TOL)
+    own = plain[lags[0]].agg(F.count("*")).first()[0]
+    hits = found[f"detector w={lags[0]}"].agg(F.count("*")).first()[0]
+    changes = projection_at(long, S_CUTS).persist()
+    rates = {r["scale"]: r for r in evaluate.roc_points(changes, truth, 1, TOL, "endpoint", S_CUTS).collect()}
+    counts = {r["scale"]: r["n"] for r in changes.groupBy("scale").agg(F.count("*").alias("n")).collect()}
+    cut = min(S_CUTS, key=lambda c: abs(rates[c]["tp"] - hits) + abs(counts.get(c, 0) - 2 * own))
+    ends = evaluate.match_windows(changes.where(F.col("scale") == cut).select("series_id", "s", "e"), truth, TOL, "endpoint")
+    found["sparse projection"] = evaluate.windows_of_ends(ends)
+    return evaluate.location_error(found)
 
 
 def location_study(spark: SparkSession, number: int, p: int, points: bool, replicates: int = 4, n: int = 1500, m: int = 60, rate: float = 0.004) -> DataFrame:
-    """(setting, p, points, method, mad, n_common): mean distance of the ends over truths that all methods find."""
+    """(setting, p, points, method, mad, n_common): one cell row of the location table, a row a method."""
     long, truth, s = simulated(spark, number, p, points, replicates, n, doubled=True, rate=rate)
-    long = long.persist()
-    found = {f"detector w={w}": evaluate.match_windows(detect.detect(long, detector(w, n).with_(m=m)).windows, truth, TOL) for w in ((0, 10, 20) if number in (3, 4) else (0,))}
-    hc = higher_criticism.higher_criticism_scan(long, DetectorConfig(m=m), s["alpha0"], 20.0).where("kind = 'window'")
-    found["higher criticism"] = evaluate.match_windows(hc, truth, TOL)
-    out = evaluate.location_error(found)
+    out = location_of(long.persist(), truth, n, m, s["alpha0"], (0, 10, 20) if number in (3, 4) else (0,))
     return out.select(F.lit(number).alias("setting"), F.lit(p).alias("p"), F.lit(points).alias("points"), "method", F.round("mad", 4).alias("mad"), "n_common")
 
 
+def injected_tables(spark: SparkSession, sf_dir: str, number: int = 3, p: int = 10, rate: float = 0.006) -> dict[str, tuple[DataFrame, DataFrame, int, int]]:
+    """Series of the given tables with truths of a setting added: name to (series, truths, n, alpha0)."""
+    events, lineitem = load(spark, sf_dir, "events"), load(spark, sf_dir, "lineitem")
+    raw = {
+        "events by hour and user": densify(series_from_table(events, "ts", F.col("user_id") % p, F.col("value"), "sum"), "hour"),
+        "lineitem by day and supplier": densify(series_from_table(lineitem, "l_shipdate", F.col("l_suppkey") % p, F.col("l_extendedprice"), "sum", "day"), "day"),
+    }
+    out = {}
+    s = simulate.setting(number, p)
+    for name, cells in raw.items():
+        z = baseline.scaled(cells, "moments").withColumn("series_id", F.lit("0"))
+        n = int(detect.series_sizes(z).agg(F.max("n")).first()[0])
+        truth = simulate.truths(spark, n, p, s["k"], s["sigma"], s["w"], 1, 7, rate)
+        out[name] = (simulate.inject(z, truth), truth, n, s["alpha0"])
+    return out
+
+
+def tables_roc(spark: SparkSession, sf_dir: str, m: int = 60) -> DataFrame:
+    """The sweeps on the given tables with injected windows: (series, method, scale, tp, ..)."""
+    parts = []
+    for name, (long, truth, n, alpha0) in injected_tables(spark, sf_dir).items():
+        out = roc_of(long.persist(), truth, 1, n, m, alpha0, (0, 10))
+        parts.append(out.select(F.lit(name).alias("series"), *out.columns))
+    return _union(parts)
+
+
+def tables_location(spark: SparkSession, sf_dir: str, m: int = 60) -> DataFrame:
+    """The location table on the given tables with injected windows: (series, method, mad, n_common)."""
+    parts = []
+    for name, (long, truth, n, alpha0) in injected_tables(spark, sf_dir).items():
+        out = location_of(long.persist(), truth, n, m, alpha0, (0, 10))
+        parts.append(out.select(F.lit(name).alias("series"), "method", F.round("mad", 4).alias("mad"), "n_common"))
+    return _union(parts)
+
+
 def _timed(make: Callable[[], DataFrame]) -> float:
     """Seconds of building a frame, which may run jobs of its own, and of counting it."""
     began = time.perf_counter()
@@ -80,9 +155,14 @@ def _timed(make: Callable[[], DataFrame]) -> float:
     return time.perf_counter() - began
 
 
-def runtime_study(spark: SparkSession, axis: str, anomalies: bool = False, sizes: tuple[int, ...] | None = None) -> DataFrame:
-    """(method, n, p, seconds): the detector and comparator H over growing n (p = 10) or p (n = 100)."""
+def runtime_study(spark: SparkSession, axis: str, anomalies: bool = False, sizes: tuple[int, ...] | None = None, uncapped_up_to: int = 4000) -> DataFrame:
+    """(method, n, p, seconds) over growing n (p = 10) or p (n = 100): the detector with M = 100, its pruned recursion without a cap on lengths, and both comparators.
+
+    Everything runs once before it is timed, so that start-up is not. The uncapped recursion is left out
+    above `uncapped_up_to` observations, where it is quadratic without anomalies.
+    """
     rows = []
+    cfg = DetectorConfig(m=M)
     for size in sizes or ((1000, 4000, 16000) if axis == "n" else (10, 100, 400)):
         n, p = (size, 10) if axis == "n" else (100, size)
         long = simulate.noise(spark, n, p)
@@ -90,10 +170,19 @@ def runtime_study(spark: SparkSession, axis: str, anomalies: bool = False, sizes
             long = simulate.inject(long, simulate.truths(spark, n, p, 2, 3.0, every=100))
         long = long.persist()
         long.count()
-        rows.append(("detector", n, p, _timed(lambda: detect.detect(long, detector(n=n)).chosen)))
-        rows.append(("higher criticism", n, p, _timed(lambda: higher_criticism.higher_criticism_scan(long, DetectorConfig(m=M)))))
+        made = {
+            "detector": lambda: detect.detect(long, detector(n=n), "islands").chosen,
+            "higher criticism": lambda: higher_criticism.higher_criticism_scan(long, cfg),
+            "sparse projection": lambda: changepoints.sparse_projection_changepoints(long, intervals=30),
+        }
+        if n <= uncapped_up_to:
+            made["detector without a cap"] = lambda: detect.per_series(long, detector(n=n), "pruned")
+        for name, make in made.items():
+            if not rows or all(r[0] != name for r in rows):
+                _timed(make)
+            rows.append((name, n, p, float(_timed(make))))
         long.unpersist()
-    return spark.createDataFrame([(m, n, p, float(s)) for m, n, p, s in rows], "method string, n int, p int, seconds double")
+    return spark.createDataFrame(rows, "method string, n int, p int, seconds double")
 
 
 def _lineitem_panel(spark: SparkSession, sf_dir: str, parts: int) -> DataFrame:
@@ -101,14 +190,24 @@ def _lineitem_panel(spark: SparkSession, sf_dir: str, parts: int) -> DataFrame:
     return densify(cells, "day")
 
 
-def catalogue_study(spark: SparkSession, sf_dir: str, m: int = M, share: float = 0.04, lags: tuple[int, ...] = (0, 40)) -> DataFrame:
-    """Known windows found by each method in each of three replicates, at 4 % of the positions flagged.
+def _tuned_threshold(long: DataFrame, cfg: DetectorConfig, share: float, alpha0: int = 2) -> tuple[float, DataFrame]:
+    """Comparator H's threshold whose windows flag a share of the positions closest to the wanted one, and its windows there."""
+    n = detect.series_sizes(long).agg(F.sum("n")).first()[0]
+    cuts = [4.0 * 1.25**i for i in range(24)]
+    chosen = higher_criticism_at(long, cfg, alpha0, cuts).where("e - s > 1").persist()
+    flagged = {r["scale"]: r["share"] for r in chosen.groupBy("scale").agg((F.sum(F.col("e") - F.col("s")) / n).alias("share")).collect()}
+    cut = min(cuts, key=lambda c: abs(flagged.get(c, 0.0) - share))
+    return cut, chosen.where(F.col("scale") == cut).drop("scale")
+
+
+def catalogue_runs(spark: SparkSession, sf_dir: str, m: int = M, share: float = 0.04, lags: tuple[int, ...] = (0, 40)) -> tuple[DataFrame, dict[str, DataFrame], list[str]]:
+    """Windows (panel, series_id, s, e, method) of every method in three replicates of two panels, each tuned to flag the wanted share; the known windows; the methods.
 
     The vectors' slots and the suppliers' daily revenue stand in for the two panels; components are dealt
     into replicates by number, and the same lagged windows are injected in all of them.
     """
     panels = {"a": (explode_vectors(load(spark, sf_dir, "embeddings")), 7), "b": (_lineitem_panel(spark, sf_dir, 3), 18)}
-    parts = []
+    runs, known_windows = [], {}
     for name, (raw, known) in panels.items():
         z = baseline.scaled(raw)
         dealt = z.select(F.concat(F.lit(f"{name}-"), (F.col("component") % 3).cast("string")).alias("series_id"), "t", F.floor((F.col("component") - 1) / 3).cast("int").alias("c"), "x")
@@ -117,19 +216,28 @@ def catalogue_study(spark: SparkSession, sf_dir: str, m: int = M, share: float =
         step = n // (known + 1)
         truth = simulate.truth_frame(spark, [(f"{name}-{r}", k, k * step, k * step + 18 + k % 5, c, (k * c) % 5, (k + c) % 4, 1.0 + 0.25 * (k % 5)) for r in range(3) for k in range(1, known + 1) for c in range(1, 2 + k % 3)])
         long = simulate.inject(ranked, truth).persist()
-        runs = []
+        known_windows[name] = truth.where(F.col("series_id") == f"{name}-0").withColumn("series_id", F.lit(name))
         for w in lags:
             cfg = DetectorConfig(l=L, m=m, w=w, psi=2 * math.log(n), regime="lag" if w else "linear", points=False)
             scale = calibrate.tune_to_share(long, cfg, share, [0.3, 0.5, 0.8, 1.2, 2.0])
-            found = detect.detect(long, cfg.with_(scale=scale)).windows
-            runs.append(found.select("series_id", "s", "e", F.concat(F.lit(f"w={w} r"), F.substring("series_id", 3, 1)).alias("run")))
-        hc = higher_criticism.higher_criticism_scan(long, DetectorConfig(m=m), 2, 25.0).where("e - s > 1")
-        runs.append(hc.select("series_id", "s", "e", F.concat(F.lit("hc r"), F.substring("series_id", 3, 1)).alias("run")))
-        columns = [f"{m_} r{r}" for m_ in (*(f"w={w}" for w in lags), "hc") for r in range(3)]
-        pred = _union(runs).withColumn("series_id", F.lit(name))
-        known_windows = truth.where(F.col("series_id") == f"{name}-0").withColumn("series_id", F.lit(name))
-        parts.append(evaluate.catalogue_ticks(pred, known_windows, columns, 5))
-    return _union(parts)
+            runs.append(detect.detect(long, cfg.with_(scale=scale)).windows.select(F.lit(name).alias("panel"), "series_id", "s", "e", F.lit(f"w={w}").alias("method"), F.lit(n).alias("n")))
+        _, hc = _tuned_threshold(long, DetectorConfig(m=m), share)
+        runs.append(hc.select(F.lit(name).alias("panel"), "series_id", "s", "e", F.lit("hc").alias("method"), F.lit(n).alias("n")))
+    return _union(runs), known_windows, [*(f"w={w}" for w in lags), "hc"]
+
+
+def catalogue_study(spark: SparkSession, sf_dir: str, m: int = M, share: float = 0.04, lags: tuple[int, ...] = (0, 40)) -> DataFrame:
+    """Known windows found by each method in each of three replicates, all methods tuned to the same share of flagged positions."""
+    runs, known, methods = catalogue_runs(spark, sf_dir, m, share, lags)
+    columns = [f"{method} r{r}" for method in methods for r in range(3)]
+    pred = runs.select(F.col("panel").alias("series_id"), "s", "e", F.concat("method", F.lit(" r"), F.substring("series_id", 3, 1)).alias("run"))
+    return _union([evaluate.catalogue_ticks(pred.where(F.col("series_id") == name), windows, columns, 5) for name, windows in known.items()])
+
+
+def catalogue_shares(spark: SparkSession, sf_dir: str, m: int = M, share: float = 0.04, lags: tuple[int, ...] = (0, 40)) -> DataFrame:
+    """(panel, method, share): what the tuned methods flag of all positions."""
+    runs, _, _ = catalogue_runs(spark, sf_dir, m, share, lags)
+    return runs.groupBy("panel", "method").agg(F.round(F.sum((F.col("e") - F.col("s")) / F.col("n")) / 3, 6).alias("share"))
 
 
 def _by_series():
@@ -139,14 +247,18 @@ def _by_series():
 
 
 def false_positive_study(spark: SparkSession, sf_dir: str, replicates: int = 8) -> DataFrame:
-    """(data, regime, p_window, p_point, n_series) of every regime on tables without anomalies and on noise."""
+    """(data, regime, p_window, p_point, bound, n_series) of every regime, that for lags too, on tables without anomalies and on noise; `bound` is the order n M exp(-psi)."""
     daily = densify(series_from_table(load(spark, sf_dir, "orders"), "o_orderdate", F.col("o_orderpriority"), unit="day"), "day")
-    null = {"vectors": baseline.scaled(explode_vectors(load(spark, sf_dir, "embeddings"))), "orders": baseline.scaled(daily, "moments"), "noise": simulate.noise(spark, 500, 8, replicates, 5)}
+    hourly = densify(series_from_table(load(spark, sf_dir, "events"), "ts", F.col("event_type")), "hour")
+    null = {"vectors": baseline.scaled(explode_vectors(load(spark, sf_dir, "embeddings"))), "orders": baseline.scaled(daily, "moments"), "events": baseline.scaled(hourly), "noise": simulate.noise(spark, 500, 8, replicates, 5)}
     parts = []
     for name, long in null.items():
-        for regime in ("flat", "linear", "curve", "composite"):
-            rate = evaluate.false_positive_rate(detect.detect(long, DetectorConfig(m=40, regime=regime)).chosen, long)
-            parts.append(rate.select(F.lit(name).alias("data"), F.lit(regime).alias("regime"), "p_window", "p_point", "n_series"))
+        n = int(detect.series_sizes(long).agg(F.max("n")).first()[0])
+        for regime in ("flat", "linear", "curve", "composite", "consistency", "lag"):
+            cfg = DetectorConfig(m=40, regime=regime, w=5 if regime == "lag" else 0)
+            rate = evaluate.false_positive_rate(detect.detect(long, cfg).chosen, long)
+            bound = pen.false_positive_bound(n, cfg.resolved_psi(n), cfg.m)
+            parts.append(rate.select(F.lit(name).alias("data"), F.lit(regime).alias("regime"), "p_window", "p_point", F.lit(bound).alias("bound"), "n_series"))
     return _union(parts)
 
 
