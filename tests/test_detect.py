@@ -9,7 +9,11 @@ from pyspark.sql import functions as F
 
 from collanom.config import DetectorConfig
 from collanom.operators import baseline, calibrate, detect, evaluate, relational, simulate
+from collanom.operators.blocks import best_chain, greedy_chain
+from collanom.operators.tiles import tiled_candidates
+from collanom.plans import choose
 from collanom.queries import data
+from collanom.sources import explode_vectors
 
 CFG = DetectorConfig(m=30, psi=2 * math.log(300))
 
@@ -87,8 +91,79 @@ def test_edges(spark):
     assert detect.detect(short, CFG).chosen.count() == 0
     one = simulate.inject(simulate.noise(spark, 200, 1, 1, 2), simulate.truth_frame(spark, [("0", 1, 50, 70, 1, 0, 0, 3.0)]))
     assert detect.detect(one, CFG.with_(points=False)).windows.count() == 1
-    with pytest.raises(Exception, match="gaps|repeated"):
-        detect.detect(one.where("t <> 100"), CFG).chosen.collect()
+    for broken in (one.where("t <> 100"), one.where("t not between 55 and 140"), one.unionByName(one.where("t = 7")), one.withColumn("x", F.when(F.col("t") != 60, F.col("x")))):
+        with pytest.raises(Exception, match="gaps|repeated|missing"):
+            detect.candidates(broken, CFG, chunk=40).collect()
+    two = simulate.noise(spark, 150, 2, 1, 3)
+    with pytest.raises(Exception, match="without all components"):
+        detect.detect(two.where("component = 1 or t < 145"), CFG).chosen.collect()
+
+
+def test_a_series_may_begin_anywhere(series):
+    long, _ = series
+    want = chosen(detect.detect(long, CFG).chosen)
+    late = long.withColumn("t", F.col("t") + 997)
+    got = [(a, s - 997, e - 997, v, k) for a, s, e, v, k in chosen(detect.detect(late, CFG).chosen)]
+    assert got == want
+    assert [(a, s - 997, e - 997, v, k) for a, s, e, v, k in chosen(detect.detect(late, CFG, "reference").chosen)] == want
+    assert detect.detect(long, CFG, "reference").affected.count() == detect.detect(long, CFG).affected.count() > 0
+
+
+@pytest.mark.parametrize("regime", ["linear", "composite"])
+def test_tiles_of_components(series, regime):
+    long, _ = series
+    cfg = CFG.with_(regime=regime)
+    near = lambda rows: [(*r[:3], round(r[3], 4), r[4]) for r in rows]
+    assert near(chosen(detect.solve(tiled_candidates(long, cfg, tile=3).persist(), longest=30))) == near(chosen(detect.detect(long, cfg, "islands").chosen))
+    with pytest.raises(ValueError, match="no lags"):
+        tiled_candidates(long, CFG.with_(w=2, regime="lag"))
+
+
+def test_the_planner_decides(spark):
+    assert choose(DetectorConfig(m=100), 10**7, 10).programme == "islands"
+    assert choose(DetectorConfig(m=5000), 5000, 10).programme == "pruned"
+    assert choose(DetectorConfig(m=20), 200, 50_000).programme == "tiles"
+    assert choose(DetectorConfig(m=20, w=3), 200, 50_000).programme == "islands"
+    long = simulate.inject(simulate.noise(spark, 1100, 1, 1, 2), simulate.truth_frame(spark, [("0", 1, 500, 540, 1, 0, 0, 3.0)]))
+    cfg = DetectorConfig(m=1200)
+    assert chosen(detect.detect(long, cfg).chosen) == chosen(detect.per_series(long, cfg, "pruned"))
+    found = chosen(detect.detect(long, cfg).chosen)
+    assert len(found) == 1 and abs(found[0][1] - 500) <= 2 and abs(found[0][2] - 540) <= 2
+
+
+def test_one_island_over_a_whole_series(spark):
+    """Islands are streamed: a long one gives what the whole programme gives, with a gap between windows and at every scale."""
+    import random
+
+    rng = random.Random(5)
+    rows = [(name, c, s, s + rng.randint(1, 12), rng.uniform(0.1, 5.0)) for name in "ab" for c in (1.0, 2.0) for s in sorted(rng.sample(range(2000), 700))]
+    rows = [(name, c, s, e, v, "point" if e - s == 1 else "window") for name, c, s, e, v in rows]
+    frame = spark.createDataFrame(rows, "series_id string, scale double, s bigint, e bigint, score double, kind string").repartition(7)
+    for gap in (0, 2):
+        got = detect.solve(frame, gap, by=("series_id", "scale"), longest=12).groupBy("series_id", "scale").agg(F.sum("score").alias("v")).collect()
+        greedy = {(r["series_id"], r["scale"]): r["v"] for r in detect.solve(frame, gap, True, ("series_id", "scale"), 12).groupBy("series_id", "scale").agg(F.sum("score").alias("v")).collect()}
+        for r in got:
+            spans = [x[2:] for x in rows if x[:2] == (r["series_id"], r["scale"])]
+            assert r["v"] == pytest.approx(best_chain(spans, gap)[0])
+            assert greedy[r["series_id"], r["scale"]] == pytest.approx(sum(spans[i][2] for i in greedy_chain(spans, gap)))
+            picked = sorted(spans[i] for i in greedy_chain(spans, gap))
+            assert all(b[0] >= a[1] + (gap if b[3] == "window" else 0) for a, b in zip(picked, picked[1:], strict=False))
+
+
+def test_vectors_by_rank(spark):
+    rows = [(5 + 3 * i + (70_000 if i > 6 else 0), [float(i), 1.0]) for i in range(10)]
+    frame = spark.createDataFrame(rows, "vec_id bigint, embedding array<float>")
+    ranked = explode_vectors(frame, ranked=True).where("component = 1").orderBy("t").collect()
+    assert [(r["t"], r["x"]) for r in ranked] == [(i + 1, float(i)) for i in range(10)]
+
+
+def test_truths_are_apart(spark):
+    rows = simulate.truths(spark, 4000, 6, 3, 1.0, 5, 2, 3, rate=0.03).collect()
+    spans = {(r["series_id"], r["k"]): (r["s"], r["e"]) for r in rows}
+    assert len(spans) > 60 and all(r["d"] + r["f"] < r["e"] - r["s"] and 0 <= r["d"] <= 5 and 0 <= r["f"] <= 5 for r in rows)
+    for (name, k), (s, _) in spans.items():
+        assert (name, k - 1) not in spans or spans[name, k - 1][1] <= s
+    assert len(rows) == 3 * len(spans)
 
 
 def test_islands_over_many_buckets(spark):
