@@ -6,7 +6,9 @@ reassembles packets from the lacing values (across pages too), separates the log
 number and derives the time of each packet from the granule positions.
 
 Defined results: a null text is an empty payload; every payload is padded with spaces to a positive
-multiple of the frame; equal texts give equal bytes. A damaged page raises `OggError`.
+multiple of the frame; equal texts, repeated rows too, give equal bytes; an empty table gives no rows; a
+long text is one stream of as many packets as it needs; other columns are ignored, whatever their names.
+A damaged page raises `OggError`.
 """
 
 from __future__ import annotations

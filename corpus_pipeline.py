@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from collanom.llm import decontaminate, linededup, pieces, simhash, toxicity
-from collanom.llm.common import stored, table
+from collanom.llm.common import discard, stored, table
 
 
 def _counted(docs: DataFrame) -> DataFrame:
@@ -20,27 +20,48 @@ def _counted(docs: DataFrame) -> DataFrame:
 
 
 def toxicity_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the learned lexicon scores as toxic go."""
+    """Documents that the learned lexicon scores as toxic go.
+
+    Null and blank texts score as texts without hits, repeated rows alike; long texts are scored whole; an
+    empty table stays empty, and with no labels of one class nothing is learned; other columns are kept.
+    """
     return toxicity.reject(docs, toxicity.learn(docs, table(spark, sf_dir, "labels")))
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines that are frequent in their source go."""
+    """Lines that are frequent in their source go.
+
+    A null source is a source of its own; a null text stays null and an empty one empty, blank lines stay;
+    repeated rows are documents of their own; a line exactly at the ratio stays; other columns are kept.
+    """
     return _counted(linededup.deduplicate(docs))
 
 
 def simhash_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates the document with the smallest id stays."""
+    """Of each group of near-duplicates the document with the smallest id stays.
+
+    Texts without words (null, empty, blank) are one group; null ids come after all others, and rows
+    without one are told apart by their texts; of repeated rows one stays; an empty table stays empty;
+    other columns are kept as they are.
+    """
     return simhash.keep_one(docs)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Benchmark passages are cut out; documents that are mostly passages go."""
+    """Benchmark passages are cut out; documents that are mostly passages go.
+
+    Null and empty texts stay as they are, repeated rows are judged one by one; without items nothing is
+    cut; long texts are streamed whole; other columns are kept.
+    """
     return _counted(decontaminate.remove(docs, table(spark, sf_dir, "benchmark")))
 
 
 def sentencepiece_encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token numbers of every document, and whether they decode to its text."""
+    """Token numbers of every document, and whether they decode to its text.
+
+    Null and empty texts have no tokens; repeated rows are encoded one by one; an empty table gives no
+    rows; long texts are encoded whole; other columns than the id are left out.
+    """
     return pieces.encode(docs)
 
 
@@ -60,5 +81,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over the table `documents`."""
     docs = table(spark, sf_dir, "documents")
     for _, stage in STAGES[:-1]:
-        docs = stored(stage(spark, docs, sf_dir))
+        last, docs = docs, stored(stage(spark, docs, sf_dir))
+        discard(last)  # of the stages' tables the one that is read next stays
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -23,7 +23,7 @@ def awkward(spark):
     from pyspark.sql import functions as F
 
     df = spark.createDataFrame(AWKWARD, "doc_id bigint, text string, lang string, source string").withColumn("n_chars", F.length("text").cast("long"))
-    return df.withColumns({c: F.lit(7) for c in ("fp", "key", "block", "node", "score", "id", "host", "line", "n_words", "bucket", "hashes")})
+    return df.withColumns({c: F.lit(7) for c in ("fp", "key", "block", "node", "score", "id", "host", "line", "n_words", "bucket", "hashes", "__host", "__lines", "__kept", "__row", "row", "lines", "kept", "h", "n", "c", "c0", "runs", "items", "place", "a", "b")})
 
 
 @pytest.fixture(scope="session")
