@@ -9,7 +9,9 @@ trigger the rule's reversed automaton finds where the match began and its whole
 Matches of a kind are leftmost and do not overlap; a match that fails the rule's length is dropped but
 has consumed its text. Offsets are code points, ends exclusive.
 
-Defined results: null and empty texts have no spans; repeated rows are scanned one by one.
+Defined results: null and empty texts have no spans; repeated rows are scanned one by one; matches of
+several kinds at one place are listed in the order of the kinds; an empty table gives no rows; long texts
+are scanned whole; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
