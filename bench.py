@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from collanom.comparators import higher_criticism
+from collanom.comparators import changepoints, higher_criticism
 from collanom.config import DetectorConfig
 from collanom.operators import baseline, detect, evaluate, simulate
 from collanom.queries import QUERIES, data
@@ -19,7 +19,8 @@ from collanom.sources import densify, load, series_from_table
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "4")
-SIZES = (12_500, 50_000, 200_000)
+#: Sizes of the slope: large enough that the work outweighs fixed costs.
+SIZES = (60_000, 250_000, 1_000_000)
 
 
 def suppliers(spark: SparkSession) -> DataFrame:
@@ -42,6 +43,9 @@ def work() -> dict[str, Callable[[SparkSession], DataFrame]]:
         "detect_null_100000x10": lambda s: detect.detect(null(s, 100_000), DetectorConfig(m=100)).chosen,
         "panel_w0": lambda s: panel(s, 0),
         "panel_w40": lambda s: panel(s, 40),
+        "panel_greedy": lambda s: detect.detect(null(s, 30_000, 4), DetectorConfig(m=100), "greedy").chosen,
+        "uncapped_pruned_2000x10": lambda s: detect.per_series(simulate.inject(null(s, 2000), simulate.truths(s, 2000, 10, 2, 3.0, every=100)), DetectorConfig(m=100)),
+        "panel_comparator_s": lambda s: changepoints.sparse_projection_changepoints(null(s, 5000, 10), intervals=30),
         "panel_comparator_h": lambda s: higher_criticism.higher_criticism_scan(null(s, 30_000, 4), DetectorConfig(m=100)),
         "detect_vectors": lambda s: detect.detect(data.injected_vectors(s, SF_DIR), DetectorConfig(m=60)).chosen,
         "window_savings": lambda s: QUERIES["mean_saving_windows"](s, SF_DIR),
@@ -66,7 +70,10 @@ def main() -> None:
         .getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    spark.range(1000).selectExpr("sum(id)").collect()
+    # workers and compiled code are warm before anything is timed
+    for w in (0, 3):
+        timed(lambda: detect.detect(simulate.noise(spark, 2000, 4), DetectorConfig(m=20, w=w)).chosen)
+    timed(lambda: QUERIES["mean_saving_windows"](spark, SF_DIR))
     seconds = {name: round(timed(lambda: make(spark)), 3) for name, make in work().items()}
     try:
         from collanom.llm import queries as llm
