@@ -71,11 +71,6 @@ def w14_catalogue(spark: SparkSession, sf: str) -> DataFrame:
     return w.catalogue_study(spark, sf)
 
 
-@query()
-def w14_catalogue_shares(spark: SparkSession, sf: str) -> DataFrame:
-    return w.catalogue_shares(spark, sf)
-
-
 @query()
 def w15_penalty_curves(spark: SparkSession, sf: str) -> DataFrame:
     """Where each curve binds, for several numbers of components."""

@@ -227,17 +227,13 @@ def catalogue_runs(spark: SparkSession, sf_dir: str, m: int = M, share: float =
 
 
 def catalogue_study(spark: SparkSession, sf_dir: str, m: int = M, share: float = 0.04, lags: tuple[int, ...] = (0, 40)) -> DataFrame:
-    """Known windows found by each method in each of three replicates, all methods tuned to the same share of flagged positions."""
+    """Known windows found by each method in each of three replicates, all methods tuned to the same share of flagged positions; and the shares that were reached (`share ..`)."""
     runs, known, methods = catalogue_runs(spark, sf_dir, m, share, lags)
     columns = [f"{method} r{r}" for method in methods for r in range(3)]
     pred = runs.select(F.col("panel").alias("series_id"), "s", "e", F.concat("method", F.lit(" r"), F.substring("series_id", 3, 1)).alias("run"))
-    return _union([evaluate.catalogue_ticks(pred.where(F.col("series_id") == name), windows, columns, 5) for name, windows in known.items()])
-
-
-def catalogue_shares(spark: SparkSession, sf_dir: str, m: int = M, share: float = 0.04, lags: tuple[int, ...] = (0, 40)) -> DataFrame:
-    """(panel, method, share): what the tuned methods flag of all positions."""
-    runs, _, _ = catalogue_runs(spark, sf_dir, m, share, lags)
-    return runs.groupBy("panel", "method").agg(F.round(F.sum((F.col("e") - F.col("s")) / F.col("n")) / 3, 6).alias("share"))
+    ticks = _union([evaluate.catalogue_ticks(pred.where(F.col("series_id") == name), windows, columns, 5) for name, windows in known.items()])
+    flagged = runs.groupBy(F.col("panel").alias("series_id")).pivot("method", methods).agg(F.round(F.sum((F.col("e") - F.col("s")) / F.col("n")) / 3, 6))
+    return ticks.join(flagged.select("series_id", *[F.col(f"`{m_}`").alias(f"share {m_}") for m_ in methods]), "series_id", "left")
 
 
 def _by_series():
