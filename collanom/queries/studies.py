@@ -112,7 +112,7 @@ def staged_detection(spark: SparkSession, sf: str) -> DataFrame:
     from ..plans import detect_table
     from ..sources import load
 
-    found = detect_table(load(spark, sf, "lineitem"), "l_shipdate", F.concat("l_returnflag", "l_linestatus"), DetectorConfig(m=60, how="moments"), unit="day")
+    found = detect_table(load(spark, sf, "lineitem"), "l_shipdate", F.concat("l_returnflag", "l_linestatus"), DetectorConfig(m=60), unit="day")
     return found.chosen.select("series_id", "s", "e", F.round("score", 4).alias("score"), "kind")
 
 
