@@ -51,18 +51,23 @@ def discard(*frames: DataFrame) -> None:
             where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
-#: Rows at one key above which a join doesn't hash the key; at most `HOT_KEYS` keys have so many.
-HOT_ROWS, HOT_KEYS = 200, 100_000
+#: A join doesn't hash a key with more rows than a `HOT_SHARE`th of all (between the two numbers of `HOT_ROWS`); at most `HOT_KEYS` keys have so many.
+HOT_SHARE, HOT_ROWS, HOT_KEYS = 500, (200, 10_000), 100_000
+
+
+def hot_limit(rows: int) -> int:
+    """Rows above which a key of a table with so many rows is hot: of up to five million rows at most `HOT_SHARE` keys are."""
+    low, high = HOT_ROWS
+    return max(low, min(high, rows // HOT_SHARE), rows // HOT_KEYS)
 
 
 def join_by_hot_key(left: DataFrame, right: DataFrame, key: str, rows: int) -> DataFrame:
     """`left` joined to `right`, which has one row per key and in `n` the number of its rows in `left` (`rows` in all).
 
-    Keys with more than `HOT_ROWS` rows, and more than a `HOT_KEYS`th of all, meet in a broadcast: there are
-    at most `HOT_KEYS` of them, so its size is bounded whatever the data. The others are hashed, and none of
-    them is large.
+    Keys with more than `hot_limit` rows meet in a broadcast: there are at most `HOT_KEYS` of them, so its size
+    is bounded whatever the data. The others are hashed, and none of them is large.
     """
-    limit = max(HOT_ROWS, rows // HOT_KEYS)
+    limit = hot_limit(rows)
     found = right.where(F.col("n") > limit).collect()
     if not found:
         return left.join(right.drop("n"), key)

@@ -304,6 +304,18 @@ class _Forest:
         return True
 
 
+def _forests(links_: DataFrame) -> DataFrame:
+    """Of links (a, b) those that join anything new in their task: what hangs together stays the same, and a group keeps links by its members and not by its pairs."""
+
+    def run(batches):
+        forest = _Forest()
+        for batch in batches:
+            fresh = [forest.join(a, b) for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)]
+            yield batch.filter(pa.array(fresh, pa.bool_()))
+
+    return links_.select("a", "b").mapInArrow(run, "a bigint, b bigint")
+
+
 def _compared(placed: DataFrame, seeds: int, k: int, max_bits: int, total_bits: int) -> DataFrame:
     """Links (a, b) between nodes of (place, node, p0, p1, ..): pairs of a place that share a variant of seed k there, within `max_bits` in seed k and `total_bits` over all seeds. A task returns a spanning forest of its links."""
 
@@ -384,7 +396,7 @@ def _grouped(docs: DataFrame, shingle: int, max_bits: int, seeds: int, similarit
     marked = stored(fingerprints(docs, shingle, seeds, id_col, text_col).withColumn("node", F.col("fps")[0] if seeds == 1 else F.xxhash64("fps")))
     nodes = stored(marked.groupBy("node").agg(F.min("doc_id").alias("first_id"), F.min("fps").alias("fps"), F.count("*").alias("n")))
     if seeds == 1:
-        found = stored(links(nodes.select(F.lit(0).alias("seed"), F.col("node").alias("fp")), max_bits).select("a", "b"))
+        found = stored(_forests(links(nodes.select(F.lit(0).alias("seed"), F.col("node").alias("fp")), max_bits)))
     else:
         found = _node_links(nodes, seeds, max_bits, allowed_bits(similarity or 0.8, 64 * seeds))
     roots = connected_components(found).withColumnRenamed("node", "linked")  # of linked nodes only

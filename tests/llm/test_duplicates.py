@@ -13,7 +13,7 @@ import pytest
 import xxhash
 
 
-from collanom.llm import linededup, queries, simhash, substrings
+from collanom.llm import common, linededup, queries, simhash, substrings
 from collanom.llm.components import connected_components
 
 
@@ -303,3 +303,19 @@ def test_similarity_bits():
     assert simhash.allowed_bits(1.0, 384) == 0
     assert simhash.allowed_bits(0.8, 384, 0) == 58
 
+
+def test_a_group_keeps_links_by_its_members(spark, monkeypatch):
+    """All pairs of near fingerprints link, but the contraction gets a forest a task; and few keys are hot."""
+    words = [f"w{i}" for i in range(400)]
+    docs = spark.createDataFrame([(i, " ".join([*words, f"tail{i}"])) for i in range(120)], "doc_id bigint, text string")
+    prints = {i: plain_fingerprint(" ".join([*words, f"tail{i}"])) for i in range(120)}
+    distinct = len(set(prints.values()))
+    counted = []
+    monkeypatch.setattr(simhash, "connected_components", lambda edges: counted.append((edges.count(), edges.rdd.getNumPartitions())) or connected_components(edges))
+    got = {r["doc_id"]: r["component_id"] for r in simhash.components(docs).collect()}
+    assert got == plain_components(prints)
+    nodes = spark.createDataFrame([(0, x - (1 << 64) if x >> 63 else x) for x in set(prints.values())], "seed int, fp bigint")
+    pairs = simhash.links(nodes)
+    assert pairs.count() > counted[0][0] and counted[0][0] <= 8 * (distinct - 1)
+    assert simhash._forests(pairs.coalesce(1)).count() == distinct - len({c for c in plain_components(prints).values()})
+    assert common.hot_limit(1000) == 200 and common.hot_limit(5_000_000) == 10_000 and common.hot_limit(10**10) == 100_000
