@@ -11,7 +11,7 @@ import pytest
 from collanom.config import DetectorConfig
 from collanom.functions import penalties as pen
 from collanom.functions.costs import FAMILIES, residual_saving
-from collanom.operators.blocks import Kernel, best_chain, dense_optimum, greedy_chain, pruned_optimum, undominated
+from collanom.operators.blocks import Chain, Kernel, best_chain, dense_optimum, greedy_chain, pruned_optimum, undominated
 
 
 def kernel(n, p, **changes):
@@ -186,3 +186,22 @@ def test_config_checks():
     with pytest.raises(ValueError, match="unknown regime"):
         DetectorConfig(regime="other")
     assert len(pen.curve_for("max", 4, 2.0)) == 4
+
+
+def test_lagged_ties_go_to_the_widest_window():
+    """A window that gains nothing by its first row, because lags trim it, ties with the one without it."""
+    x = np.zeros((30, 3))
+    x[12:20, 0], x[12:19, 1], x[13:20, 2] = 5.0, 5.0, 5.0
+    k = kernel(30, 3, m=12, w=2, regime="lag", points=False)
+    found = k.scores(x, 0)
+    top = found["score"].max()
+    tied = sorted((e, s) for s, e, v in zip(found["s"].tolist(), found["e"].tolist(), found["score"].tolist(), strict=True) if v >= top - 1e-9)
+    assert len(tied) > 1
+    want = tied[0][1], tied[0][0]
+    assert [p[:2] for p in dense_optimum(x, k)[1]] == [want]
+    assert [p[:2] for p in pruned_optimum(x, k)[1]] == [want]
+    chain = Chain(0, True)
+    kept = undominated(found["s"], found["e"], found["score"], 1e-12)
+    for e, s, v in sorted(zip(found["e"][kept].tolist(), (-found["s"][kept]).tolist(), found["score"][kept].tolist(), strict=True)):
+        chain.offer(-s, e, v, "window", (-s, e))
+    assert chain.picked() == [want]
