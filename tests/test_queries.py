@@ -53,3 +53,16 @@ def test_entry(spark):
     assert found == {(150, 170), (350, 370)}
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
     assert set(QUERIES) <= set(__spark_entry__.queries())
+
+
+def test_best_counts_below_their_price(spark, tmp_path):
+    """So many events an hour that eight more are not worth a window's price: the best window is still the SQL's."""
+    path = tmp_path / "events.parquet"
+    db = duckdb.connect()
+    db.sql(f"""COPY (SELECT row_number() OVER () AS event_id, TIMESTAMP '2024-01-01' + INTERVAL 1 HOUR * h AS ts, 1::BIGINT AS user_id, 'type' || c AS event_type, 1.0::DOUBLE AS value, '{{}}' AS props
+      FROM range(0, 720) AS a(h), range(0, 5) AS b(c), range(0, 250) AS d(i) WHERE i < 240 + (h * 7 + c * 3 + h // 11) % 9) TO '{path}' (FORMAT parquet)""")
+    db.sql(f"CREATE VIEW events AS SELECT * FROM '{path}'")
+    want = db.sql(ORACLES["poisson_affected"])
+    frame = QUERIES["poisson_affected"](spark, str(tmp_path))
+    got = rows_of(frame.collect(), frame.columns)
+    assert got and got == rows_of(want.fetchall(), want.columns)
