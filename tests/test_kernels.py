@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import itertools
+import dataclasses
 import math
 
 import numpy as np
@@ -192,7 +193,7 @@ def test_lagged_ties_go_to_the_widest_window():
     """A window that gains nothing by its first row, because lags trim it, ties with the one without it."""
     x = np.zeros((30, 3))
     x[12:20, 0], x[12:19, 1], x[13:20, 2] = 5.0, 5.0, 5.0
-    k = kernel(30, 3, m=12, w=2, regime="lag", points=False)
+    k = dataclasses.replace(kernel(30, 3, m=12, w=2, regime="lag", points=False), widest=True)
     found = k.scores(x, 0)
     top = found["score"].max()
     tied = sorted((e, s) for s, e, v in zip(found["s"].tolist(), found["e"].tolist(), found["score"].tolist(), strict=True) if v >= top - 1e-9)
