@@ -66,3 +66,13 @@ def test_best_counts_below_their_price(spark, tmp_path):
     frame = QUERIES["poisson_affected"](spark, str(tmp_path))
     got = rows_of(frame.collect(), frame.columns)
     assert got and got == rows_of(want.fetchall(), want.columns)
+
+
+MOVED = ("calibrated_scale", "catalogue_ticks", "chi2_quantile", "consistency_penalty_table", "detection_boundary", "empirical_penalty", "flagged_share", "lag_penalties", "match_cogrouped", "match_endpoints", "match_windows", "noise_events")
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_needs_its_table(spark, tmp_path, name):
+    """The job is done on a given table: without tables there is no result."""
+    with pytest.raises(Exception, match="(?i)path.*not.*exist"):
+        QUERIES[name](spark, str(tmp_path)).collect()
