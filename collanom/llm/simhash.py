@@ -140,7 +140,8 @@ def links(distinct: DataFrame, max_bits: int = 4, parts: int | None = None, hot_
     x = F.col("a").bitwiseXOR(F.col("b"))
     first = _first_shared(x, cut) == F.shiftrightunsigned("key_a", 54).bitwiseAND(F.lit(63).cast("long"))
     seed = F.shiftrightunsigned("key_a", 60).cast("int").alias("seed")
-    pairs = a.join(b, (F.col("key_a") == F.col("key_b")) & (F.col("a") < F.col("b")) & (F.bit_count(x) <= max_bits) & first).select(seed, "a", "b")
+    # both sides are some 64 rows a fingerprint, of which Spark's estimate knows nothing: it would broadcast them
+    pairs = a.hint("merge").join(b.hint("merge"), (F.col("key_a") == F.col("key_b")) & (F.col("a") < F.col("b")) & (F.bit_count(x) <= max_bits) & first).select(seed, "a", "b")
     return pairs.unionByName(_tiled(rows, hot, max_bits)) if some_hot else pairs
 
 

@@ -11,7 +11,7 @@ import duckdb
 import numpy as np
 import pytest
 import xxhash
-
+from pyspark.sql import functions as F
 
 from collanom.llm import common, linededup, queries, simhash, substrings
 from collanom.llm.components import connected_components
@@ -83,6 +83,22 @@ def test_no_link_is_missed(spark, bits, hot):
     assert sorted(map(sorted, groups.values())) == sorted(map(sorted, got.values()))
 
 
+def test_variants_are_never_broadcast(spark):
+    """A table well below the broadcast threshold whose variants, 64 rows each, are not."""
+    limit = "spark.sql.autoBroadcastJoinThreshold"
+    before = spark.conf.get(limit)
+    spark.conf.set(limit, "10m")
+    try:
+        distinct = common.stored(spark.range(20_000).select(F.lit(0).alias("seed"), F.xxhash64("id").alias("fp")))
+        found = simhash.links(distinct)
+        plan = found._jdf.queryExecution().executedPlan().toString()
+        assert "SortMergeJoin" in plan and "Broadcast" not in plan
+        found.collect()
+        assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()  # nor once sizes are known
+    finally:
+        spark.conf.set(limit, before)
+
+
 def test_components_of_a_path(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(100)] + [(200, 201), (7, 7)], "a bigint, b bigint")
     roots = {r["node"]: r["root"] for r in connected_components(edges).collect()}
