@@ -76,3 +76,29 @@ def test_needs_its_table(spark, tmp_path, name):
     """The job is done on a given table: without tables there is no result."""
     with pytest.raises(Exception, match="(?i)path.*not.*exist"):
         QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_exploded_rows_are_not_broadcast(spark, sf):
+    """The vectors are a small table, their cells and the sums of their windows are not: no join may build on those."""
+    limit = "spark.sql.autoBroadcastJoinThreshold"
+    before = spark.conf.get(limit)
+    spark.conf.set(limit, "10m")
+    try:
+        frame = QUERIES["noise_events"](spark, sf)
+        plan = frame._jdf.queryExecution().executedPlan().toString()
+        assert "BuildLeft" not in plan and plan.count("BroadcastHashJoin") <= 1  # the typical values, a row a component
+    finally:
+        spark.conf.set(limit, before)
+
+
+def test_ordered_window_sums(spark):
+    """The sums taken in order are those of the join, with gaps and components of different lengths too."""
+    from pyspark.sql import functions as F
+
+    from collanom.operators import relational
+
+    cells = spark.range(0, 360).select(F.concat(F.lit("s"), F.col("id") % 3).alias("series_id"), (F.col("id") % 5).cast("int").alias("component"), F.floor(F.col("id") / 15).cast("long").alias("t"), (F.col("id") * 7 % 11 - 5.0).alias("x"))
+    for long in (cells.where("t > 0"), cells.where("t > 0 and t <> 4 + component and t <> 9")):
+        for low, high in ((1, 23), (3, 7)):
+            want, got = ({tuple(r) for r in relational.window_sums(long, low, high, ordered).collect()} for ordered in (False, True))
+            assert got == want and want
