@@ -206,3 +206,25 @@ def test_lagged_ties_go_to_the_widest_window():
     for e, s, v in sorted(zip(found["e"][kept].tolist(), (-found["s"][kept]).tolist(), found["score"][kept].tolist(), strict=True)):
         chain.offer(-s, e, v, "window", (-s, e))
     assert chain.picked() == [want]
+
+
+@pytest.mark.parametrize("w", [0, 6])
+def test_scales_share_the_savings(monkeypatch, w):
+    """The candidates of several scales are those of each, from savings that are made once."""
+    from collanom.config import DetectorConfig
+    from collanom.operators import detect
+
+    x = np.random.default_rng(5).normal(size=(300, 5))
+    x[100:115, :3] += 2
+    made = []
+    inner = Kernel.lagged if w else Kernel.window_savings
+    monkeypatch.setattr(Kernel, "lagged" if w else "window_savings", lambda self, *a: made.append(1) or inner(self, *a))
+    for regime in ("lag", "composite") if not w else ("lag",):
+        cfg = DetectorConfig(m=20, w=w, psi=4.0, regime=regime if w or regime == "composite" else "linear")
+        block = detect.Block("0", 300, 5, x, 0, 0, None)
+        want = [detect.scored(block, cfg.with_(scale=c), few=True) for c in (0.5, 1.0, 1.5)]
+        times = len(made)
+        got = detect.scored_at(block, cfg, [0.5, 1.0, 1.5], few=True)
+        assert (len(made) - times) * 3 == times and len(want[0]["s"])
+        made.clear()
+        assert all((a[c] == b[c]).all() for a, b in zip(want, got, strict=True) for c in a)
